@@ -6,14 +6,25 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import op3_token_file, op4_pieces
+from . import op1_quality, op3_token_file, op4_pieces, op7_lines
 from .common import table
 
 WORD_TOKENIZER = "word_bpe_49k.json"
 PIECE_MODEL = "piece_bpe_32k.model"
 
 
+def op1_quality_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = op1_quality.judged(table(spark, sf_dir, "documents", "doc_id", "text", "lang"))
+    return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+def op7_lines_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = op7_lines.dedup_lines(table(spark, sf_dir, "documents", "doc_id", "text"))
+    return rows.select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("kept_sha256"))
+
+
 def op3_token_file_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = op3_token_file.token_file_path(spark)
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
@@ -26,8 +37,10 @@ def op4_pieces_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_quality": op1_quality_query,
     "op3_token_file": op3_token_file_query,
     "op4_pieces": op4_pieces_query,
+    "op7_lines": op7_lines_query,
 }
 
 ORACLE_SQL: dict[str, str] = {}
