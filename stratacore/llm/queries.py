@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import op1_quality, op3_token_file, op4_pieces, op7_lines
+from . import op1_quality, op2_links, op10_decontaminate, op3_token_file, op4_pieces, op7_lines
 from .common import table
 
 WORD_TOKENIZER = "word_bpe_49k.json"
@@ -25,6 +25,18 @@ def op7_lines_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op2_links_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = op2_links.judged_pages(table(spark, sf_dir, "pages", "page_id", "url", "html"))
+    return rows.select("page_id", "host", "path", "rule", "verdict")
+
+
+def op10_decontaminate_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document with the items that occur in it."""
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    rows = op10_decontaminate.contamination(docs, table(spark, sf_dir, "benchmark", "item_id", "text"))
+    return rows.select("doc_id", (F.size("item_ids") > 0).alias("contaminated"), "item_ids", "distances")
+
+
 def op3_token_file_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = op3_token_file.token_file_path(spark)
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
@@ -38,9 +50,11 @@ def op4_pieces_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality": op1_quality_query,
+    "op2_links": op2_links_query,
     "op3_token_file": op3_token_file_query,
     "op4_pieces": op4_pieces_query,
     "op7_lines": op7_lines_query,
+    "op10_decontaminate": op10_decontaminate_query,
 }
 
 ORACLE_SQL: dict[str, str] = {}
