@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import op1_quality, op2_links, op10_decontaminate, op3_token_file, op4_pieces, op7_lines
+from . import op1_quality, op2_links, op10_decontaminate, op3_token_file, op4_pieces, op6_jaccard, op7_lines
 from .common import table
 
 WORD_TOKENIZER = "word_bpe_49k.json"
@@ -37,6 +37,10 @@ def op10_decontaminate_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", (F.size("item_ids") > 0).alias("contaminated"), "item_ids", "distances")
 
 
+def op6_jaccard_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op6_jaccard.jaccard_components(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op3_token_file_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = op3_token_file.token_file_path(spark)
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
@@ -53,6 +57,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_links": op2_links_query,
     "op3_token_file": op3_token_file_query,
     "op4_pieces": op4_pieces_query,
+    "op6_jaccard": op6_jaccard_query,
     "op7_lines": op7_lines_query,
     "op10_decontaminate": op10_decontaminate_query,
 }
