@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import op1_quality, op2_links, op10_decontaminate, op3_token_file, op4_pieces, op6_jaccard, op7_lines, op8_windows
+from . import op1_quality, op2_links, op10_decontaminate, op3_token_file, op4_pieces, op6_jaccard, op7_lines, op8_windows, op9_personal
 from .common import table
 
 WORD_TOKENIZER = "word_bpe_49k.json"
@@ -45,6 +45,10 @@ def op8_windows_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op8_windows.without_repeats(table(spark, sf_dir, "documents", "doc_id", "text"), digest=True).withColumnRenamed("kept", "kept_sha256")
 
 
+def op9_personal_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op9_personal.personal_digests(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op3_token_file_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = op3_token_file.token_file_path(spark)
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
@@ -64,6 +68,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_jaccard": op6_jaccard_query,
     "op7_lines": op7_lines_query,
     "op8_windows": op8_windows_query,
+    "op9_personal": op9_personal_query,
     "op10_decontaminate": op10_decontaminate_query,
 }
 
