@@ -1,19 +1,67 @@
-"""A corpus preparation pipeline out of the training-data operators."""
+"""A corpus preparation pipeline out of the training-data operators.
+
+Stages: quality rules, line dedup, n-gram Jaccard join, benchmark decontamination, piece encoding. Every stage takes
+(spark, docs, sf_dir), works on all rows its predecessor kept, and its result is written as Parquet and reread. All
+but the last return the columns of documents. Rows with a null doc_id are kept apart from each other by their text in
+the joins back to the documents.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from stratacore.llm import op1_quality, op4_pieces, op6_jaccard, op7_lines, op10_decontaminate
+from stratacore.llm.common import table, written
+from stratacore.llm.queries import PIECE_MODEL
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality rules keep."""
+    return op1_quality.kept_documents(docs)
+
+
+def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every document, without the lines that a larger doc_id keeps; n_chars follows the new text."""
+    out = op7_lines.dedup_lines(docs)
+    return out.withColumn("n_chars", F.char_length("text").cast("long")).select(*docs.columns)
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The smallest doc_id of each class of similar documents."""
+    classes = op6_jaccard.jaccard_components(docs)
+    stays = classes.where("doc_id <=> component_id").select(F.col("doc_id").alias("stays")).distinct()
+    return docs.join(stays, F.col("doc_id").eqNullSafe(F.col("stays")), "left_semi")
 
-STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = []
+
+def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents in which no benchmark item occurs."""
+    found = op10_decontaminate.contamination(docs, table(spark, sf_dir, "benchmark", "item_id", "text"))
+    return found.where(F.size("item_ids") == 0).select(*docs.columns)
+
+
+def piece_encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """(doc_id, n_tokens, ids_sha256, decoded_sha256) of what is left."""
+    return op4_pieces.piece_digests(docs, public_tokenizers.path(PIECE_MODEL))
+
+
+STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
+    ("quality_rules", quality_rules),
+    ("line_dedup", line_dedup),
+    ("near_duplicates", near_duplicates),
+    ("decontamination", decontamination),
+    ("piece_encoding", piece_encoding),
+]
+
+#: Shingle sets, edit distances and the piece model are out of SQL's reach; tests/llm holds a brute-force version.
 ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents; each stage's result is written as Parquet and reread as the next one's input."""
-    from stratacore.llm.common import written
-
+    """All stages over documents."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES:
         docs = written(stage(spark, docs, sf_dir), f"pipeline-{name}")

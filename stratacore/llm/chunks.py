@@ -23,15 +23,16 @@ class ChunkTable:
     def of_all(self, texts: list[list[str]]) -> list[list]:
         """For the chunks of several texts, what was made of each."""
         known = self._known
-        new = [c for c in set().union(*texts) if c not in known]
-        if len(known) + len(new) > self._most:
-            known.clear()
-            new = list(set().union(*texts))
-        known.update(zip(new, self._encode(new), strict=True))
-        out = [list(map(known.__getitem__, t)) for t in texts]
-        for c in new:
-            if len(c) > LONGEST:
-                del known[c]
+        out = [list(map(known.get, t)) for t in texts]
+        short = [(t, x) for t, x in zip(texts, out, strict=True) if None in x]
+        if short:
+            new = list({c for t, x in short for c, y in zip(t, x, strict=True) if y is None})
+            made = dict(zip(new, self._encode(new), strict=True))
+            for t, x in short:
+                x[:] = [made[c] if y is None else y for c, y in zip(t, x, strict=True)]
+            if len(known) + len(new) > self._most:
+                known.clear()
+            known.update((c, x) for c, x in made.items() if len(c) <= LONGEST)
         return out
 
     def of_texts(self, texts: list[str | None], cut: Callable[[str], list[str]] = _WORD.findall) -> Iterator[list]:

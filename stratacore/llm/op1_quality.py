@@ -44,17 +44,18 @@ def _repeat_words(w: Column) -> Column:
     return F.when((n >= 6) & clash, let(w, covered)).otherwise(0).cast("long")
 
 
-def base_counts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", lang_column: str = "lang") -> DataFrame:
-    """doc_id, the words, and the base rules' counts of each row."""
+def base_counts(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", lang_column: str = "lang", carry: Column | None = None) -> DataFrame:
+    """doc_id, the words, and the base rules' counts of each row; `carry` is handed through."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    rows = docs.select(F.col(id_column).alias("doc_id"), F.coalesce(F.col(lang_column), F.lit("")).alias("lang"), F.col(text_column).alias("text"))
-    rows = rows.select("doc_id", "lang", text.alias("text"), words(text).alias("w"))
+    rows = docs.select(F.col(id_column).alias("doc_id"), F.coalesce(F.col(lang_column), F.lit("")).alias("lang"), F.col(text_column).alias("text"), (F.lit(0) if carry is None else carry).alias("carry"))
+    rows = rows.select("doc_id", "lang", text.alias("text"), words(text).alias("w"), "carry")
     lines = F.filter(F.split("text", "\n", -1), lambda x: F.rlike(x, F.lit(f"[^{SPACE}]")))
     return rows.select(
         "doc_id",
         "lang",
         "text",
         "w",
+        "carry",
         F.size("w").cast("long").alias("n_words"),
         F.char_length(F.array_join("w", "")).cast("long").alias("word_chars"),
         _left(F.col("text"), f"[^{SYMBOLS}]+").cast("long").alias("n_symbols"),
@@ -95,16 +96,23 @@ def references(docs: DataFrame, id_column: str = "doc_id", text_column: str = "t
     return written(both.select("lang", "classes", top.alias("top"), F.concat(n, F.array(F.col("n_words") - F.aggregate(n, F.lit(0.0), lambda s, x: s + x))).alias("shares")), "lang-references")
 
 
-def judged(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", lang_column: str = "lang") -> DataFrame:
+def kept_documents(docs: DataFrame, **columns: str) -> DataFrame:
+    """The rows of docs that the rules keep, unchanged."""
+    whole = F.struct(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(docs.columns)])
+    rows = judged(docs, carry=whole, **columns).where("kept")
+    return rows.select(*[F.col("carry")[f"c{k}"].alias(c) for k, c in enumerate(docs.columns)])
+
+
+def judged(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", lang_column: str = "lang", carry: Column | None = None) -> DataFrame:
     """One row per document: the base counts, both distances (null behind a guard), base_failed, kept."""
     refs = references(docs, id_column, text_column, lang_column).withColumnRenamed("lang", "ref_lang")
-    rows = base_counts(docs, id_column, text_column, lang_column).withColumn("n_repeat_words", _repeat_words(F.col("w")))
+    rows = base_counts(docs, id_column, text_column, lang_column, carry).withColumn("n_repeat_words", _repeat_words(F.col("w")))
     both = rows.join(F.broadcast(refs), F.col("lang") == F.col("ref_lang"), "left")
     hits = F.transform("top", lambda r: (F.size("w") - F.size(F.array_remove("w", r))).cast("double"))
     hist = let(hits, lambda h: F.concat(h, F.array(F.size("w") - F.aggregate(h, F.lit(0.0), lambda s, x: s + x))))
     chars = F.when((F.char_length("text") >= MIN_CHARS) & F.col("ref_lang").isNotNull(), distance(_classes(F.col("text")), F.col("classes")))
     tops = F.when((F.col("n_words") >= MIN_WORDS) & F.col("ref_lang").isNotNull(), distance(hist, F.col("shares")))
-    out = both.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", chars.alias("char_distance"), tops.alias("word_distance"))
+    out = both.select("doc_id", *([] if carry is None else ["carry"]), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", chars.alias("char_distance"), tops.alias("word_distance"))
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
     fine = (F.coalesce("char_distance", F.lit(0.0)) <= MOST_CHAR_DISTANCE) & (F.coalesce("word_distance", F.lit(0.0)) <= MOST_WORD_DISTANCE)
     return out.withColumns({"base_failed": failed, "kept": ~failed & fine})

@@ -21,6 +21,7 @@ import functools
 import json
 import os
 import re
+import struct
 import zlib
 from collections.abc import Iterator
 
@@ -149,7 +150,8 @@ def _tokenizer_table(path: str, special: bool) -> ChunkTable:
     shown = lambda x: chr(x + 162) if x <= 160 else chr(323) if x == 173 else chr(x)
     as_bytes = {c: "".join(map(shown, chr(c).encode())) for c in range(0xDF, 0x100)}
     model = tok.model
-    runs = ChunkTable(lambda cs: [np.asarray([t.id for t in model.tokenize(c.translate(as_bytes))], "<u2").tobytes() for c in cs])
+    packed = lambda ids: struct.pack(f"<{len(ids)}H", *ids)
+    runs = ChunkTable(lambda cs: [packed([t.id for t in model.tokenize(c if c.isascii() else c.translate(as_bytes))]) for c in cs])
 
     def encode(chunks: list[str]) -> list[bytes]:
         plain = [c for c in chunks if _PLAIN.fullmatch(c)]
@@ -198,7 +200,7 @@ def codebook(tokens: DataFrame) -> list[tuple[int, int]]:
     return [(int(i), int(b)) for i, b in zip(ids[order], code_lengths(counts[order]), strict=True)]
 
 
-def write_token_file(docs: DataFrame, path: str, tokenizer_path: str, end_id: int | None = 2, max_partition_tokens: int = 1 << 25, **columns: str) -> None:
+def write_token_file(docs: DataFrame, path: str, tokenizer_path: str, end_id: int | None = 2, max_partition_tokens: int = 1 << 22, **columns: str) -> None:
     """Encode every text and write the data set to `path` in ascending doc_id order."""
     spark = docs.sparkSession
     tokens = written(tokenized(docs, tokenizer_path, end_id, **columns), "tokens")

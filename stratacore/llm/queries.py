@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import op1_quality, op2_links, op10_decontaminate, op3_token_file, op4_pieces, op6_jaccard, op7_lines, op8_windows, op9_personal
+from . import op1_quality, op2_links, op10_decontaminate, op3_token_file, op4_pieces, op5_language, op6_jaccard, op7_lines, op8_windows, op9_personal
 from .common import table
 
 WORD_TOKENIZER = "word_bpe_49k.json"
@@ -49,6 +49,10 @@ def op9_personal_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op9_personal.personal_digests(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op5_language_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op5_language.predicted(table(spark, sf_dir, "documents", "doc_id", "text", "lang"), public_tokenizers.path(PIECE_MODEL))
+
+
 def op3_token_file_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = op3_token_file.token_file_path(spark)
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
@@ -65,6 +69,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_links": op2_links_query,
     "op3_token_file": op3_token_file_query,
     "op4_pieces": op4_pieces_query,
+    "op5_language": op5_language_query,
     "op6_jaccard": op6_jaccard_query,
     "op7_lines": op7_lines_query,
     "op8_windows": op8_windows_query,
