@@ -1 +1,44 @@
+"""Column functions: portable and fast edge hashes, levels, h-index; their SQL registration."""
 
+from __future__ import annotations
+
+from pyspark.sql import Column, SparkSession
+from pyspark.sql import functions as F
+
+TWO52 = 1 << 52
+
+
+def edge_u52(src: Column, dst: Column, seed: int | str = 0, kind: str = "xxhash64") -> Column:
+    """A whole number in [0, 2^52), a pure function of seed and endpoints; md5 is the same in other engines."""
+    if kind == "md5":
+        return F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(str(seed)), src.cast("string"), dst.cast("string"))), 1, 13), 16, 10).cast("long")
+    return F.shiftrightunsigned(F.xxhash64(F.lit(str(seed)), src, dst), 12)
+
+
+def edge_uniform(src: Column, dst: Column, seed: int | str = 0, kind: str = "xxhash64") -> Column:
+    return edge_u52(src, dst, seed, kind) / F.lit(float(TWO52))
+
+
+def first_level(u52: Column, rates: list[float]) -> Column:
+    """The first level whose rate reaches u, by comparing whole numbers (no logarithm to round)."""
+    out = F.lit(len(rates) - 1)
+    for k in range(len(rates) - 2, -1, -1):
+        out = F.when(u52 <= F.lit(int(rates[k] * TWO52)), k).otherwise(out)
+    return out.cast("int")
+
+
+def h_index(values: Column) -> Column:
+    """Largest h such that h of the array's numbers are at least h; 0 for an empty array."""
+    ranked = F.zip_with(F.sort_array(values, False), F.sequence(F.lit(1), F.size(values)), lambda v, k: F.least(v.cast("long"), k.cast("long")))
+    return F.when(F.size(values) > 0, F.array_max(ranked)).otherwise(F.lit(0).cast("long"))
+
+
+def sketch_label(raw: Column, rate: Column, eps: float, cap: Column) -> Column:
+    return (1 - eps) * F.least(raw.cast("double"), cap) / rate
+
+
+def register(spark: SparkSession) -> None:
+    """SQL functions: edge_uniform(src, dst, seed), h_index(array), sketch_label(raw, rate, eps, cap)."""
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION edge_uniform(src BIGINT, dst BIGINT, seed BIGINT) RETURNS DOUBLE RETURN shiftrightunsigned(xxhash64(cast(seed AS STRING), src, dst), 12) / 4503599627370496D")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION h_index(v ARRAY<BIGINT>) RETURNS BIGINT RETURN coalesce(array_max(zip_with(sort_array(v, false), sequence(1L, greatest(1L, cast(size(v) AS BIGINT))), (a, k) -> least(a, k))), 0L)")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION sketch_label(raw DOUBLE, rate DOUBLE, eps DOUBLE, cap DOUBLE) RETURNS DOUBLE RETURN (1 - eps) * least(raw, cap) / rate")

@@ -1 +1 @@
-
+"""Graph operators."""

@@ -1 +1,203 @@
+"""Edge lists: normal form, readers, writers, and the graphs built from the given tables."""
 
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+
+def load_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def edges_from(df: DataFrame, src: str = "src", dst: str = "dst") -> DataFrame:
+    """Canonical simple undirected edges: src < dst, distinct, no loops, no nulls. One shuffle (distinct)."""
+    a, b = F.col(src), F.col(dst)
+    return df.where(a.isNotNull() & b.isNotNull() & (a != b)).select(F.least(a, b).alias("src"), F.greatest(a, b).alias("dst")).distinct()
+
+
+def arcs(edges: DataFrame) -> DataFrame:
+    """Both directions, by exploding each row once instead of reading the edges twice."""
+    both = F.explode(F.array(F.struct(F.col("src").alias("src"), F.col("dst").alias("dst")), F.struct(F.col("dst").alias("src"), F.col("src").alias("dst"))))
+    return edges.select(both.alias("e")).select("e.src", "e.dst")
+
+
+def degrees(edges: DataFrame) -> DataFrame:
+    return edges.select(F.explode(F.array("src", "dst")).alias("id")).groupBy("id").agg(F.count(F.lit(1)).alias("degree"))
+
+
+def read_edge_text(spark: SparkSession, path: str, sep: str = r"\s+", comment: str = "#") -> DataFrame:
+    """Edge list in text, two ids a line, comment lines allowed."""
+    lines = spark.read.text(path).where(~F.startswith(F.ltrim("value"), F.lit(comment)) & (F.length(F.trim("value")) > 0))
+    parts = F.split(F.trim("value"), sep)
+    return edges_from(lines.select(parts[0].cast("long").alias("src"), parts[1].cast("long").alias("dst")))
+
+
+def read_edges(spark: SparkSession, path: str, kind: str = "parquet", src: str = "src", dst: str = "dst", **options) -> DataFrame:
+    return edges_from(spark.read.format(kind).options(**options).load(path), src, dst)
+
+
+def write_edges(edges: DataFrame, path: str, *partition_by: str, kind: str = "parquet") -> None:
+    edges.write.format(kind).partitionBy(*partition_by).save(path)
+
+
+def write_bucketed(edges: DataFrame, table: str, buckets: int, path: str) -> None:
+    """Edges bucketed and sorted by src, for joins without a further shuffle."""
+    edges.write.bucketBy(buckets, "src").sortBy("src").option("path", path).saveAsTable(table)
+
+
+def dense_ids(vertices: DataFrame, key: str = "key") -> DataFrame:
+    """(id, key): consecutive ids by hash partition offsets, without a global sort or a single task."""
+    parts = vertices.select(key).distinct().repartition(key).select(key, F.spark_partition_id().alias("p"))
+    from pyspark.sql import Window
+
+    from ..runtime import written
+
+    parts = written(parts.withColumn("k", F.row_number().over(Window.partitionBy("p").orderBy(key)) - 1), "ids")
+    sizes, before = sorted((r.p, r["count"]) for r in parts.groupBy("p").count().collect()), {}  # one row per partition
+    total = 0
+    for p, n in sizes:
+        before[p], total = total, total + n
+    offset = F.create_map(*[F.lit(x) for kv in before.items() for x in kv]) if before else F.create_map().cast("map<int,int>")
+    return parts.select((F.col("k") + F.element_at(offset, F.col("p"))).cast("long").alias("id"), F.col(key).alias("key"))
+
+
+# ---------------------------------------------------------------- graphs of the given tables
+
+_LETTERS = r"\p{L}+"
+
+
+def _tokens(df: DataFrame) -> DataFrame:
+    return df.withColumn("tokens", F.regexp_extract_all(F.lower("text"), F.lit(_LETTERS), F.lit(0)))
+
+
+def _part_supp(spark, d):
+    return load_table(spark, d, "lineitem").select((2 * F.col("l_partkey")).alias("src"), (2 * F.col("l_suppkey") + 1).alias("dst"))
+
+
+def _order_lines(spark, d):
+    o, li = load_table(spark, d, "orders").select("o_orderkey", "o_custkey"), load_table(spark, d, "lineitem").select("l_orderkey", "l_suppkey", "l_partkey")
+    return o.join(li, o["o_orderkey"] == li["l_orderkey"])
+
+
+def _cust_supp(spark, d):
+    return _order_lines(spark, d).select((2 * F.col("o_custkey")).alias("src"), (2 * F.col("l_suppkey") + 1).alias("dst"))
+
+
+def _cust_part(spark, d):
+    return _order_lines(spark, d).select((2 * F.col("o_custkey")).alias("src"), (2 * F.col("l_partkey") + 1).alias("dst"))
+
+
+def _pairs_within(df: DataFrame, group: list[str], member: str) -> DataFrame:
+    """Pairs of distinct members of a group; groups of the given tables are bounded by an order's lines or a bucket."""
+    one = df.select(*group, member).distinct()
+    return one.withColumnRenamed(member, "src").join(one.withColumnRenamed(member, "dst"), group).where("src < dst").select("src", "dst")
+
+
+def _copart(spark, d):
+    return _pairs_within(load_table(spark, d, "lineitem").select("l_orderkey", "l_partkey"), ["l_orderkey"], "l_partkey")
+
+
+def _cosupp(spark, d):
+    return _pairs_within(load_table(spark, d, "lineitem").select("l_orderkey", "l_suppkey"), ["l_orderkey"], "l_suppkey")
+
+
+def _part_day(spark, d):
+    day = F.datediff(F.col("l_shipdate").cast("date"), F.lit("1970-01-01").cast("date")).cast("long")
+    return load_table(spark, d, "lineitem").select((2 * F.col("l_partkey")).alias("src"), (2 * day + 1).alias("dst"))
+
+
+def _word_adjacency(spark, d):
+    t = _tokens(load_table(spark, d, "documents").select("text"))
+    pairs = F.explode(F.arrays_zip(F.expr("slice(tokens, 1, greatest(size(tokens) - 1, 0))").alias("a"), F.expr("slice(tokens, 2, greatest(size(tokens) - 1, 0))").alias("b")))
+    return t.select(pairs.alias("p")).select(F.col("p.a").alias("src"), F.col("p.b").alias("dst"))
+
+
+def _doc_word(spark, d):
+    t = _tokens(load_table(spark, d, "documents").select("doc_id", "text"))
+    return t.select(F.concat(F.lit("d"), F.col("doc_id").cast("string")).alias("src"), F.explode(F.transform(F.array_distinct("tokens"), lambda x: F.concat(F.lit("w"), x))).alias("dst"))
+
+
+def _conv_word(spark, d):
+    t = _tokens(load_table(spark, d, "conversations").select("conv_id", "text"))
+    return t.select(F.concat(F.lit("c"), F.col("conv_id").cast("string")).alias("src"), F.explode(F.transform(F.array_distinct("tokens"), lambda x: F.concat(F.lit("w"), x))).alias("dst"))
+
+
+def _page_link(spark, d):
+    t = load_table(spark, d, "pages").select("page_id", "html")
+    return t.select(F.concat(F.lit("p"), F.col("page_id").cast("string")).alias("src"), F.explode(F.transform(F.regexp_extract_all("html", F.lit('href="([^"]+)"'), F.lit(1)), lambda x: F.concat(F.lit("h"), x))).alias("dst"))
+
+
+def _user_bucket(unit: str, *more: str):
+    def build(spark, d):
+        ev = load_table(spark, d, "events").select(F.date_trunc(unit, "ts").alias("slot"), "user_id", *more)
+        return _pairs_within(ev, ["slot", *more], "user_id")
+
+    return build
+
+
+def _vec_near(spark, d, threshold: float = 0.3):
+    e = load_table(spark, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x))
+    e = e.select("vec_id", F.transform("v", lambda x: x / norm).alias("v"))
+    # An exact theta join, for tables of a few thousand vectors; larger ones need a banded key in front of it.
+    dot = F.aggregate(F.zip_with("v", "w", lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
+    other = e.select(F.col("vec_id").alias("dst"), F.col("v").alias("w"))
+    return e.join(other, F.col("vec_id") < F.col("dst")).where(dot >= threshold).select(F.col("vec_id").alias("src"), "dst")
+
+
+BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "part_supp": _part_supp,
+    "cust_supp": _cust_supp,
+    "cust_part": _cust_part,
+    "copart": _copart,
+    "cosupp": _cosupp,
+    "part_day": _part_day,
+    "word_adjacency": _word_adjacency,
+    "doc_word": _doc_word,
+    "conv_word": _conv_word,
+    "page_link": _page_link,
+    "user_hour": _user_bucket("hour"),
+    "user_hour_type": _user_bucket("hour", "event_type"),
+    "user_minute": _user_bucket("minute"),
+    "vec_near": _vec_near,
+}
+
+
+def graph(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """Canonical edges of a named graph."""
+    return edges_from(BUILDERS[name](spark, sf_dir))
+
+
+# ---------------------------------------------------------------- synthetic graphs
+
+
+def clique_ladder(spark: SparkSession, most: int, least: int = 2) -> DataFrame:
+    """Disjoint cliques of every size; a vertex of the clique of size k has coreness k - 1. Ids: 1000 k + i."""
+    k = spark.range(least, most + 1).select(F.col("id").alias("k"))
+    one = k.select("k", F.explode(F.sequence(F.lit(0), (F.col("k") - 1).cast("int"))).alias("i"))
+    pair = one.select("k", "i", F.explode(F.sequence(F.lit(0), (F.col("k") - 1).cast("int"))).alias("j")).where("i < j")
+    return pair.select((1000 * F.col("k") + F.col("i")).alias("src"), (1000 * F.col("k") + F.col("j")).alias("dst"))
+
+
+def random_graph(spark: SparkSession, n: int, m: int, seed: int = 0) -> DataFrame:
+    """About m edges between n vertices, drawn by a hash of the row number (the same on every retry)."""
+    end = lambda side: F.pmod(F.xxhash64(F.lit(seed), F.lit(side), "id"), F.lit(n)).alias(side)
+    return edges_from(spark.range(m).select(end("src"), end("dst")))
+
+
+def planted_core(spark: SparkSession, n: int, m: int, core: int, seed: int = 0) -> DataFrame:
+    """A random graph with a clique planted on the first `core` vertices."""
+    ids = spark.range(core).select(F.col("id").alias("src"))
+    clique = ids.join(spark.range(core).select(F.col("id").alias("dst")), F.col("src") < F.col("dst"))
+    return edges_from(random_graph(spark, n, m, seed).unionByName(clique))
+
+
+def path_graph(spark: SparkSession, n: int) -> DataFrame:
+    return spark.range(n - 1).select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"))
+
+
+def star_graph(spark: SparkSession, leaves: int) -> DataFrame:
+    return spark.range(1, leaves + 1).select(F.lit(0).cast("long").alias("src"), F.col("id").alias("dst"))
