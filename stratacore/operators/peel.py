@@ -18,6 +18,8 @@ from ..runtime import Rounds, shared_dir, written
 from ..sources import arcs, degrees
 
 PINNED = 1 << 40
+#: Edges that one task may peel (about 16 bytes each, and as much again while peeling).
+LOCAL_EDGES = 20_000_000
 
 
 # ---------------------------------------------------------------- one task
@@ -135,9 +137,12 @@ def exclusive_labels(edges: DataFrame, settled: DataFrame | None = None, cap: in
 
 
 def exact_coreness(edges: DataFrame, method: str = "refine", rounds: Rounds | None = None) -> DataFrame:
-    """(id, coreness) by 'waves' (strip degree <= k for k = 0, 1, ..), 'refine' (h-index sweeps) or 'local' (one task)."""
+    """(id, coreness) by 'waves' (strip degree <= k for k = 0, 1, ..), 'refine' (h-index sweeps), 'local' (one task), or
+    'auto': local where a count shows that one task may hold the edges, else refine."""
     if method == "waves":
         return _waves(edges, rounds or Rounds())
+    if method == "auto":
+        method = "local" if edges.limit(LOCAL_EDGES + 1).count() <= LOCAL_EDGES else "refine"
     out = exclusive_labels(edges, None, None, "local" if method == "local" else "distributed", rounds)
     return out.select("id", F.col("label").alias("coreness"))
 

@@ -1 +1 @@
-
+"""Measures, experiments and the SQL that checks them."""

@@ -1 +1,172 @@
+"""One-pass, insert-only maintenance of the sketch over a stream of edges, and windowed twins.
 
+With nested hashes and inserts only, the state after any prefix equals the batch sketch of that prefix, whatever the
+order: settled sets only grow, and an edge that became useless stays useless. So a micro-batch is taken in level by
+level, each touched level is relabelled once, and when a level's settled set grows all later levels are relabelled.
+The state is versioned Parquet: one folder per committed batch, and a pointer written last, so that a replayed batch
+is recognised and a lost driver resumes from the last commit.
+"""
+
+from __future__ import annotations
+
+import math
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..functions import edge_u52, first_level
+from ..operators.peel import _flagged, exclusive_local, exclusive_refined
+from ..params import SketchParams, rate_schedule
+from ..runtime import written
+from ..sources import edges_from
+
+
+class StreamingSketch:
+    """State: kept edges (src, dst, first_level) that some level still needs, and settled labels by level.
+
+    `n_upper` must be set (the stream's number of vertices is not known in advance). A touched level is peeled anew.
+    """
+
+    def __init__(self, spark: SparkSession, p: SketchParams):
+        if p.n_upper is None:
+            raise ValueError("a stream needs n_upper")
+        if p.sampler != "nested":
+            raise ValueError("a stream needs nested samples")
+        self.spark, self.p = spark, p
+        self.levels = rate_schedule(p.n_upper, p)
+        self.edges: DataFrame | None = None
+        self.settled: list[DataFrame | None] = [None] * len(self.levels)
+        self.last_batch = -1
+        self.touched: list[int] = []
+
+    # ------------------------------------------------------------ taking edges in
+
+    def add(self, edges: DataFrame, batch_id: int | None = None) -> None:
+        """Insert a batch; one that was committed already is skipped (replay after a restart)."""
+        if batch_id is not None and batch_id <= self.last_batch:
+            return
+        p = self.p
+        new = edges_from(edges).withColumn("u", edge_u52(F.col("src"), F.col("dst"), p.seed, p.hash))
+        new = new.select("src", "dst", first_level(F.col("u"), [x.rate for x in self.levels]).alias("first_level"))
+        if self.edges is not None:
+            new = new.join(self.edges.select("src", "dst"), ["src", "dst"], "left_anti")
+        new = written(new, "stream-new")
+        lows = {r.first_level for r in new.groupBy("first_level").count().collect()}  # one row per level
+        if lows:
+            self.edges = new if self.edges is None else written(self.edges.unionByName(new), "stream-edges")
+            self._relabel(min(lows))
+            self._prune()
+        self.last_batch = batch_id if batch_id is not None else self.last_batch + 1
+
+    def _before(self, level: int) -> DataFrame | None:
+        out = None
+        for s in self.settled[:level]:
+            if s is not None:
+                out = s.select("id") if out is None else out.unionByName(s.select("id"))
+        return out
+
+    def sample(self, level: int) -> DataFrame:
+        """The level's sample: hash reached, and not both ends settled by earlier levels."""
+        h = self.edges.where(F.col("first_level") <= level).select("src", "dst")
+        return _flagged(h, self._before(level)).where(~(F.col("su") & F.col("sv")))
+
+    def _relabel(self, start: int) -> None:
+        """Peel every level from the first touched one: a later level sees either a new edge or a new settled set."""
+        p = self.p
+        self.touched.append(len(self.levels) - start)
+        for lv in self.levels[start:]:
+            h = written(self.sample(lv.level), "stream-sample")
+            local = p.peeler == "local" or (p.peeler == "auto" and h.count() <= p.max_local_edges)
+            raw = exclusive_local(h).select("id", "raw") if local else exclusive_refined(h, None if math.isinf(lv.cap) else math.ceil(lv.cap))
+            took = raw if lv.rate >= 1 else raw.where(F.col("raw") >= lv.accept)
+            factor = (1.0 if not p.deflate or (p.exact_last and lv.rate >= 1) else 1 - p.eps) / (1 - 2 * p.eps if p.side == "upper" else 1)
+            clip = F.col("raw").cast("double") if math.isinf(lv.cap) else F.least(F.col("raw").cast("double"), F.lit(float(lv.cap)))
+            kept = F.col("raw") if math.isinf(lv.cap) else F.least("raw", F.lit(math.ceil(lv.cap)))
+            took = took.select("id", (F.lit(factor) * clip / F.lit(lv.rate)).alias("label"), F.lit(lv.level).alias("level"), kept.cast("long").alias("raw"), F.lit(lv.rate).alias("rate"))
+            self.settled[lv.level] = written(took, f"stream-settled-{lv.level}")
+
+    def _prune(self) -> None:
+        """Drop edges that no level can need again: both ends settled before the level that first holds them."""
+        when = None
+        for s in self.settled[:-1]:
+            if s is not None:
+                when = s.select("id", "level") if when is None else when.unionByName(s.select("id", "level"))
+        if when is None:
+            return
+        a, b = when.select(F.col("id").alias("src"), F.col("level").alias("x")), when.select(F.col("id").alias("dst"), F.col("level").alias("y"))
+        both = self.edges.join(a, "src", "left").join(b, "dst", "left")
+        dead = F.coalesce(F.greatest("x", "y") < F.col("first_level"), F.lit(False)) & F.col("x").isNotNull() & F.col("y").isNotNull()
+        self.edges = written(both.where(~dead).select("src", "dst", "first_level"), "stream-edges")
+
+    # ------------------------------------------------------------ reading the state
+
+    def labels(self) -> DataFrame:
+        out = None
+        for s in self.settled:
+            if s is not None:
+                out = s if out is None else out.unionByName(s)
+        if out is None:
+            raise ValueError("no edge was taken in yet")
+        return out
+
+    def space(self) -> list[tuple[int, int]]:
+        """(level, edges) of the samples that the state can produce."""
+        return [] if self.edges is None else [(lv.level, self.sample(lv.level).count()) for lv in self.levels]
+
+    def save(self, path: str) -> None:
+        """Commit the state under its batch id; the pointer is written last."""
+        at = f"{path}/batch-{self.last_batch}"
+        self.edges.write.mode("overwrite").parquet(f"{at}/edges")
+        self.labels().write.mode("overwrite").parquet(f"{at}/labels")
+        self.spark.createDataFrame([(self.last_batch,)], "batch long").coalesce(1).write.mode("append").parquet(f"{path}/commits")
+
+    @classmethod
+    def load(cls, spark: SparkSession, path: str, p: SketchParams) -> StreamingSketch:
+        out = cls(spark, p)
+        out.last_batch = spark.read.parquet(f"{path}/commits").agg(F.max("batch")).first()[0]
+        at = f"{path}/batch-{out.last_batch}"
+        out.edges = spark.read.parquet(f"{at}/edges")
+        labels = spark.read.parquet(f"{at}/labels")
+        out.settled = [labels.where(F.col("level") == lv.level) for lv in out.levels]
+        return out
+
+    def start(self, stream: DataFrame, checkpoint: str, state: str | None = None, trigger: dict | None = None):
+        """Run on a streaming DataFrame (src, dst): every micro-batch is inserted, and committed when `state` is given."""
+
+        def take(batch: DataFrame, batch_id: int) -> None:
+            self.add(batch, batch_id)
+            if state:
+                self.save(state)
+
+        return stream.writeStream.foreachBatch(take).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
+
+
+def read_edge_stream(spark: SparkSession, path: str, schema: str, kind: str = "parquet", late: str | None = None) -> DataFrame:
+    """Edges from files, one file a micro-batch. Late edges are valid (order does not matter); late='1 hour' drops them."""
+    s = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).format(kind).load(path)
+    return s.withWatermark("edge_ts", late) if late else s
+
+
+def tumbling_degrees(edges: DataFrame, width: str, slide: str | None = None) -> DataFrame:
+    """(start, id, degree) per time window of (edge_ts, src, dst): works on streams and on tables alike."""
+    ends = edges.select("edge_ts", F.explode(F.array(F.struct(F.col("src").alias("id"), F.col("dst").alias("of")), F.struct(F.col("dst").alias("id"), F.col("src").alias("of")))).alias("e"))
+    slot = F.window("edge_ts", width, slide) if slide else F.window("edge_ts", width)
+    return ends.groupBy(slot.alias("w"), "e.id").agg(F.approx_count_distinct("e.of").alias("degree")).select(F.col("w.start").alias("start"), "id", "degree")
+
+
+def multi_pass(source, p: SketchParams, n: int):
+    """The sketch by one pass over `source()` (a function giving the edges anew) per level, keeping one sample at a time.
+
+    Yields (level, labels): memory is the largest sample instead of their sum."""
+    settled = None
+    for lv in rate_schedule(n, p):
+        u = edge_u52(F.col("src"), F.col("dst"), p.seed, p.hash)
+        edges = edges_from(source()).where(u <= int(lv.rate * (1 << 52))) if lv.rate < 1 else edges_from(source())
+        h = _flagged(edges, settled).where(~(F.col("su") & F.col("sv")))
+        raw = exclusive_local(h).select("id", "raw")
+        took = raw if lv.rate >= 1 else raw.where(F.col("raw") >= lv.accept)
+        factor = 1.0 if not p.deflate or (p.exact_last and lv.rate >= 1) else 1 - p.eps
+        clip = F.col("raw").cast("double") if math.isinf(lv.cap) else F.least(F.col("raw").cast("double"), F.lit(float(lv.cap)))
+        took = written(took.select("id", (F.lit(factor) * clip / F.lit(lv.rate)).alias("label"), F.lit(lv.level).alias("level")), "pass")
+        settled = took if settled is None else settled.unionByName(took)
+        yield lv.level, took
