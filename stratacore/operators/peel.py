@@ -113,14 +113,17 @@ def exclusive_refined(edges: DataFrame, cap: int | None = None, rounds: Rounds |
     return values.where(F.col("value") < PINNED).select("id", F.col("value").alias("raw"))
 
 
-def _flagged(edges: DataFrame, settled: DataFrame | None) -> DataFrame:
-    """edges with su, sv: whether an end is in the settled (id) table. Broadcast only behind a row check."""
-    from ..runtime import fits_broadcast
+def _flagged(edges: DataFrame, settled: DataFrame | None, rows: int | None = None) -> DataFrame:
+    """edges with su, sv: whether an end is in the settled (id) table. Broadcast only behind a row check.
+
+    rows: the number of settled ids where the caller knows it (and knows that they are distinct)."""
+    from ..runtime import BROADCAST_ROWS, fits_broadcast
 
     if settled is None:
         return edges.withColumns({"su": F.lit(False), "sv": F.lit(False)})
-    ids = settled.select("id").distinct()
-    ids = F.broadcast(ids) if fits_broadcast(ids) else ids
+    ids = settled.select("id") if rows is not None else settled.select("id").distinct()
+    small = rows <= BROADCAST_ROWS if rows is not None else fits_broadcast(ids)
+    ids = F.broadcast(ids) if small else ids
     one = edges.join(ids.select(F.col("id").alias("src"), F.lit(True).alias("_u")), "src", "left")
     both = one.join(ids.select(F.col("id").alias("dst"), F.lit(True).alias("_v")), "dst", "left")
     return both.select(*edges.columns, F.coalesce("_u", F.lit(False)).alias("su"), F.coalesce("_v", F.lit(False)).alias("sv"))

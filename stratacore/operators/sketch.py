@@ -64,9 +64,9 @@ def sketch_coreness(edges: DataFrame, p: SketchParams, n: int | None = None) ->
     levels, rounds = rate_schedule(n, p), Rounds()
     annotated = written(annotate(edges, p, [x.rate for x in levels]), "annotated", "first_level")
     kind = edges.schema["src"].dataType.simpleString()
-    settled, samples, space = None, [], []
+    settled, n_settled, samples, space = None, 0, [], []
     for lv in levels:
-        h = _flagged(level_sample(annotated, lv.level, lv.rate, p).select("src", "dst"), settled).where(~(F.col("su") & F.col("sv")))
+        h = _flagged(level_sample(annotated, lv.level, lv.rate, p).select("src", "dst"), settled, n_settled).where(~(F.col("su") & F.col("sv")))
         fused = p.rounds == "fused" and p.peeler == "local" and not p.prepeel
         low = None
         if not fused:
@@ -77,7 +77,7 @@ def sketch_coreness(edges: DataFrame, p: SketchParams, n: int | None = None) ->
         if p.prepeel and size:
             fixed = None if settled is None else settled.select("id")
             rest, low = prepeel_labels(h.select("src", "dst"), p.prepeel, fixed)
-            rest = _flagged(rest, settled)
+            rest = _flagged(rest, settled, n_settled)
             peeled = rest.count()
         raw = _peel(rest, peeled, lv.cap, p, rounds)
         if low is not None:
@@ -89,6 +89,7 @@ def sketch_coreness(edges: DataFrame, p: SketchParams, n: int | None = None) ->
         took = written(took, f"settled-{lv.level}")
         rounds.levels, rounds.jobs = rounds.levels + 1, rounds.jobs + 1
         settled = took if settled is None else settled.unionByName(took)
+        n_settled += took.count()  # from the footers of the table just written
         samples.append(h.select(F.lit(lv.level).alias("level"), "src", "dst"))
         space.append((lv.level, lv.rate, size, peeled))
     sample = samples[0]

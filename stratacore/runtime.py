@@ -39,7 +39,11 @@ def written(df: DataFrame, label: str, *partition_by: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path).select(*df.columns)
 
 
-def fits_broadcast(df: DataFrame, rows: int = 2_000_000) -> bool:
+#: Ids that may be broadcast: 16 MB of longs, a few times that as a hash table.
+BROADCAST_ROWS = 2_000_000
+
+
+def fits_broadcast(df: DataFrame, rows: int = BROADCAST_ROWS) -> bool:
     """Whether df has at most `rows` rows: asked before any broadcast of something that grows with the data."""
     return df.limit(rows + 1).count() <= rows
 
