@@ -40,5 +40,5 @@ def sketch_label(raw: Column, rate: Column, eps: float, cap: Column) -> Column:
 def register(spark: SparkSession) -> None:
     """SQL functions: edge_uniform(src, dst, seed), h_index(array), sketch_label(raw, rate, eps, cap)."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION edge_uniform(src BIGINT, dst BIGINT, seed BIGINT) RETURNS DOUBLE RETURN shiftrightunsigned(xxhash64(cast(seed AS STRING), src, dst), 12) / 4503599627370496D")
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION h_index(v ARRAY<BIGINT>) RETURNS BIGINT RETURN coalesce(array_max(zip_with(sort_array(v, false), sequence(1L, greatest(1L, cast(size(v) AS BIGINT))), (a, k) -> least(a, k))), 0L)")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION h_index(v ARRAY<BIGINT>) RETURNS BIGINT RETURN CASE WHEN size(v) > 0 THEN array_max(zip_with(sort_array(v, false), sequence(1L, cast(size(v) AS BIGINT)), (a, k) -> least(a, k))) ELSE 0L END")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION sketch_label(raw DOUBLE, rate DOUBLE, eps DOUBLE, cap DOUBLE) RETURNS DOUBLE RETURN (1 - eps) * least(raw, cap) / rate")

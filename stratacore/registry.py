@@ -129,8 +129,8 @@ _query("sketch_distributed", _T3)(lambda s, d: _labels(sketch_coreness(graph(s,
 _PP = replace(BASE, p0=2**-5)
 _query("sketch_prepeel", sketch_chain("part_supp", _PP) + _LABELS_SQL)(lambda s, d: _labels(sketch_coreness(graph(s, d, "part_supp"), replace(_PP, prepeel=3))))
 _THEORY = SketchParams(hash="md5", p0=1.0)
-_query("sketch_theory", coreness("cust_supp") + " SELECT id, round(0.75 * v, 6) AS label, 0 AS level, v AS raw FROM c")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), SketchParams(hash="md5"))))
-_query("sketch_upper", coreness("cust_supp") + " SELECT id, round(1.5 * v, 6) AS label, 0 AS level, v AS raw FROM c")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), SketchParams(side="upper"))))
+_query("sketch_theory", coreness("cust_supp") + " SELECT id, round(CAST(0.75 AS DOUBLE) * v, 6) AS label, 0 AS level, v AS raw FROM c")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), SketchParams(hash="md5"))))
+_query("sketch_upper", coreness("cust_supp") + " SELECT id, round(CAST(1.5 AS DOUBLE) * v, 6) AS label, 0 AS level, v AS raw FROM c")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), SketchParams(side="upper"))))
 _query("sketch_exact_last", coreness("cust_supp") + " SELECT id, CAST(v AS DOUBLE) AS label, 0 AS level, v AS raw FROM c")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), SketchParams(exact_last=True))))
 _query("sketch_fresh")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), replace(BASE, sampler="fresh", p0=2**-6))))
 _query("sketch_doc_word", sketch_chain("doc_word", replace(BASE, p0=2**-8)) + _LABELS_SQL)(lambda s, d: _labels(sketch_coreness(graph(s, d, "doc_word"), replace(BASE, p0=2**-8))))
@@ -347,9 +347,14 @@ def _supplier_core(s, d):
 
 
 _SC = coreness("part_supp") + ", sc AS (SELECT s_suppkey, s_nationkey, v AS coreness FROM supplier JOIN c ON c.id = 2 * s_suppkey + 1)"
-_by_nation = Window.partitionBy("s_nationkey").orderBy(F.desc("coreness"), "s_suppkey")
-_query("op_rank_core", _SC + " SELECT s_suppkey, coreness, rank() OVER (PARTITION BY s_nationkey ORDER BY coreness DESC) AS rk, row_number() OVER w AS rn, ntile(3) OVER w AS third, lag(coreness) OVER w AS before FROM sc WINDOW w AS (PARTITION BY s_nationkey ORDER BY coreness DESC, s_suppkey)")(lambda s, d: _supplier_core(s, d).select("s_suppkey", "coreness", F.rank().over(Window.partitionBy("s_nationkey").orderBy(F.desc("coreness"))).alias("rk"), F.row_number().over(_by_nation).alias("rn"), F.ntile(3).over(_by_nation).alias("third"), F.lag("coreness").over(_by_nation).alias("before")))
-_query("op_topk_per_nation", _SC + " SELECT s_nationkey, s_suppkey, coreness FROM sc QUALIFY row_number() OVER (PARTITION BY s_nationkey ORDER BY coreness DESC, s_suppkey) <= 2")(lambda s, d: _supplier_core(s, d).withColumn("k", F.row_number().over(_by_nation)).where("k <= 2").select("s_nationkey", "s_suppkey", "coreness"))
+
+
+def _by_nation():
+    return Window.partitionBy("s_nationkey").orderBy(F.desc("coreness"), "s_suppkey")
+
+
+_query("op_rank_core", _SC + " SELECT s_suppkey, coreness, rank() OVER (PARTITION BY s_nationkey ORDER BY coreness DESC) AS rk, row_number() OVER w AS rn, ntile(3) OVER w AS third, lag(coreness) OVER w AS before FROM sc WINDOW w AS (PARTITION BY s_nationkey ORDER BY coreness DESC, s_suppkey)")(lambda s, d: _supplier_core(s, d).select("s_suppkey", "coreness", F.rank().over(Window.partitionBy("s_nationkey").orderBy(F.desc("coreness"))).alias("rk"), F.row_number().over(_by_nation()).alias("rn"), F.ntile(3).over(_by_nation()).alias("third"), F.lag("coreness").over(_by_nation()).alias("before")))
+_query("op_topk_per_nation", _SC + " SELECT s_nationkey, s_suppkey, coreness FROM sc QUALIFY row_number() OVER (PARTITION BY s_nationkey ORDER BY coreness DESC, s_suppkey) <= 2")(lambda s, d: _supplier_core(s, d).withColumn("k", F.row_number().over(_by_nation())).where("k <= 2").select("s_nationkey", "s_suppkey", "coreness"))
 _query("op_topk_core", _SC + " SELECT s_suppkey, coreness FROM sc ORDER BY coreness DESC, s_suppkey LIMIT 10")(lambda s, d: _supplier_core(s, d).select("s_suppkey", "coreness").orderBy(F.desc("coreness"), "s_suppkey").limit(10))
 _query("op_cum_core", coreness("part_supp") + " SELECT v AS k, sum(count(*)) OVER (ORDER BY v DESC)::BIGINT AS vertices FROM c GROUP BY v")(lambda s, d: peel.exact_coreness(graph(s, d, "part_supp"), "auto").groupBy(F.col("coreness").alias("k")).agg(F.count(F.lit(1)).alias("n")).select("k", F.sum("n").over(Window.orderBy(F.desc("k"))).alias("vertices")))
 _query("op_core_hist", coreness("part_supp") + " SELECT v AS coreness, count(*) AS vertices FROM c GROUP BY v")(lambda s, d: peel.exact_coreness(graph(s, d, "part_supp"), "auto").groupBy("coreness").agg(F.count(F.lit(1)).alias("vertices")))
