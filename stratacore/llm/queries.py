@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import op1_quality, op2_links, op10_decontaminate, op3_token_file, op4_pieces, op5_language, op6_jaccard, op7_lines, op8_windows, op9_personal
+from . import op1_quality, op2_links, op10_decontaminate, op3_token_file, op4_pieces, op5_language, op6_jaccard, op7_lines, op8_windows, op9_personal, sqltext
 from .common import table
 
 WORD_TOKENIZER = "word_bpe_49k.json"
@@ -77,4 +77,10 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_decontaminate": op10_decontaminate_query,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op1_quality": sqltext.OP1,
+    "op2_links": sqltext.OP2,
+    "op6_jaccard": sqltext.OP6,
+    "op7_lines": sqltext.OP7,
+    "op8_windows": sqltext.OP8,
+}
