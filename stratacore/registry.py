@@ -135,7 +135,7 @@ _query("sketch_exact_last", coreness("cust_supp") + " SELECT id, CAST(v AS DOUBL
 _query("sketch_fresh")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), replace(BASE, sampler="fresh", p0=2**-6))))
 _query("sketch_doc_word", sketch_chain("doc_word", replace(BASE, p0=2**-8)) + _LABELS_SQL)(lambda s, d: _labels(sketch_coreness(graph(s, d, "doc_word"), replace(BASE, p0=2**-8))))
 _SCHED = rate_schedule(1000, BASE)
-_query("sketch_levels", "SELECT * FROM (VALUES " + ", ".join(f"({x.level}, CAST({x.rate!r} AS DOUBLE), CAST({x.accept!r} AS DOUBLE))" for x in _SCHED) + ") t(level, rate, accept)")(lambda s, d: s.createDataFrame([(x.level, x.rate, x.accept) for x in rate_schedule(1000, BASE)], "level int, rate double, accept double"))
+_query("sketch_levels", "SELECT * FROM (VALUES " + ", ".join(f"({x.level}, CAST({x.rate!r} AS DOUBLE), CAST({x.accept!r} AS DOUBLE))" for x in _SCHED) + ") t(level, rate, accept)")(lambda s, d: s.createDataFrame([(x.level, float(x.rate), float(x.accept)) for x in rate_schedule(1000, BASE)], "level int, rate double, accept double"))
 
 
 def _space(s, d):
