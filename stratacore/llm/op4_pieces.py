@@ -20,6 +20,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .chunks import ChunkTable
 
@@ -65,7 +66,7 @@ def _chunks(text: str) -> list[str]:
 def encode_pieces(docs: DataFrame, model_path: str, text_column: str = "text", ids_column: str = "ids", decoded_column: str = "decoded") -> DataFrame:
     """docs with two more columns: array<int> ids and the decoded text. An input column of such a name is replaced."""
     kept = docs.drop(ids_column, decoded_column)
-    schema = kept.schema.add(ids_column, "array<int>").add(decoded_column, "string")
+    schema = T.StructType([*kept.schema.fields, T.StructField(ids_column, T.ArrayType(T.IntegerType())), T.StructField(decoded_column, T.StringType())])
     at = kept.columns.index(text_column)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -145,11 +145,15 @@ def personal_spans(docs: DataFrame, id_column: str = "doc_id", text_column: str
     return found.join(extra, "row", "left").select("doc_id", "base", F.coalesce("extra", F.expr("cast(array() as array<struct<start: int, kind: int, end: int>>)")).alias("extra"))
 
 
+def _of_kind(k: int):
+    return lambda s: s["kind"] == k
+
+
 def personal_digests(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
     """(doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans); the counts are those of the base matches."""
     rows = personal_spans(docs, id_column, text_column)
     names = F.array(*[F.lit(k) for k in KINDS])
     joined = lambda spans: F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.get(names, s["kind"]), s["start"].cast("string"), s["end"].cast("string"))), ",")
-    counts = [F.size(F.filter("base", lambda s, k=k: s["kind"] == k)).cast("long").alias(f"n_{KINDS[k]}") for k in range(4)]
+    counts = [F.size(F.filter("base", _of_kind(k))).cast("long").alias(f"n_{KINDS[k]}") for k in range(4)]
     return rows.select("doc_id", *counts, F.sha2(joined(F.col("base")), 256).alias("base_sha256"), joined(F.sort_array(F.concat("base", "extra"))).alias("spans"))
 
