@@ -199,7 +199,7 @@ def _approx_core(s, d):
     return cores.approx_k_core(e, sk.labels, 20, 0.5)[0]
 
 
-_APPROX = _CHAIN + ", some AS (SELECT id FROM settled WHERE label >= 10), f AS (SELECT src, dst FROM e WHERE src IN (SELECT id FROM some) AND dst IN (SELECT id FROM some)), " + fixpoint("a", "f") + " SELECT id FROM a WHERE v >= 10"
+_APPROX = _CHAIN + ", picked AS (SELECT id FROM settled WHERE label >= 10), f AS (SELECT src, dst FROM e WHERE src IN (SELECT id FROM picked) AND dst IN (SELECT id FROM picked)), " + fixpoint("a", "f") + " SELECT id FROM a WHERE v >= 10"
 _query("approx_kcore", _APPROX)(_approx_core)
 _query("degree_conc")(lambda s, d: measures.degree_concentration(graph(s, d, "user_hour"), graph(s, d, "user_hour").where(fn.edge_uniform(F.col("src"), F.col("dst")) <= 0.5), 0.5, 100, 0.5))
 _query("degree_conc_in")(lambda s, d: measures.degree_concentration(arcs(graph(s, d, "user_hour")), arcs(graph(s, d, "user_hour")).where(fn.edge_uniform(F.col("src"), F.col("dst")) <= 0.5), 0.5, 100, 0.5, "in"))
