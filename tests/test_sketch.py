@@ -46,7 +46,7 @@ def test_space_and_isolated(spark, edges):
 
 def test_stream_equals_batch_on_prefixes_in_any_order(spark):
     e = written(random_graph(spark, 60, 700, 4), "edges")
-    parts = [written(x, "part") for x in e.randomSplit([1, 1, 1], 7)]
+    parts = [written(x, "part") for x in e.randomSplit([1.0, 1.0, 1.0], 7)]
     p = replace(P, n_upper=64, p0=2**-3)
     for order in ((0, 1, 2), (2, 0, 1)):
         sk, seen = StreamingSketch(spark, p), None
