@@ -35,10 +35,11 @@ from .wordhash import grams, hashed, mix
 
 SHINGLE, NUMERATOR, DENOMINATOR = 5, 75, 100
 #: Bytes of text for each bucket of prints, and the hashes that one packed slice holds.
-BUCKET_BYTES, SLICE_HASHES = 4 << 20, 1 << 20
+#: A slice also holds fewer texts than the 16 bits that number them.
+BUCKET_BYTES, SLICE_HASHES, SLICE_TEXTS, SHARED_HERE = 4 << 20, 1 << 20, 60_000, 0xFFFF
 NO_ID = -(2**63)
-#: Cost of passing one entry of a scanned list, in units of one row that is made and shuffled.
-SCAN_COST = 1 / 64
+#: Cost of passing one entry of a scanned list (a few integer comparisons), in units of a row that is made and shuffled twice.
+SCAN_COST = 1 / 512
 _U = np.uint64
 
 
@@ -88,7 +89,7 @@ def _print_rows(bits: int, size: int):
         shared_here = np.repeat(times > 1, times)
         local = np.bincount(text[shared_here], minlength=len(n))
         # One entry for each hash of the slice; the owner is kept only where the slice itself does not know it as shared.
-        owner = np.where(times > 1, np.uint32(0xFFFFFFFF), text[first])
+        owner = np.where(times > 1, SHARED_HERE, text[first])
         value = value[first]
         prints = ((value >> _U(24 - bits)) & _U(0xFFFFFFFFFF)).astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5]
         cuts = np.searchsorted(value, np.arange(1, 1 << bits, dtype=_U) << _U(64 - bits))
@@ -99,7 +100,7 @@ def _print_rows(bits: int, size: int):
             [*full.tolist(), int(mix(np.array([slice_id], _U))[0] & _U((1 << bits) - 1))],
             [slice_id] * (len(full) + 1),
             [*(prints[cuts[k] : cuts[k + 1]].tobytes() for k in full), facts],
-            [*(owner[cuts[k] : cuts[k + 1]].astype("<u4").tobytes() for k in full), b""],
+            [*(owner[cuts[k] : cuts[k + 1]].astype("<u2").tobytes() for k in full), b""],
             [0] * len(full) + [len(n)],
         ]
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.int32()), strict=True)], ["bucket", "slice", "prints", "texts", "n"])
@@ -107,15 +108,15 @@ def _print_rows(bits: int, size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        slice_id, parts, held = TaskContext.get().partitionId() << 32, [], 0
+        slice_id, parts, held, texts = TaskContext.get().partitionId() << 32, [], 0, 0
         for b in batches:
             ids = b.column(0).to_numpy()
             for first, value, n in shingle_sets(b.column(1), size):
-                parts.append((ids[first : first + len(n)], value, n))
-                held += len(value)
-                if held >= SLICE_HASHES:
+                if parts and (held + len(value) > SLICE_HASHES or texts + len(n) > SLICE_TEXTS):
                     yield from pack(slice_id, parts)
-                    slice_id, parts, held = slice_id + 1, [], 0
+                    slice_id, parts, held, texts = slice_id + 1, [], 0, 0
+                parts.append((ids[first : first + len(n)], value, n))
+                held, texts = held + len(value), texts + len(n)
         if parts:
             yield from pack(slice_id, parts)
 
@@ -130,9 +131,9 @@ def _answer(table: pa.Table) -> pa.Table:
     value = np.zeros((len(raw), 8), np.uint8)
     value[:, :5] = raw
     value = value.view("<u8").ravel()
-    owner = np.frombuffer(b"".join(r["texts"] for r in rows), "<u4")
+    owner = np.frombuffer(b"".join(r["texts"] for r in rows), "<u2")
     _, back, times = np.unique(value, return_inverse=True, return_counts=True)
-    shared = (times > 1)[back] & (owner != 0xFFFFFFFF)
+    shared = (times > 1)[back] & (owner != SHARED_HERE)
     out, at = [], 0
     for r in rows:
         k = len(r["prints"]) // 5
