@@ -14,7 +14,7 @@ the counts that reach the share of the slice.
 Windows with equal hashes are compared as text before a word is removed: nothing is removed on a hash alone.
 
 Edge cases: null text or fewer words than a window: nothing to remove; windows overlapping themselves count as later
-starts; rows are ordered by (doc_id, text hash), so repeated ids have a fixed order, null first (rows
+starts; rows are ordered by (doc_id, text checksum), so repeated ids have a fixed order, null first (rows
 equal in both are one start); empty table: empty
 result; other columns are ignored.
 """
@@ -37,7 +37,8 @@ from .wordhash import grams, hashed, mix
 
 WINDOW, GRAM = 20, 4
 HEAVY_SHARE = 1 / 2000
-BUCKET_BYTES, SLICE_BYTES = 4 << 20, 4 << 20
+#: Bytes of packed strings that a bucket and a map slice hold: large enough for a slice to compress what it sends.
+BUCKET_BYTES, SLICE_BYTES = 16 << 20, 24 << 20
 NO_ID = -(2**63)
 _U = np.uint64
 
@@ -82,29 +83,43 @@ def _heavy(rows: DataFrame, window: int, gram: int) -> list[int]:
     return [r.m for r in counts.where(F.col("k") > max(50, HEAVY_SHARE * total)).select("m").collect()]
 
 
-#: One packed item: text id, first word, number of windows, bytes of its string.
-_HEAD = "<qqIII"
+def _blob(items: list[tuple[int, int, int, int]], texts: list[bytes]) -> bytes:
+    """Columns of (doc, tie, first word, number of windows, bytes of the string), then the strings."""
+    doc, tie, first, n = np.array(items, np.int64).reshape(-1, 4).T
+    parts = (doc.astype("<i8"), tie.astype("<i4"), first.astype("<u4"), n.astype("<u4"), np.array([len(t) for t in texts] or np.zeros(len(items)), "<u4"))
+    return struct.pack("<I", len(items)) + b"".join(x.tobytes() for x in parts) + b"".join(texts)
+
+
+def _unblob(data: bytes) -> tuple[list[tuple[int, int, int, int]], list[bytes]]:
+    (k,), at, columns = struct.unpack_from("<I", data), 4, []
+    for kind, width in (("<i8", 8), ("<i4", 4), ("<u4", 4), ("<u4", 4), ("<u4", 4)):
+        columns.append(np.frombuffer(data, kind, k, at).tolist())
+        at += width * k
+    ends = (at + np.cumsum(columns[4])).tolist()
+    return list(zip(*columns[:4], strict=True)), [data[e - n : e] for e, n in zip(ends, columns[4], strict=True)]
 
 
 def _pack(window: int, gram: int, bits: int, heavy: list[int]):
     """mapInArrow function from (doc, tie, text) to (bucket, blob) rows; a blob holds strings, or covered ranges."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        squeeze = zstandard.ZstdCompressor(level=1)
+        squeeze = zstandard.ZstdCompressor(level=3)
         often = np.sort(np.array(heavy, np.int64).view(_U))
 
         def blobs(strings: dict[bytes, list], turn: int) -> Iterator[pa.RecordBatch]:
-            parts: dict[int, list[bytes]] = {}
+            parts: dict[int, tuple[list, list]] = {}
             covered = []
             for text, (bucket, where) in strings.items():
                 first = min(where)
-                parts.setdefault(bucket, []).append(struct.pack(_HEAD, *first, len(text)) + text)
+                items, texts = parts.setdefault(bucket, ([], []))
+                items.append(first), texts.append(text)
                 covered += [w for w in where if w != first]
-            buckets, data, kinds = list(parts), [squeeze.compress(b"".join(p)) for p in parts.values()], [0] * len(parts)
+            rows = [(bucket, 0, _blob(*p)) for bucket, p in parts.items()]
             if covered:
-                buckets.append(turn % (1 << bits)), kinds.append(1)
-                data.append(squeeze.compress(b"".join(struct.pack(_HEAD, *w, 0) for w in covered)))
-            yield pa.RecordBatch.from_arrays([pa.array(buckets, pa.int32()), pa.array(kinds, pa.int32()), pa.array(data, pa.binary())], ["bucket", "kind", "blob"])
+                rows.append((turn % (1 << bits), 1, _blob(covered, [])))
+            for k in range(0, len(rows), 64):  # compressed a few at a time, to bound memory
+                buckets, kinds, data = zip(*rows[k : k + 64], strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(buckets, pa.int32()), pa.array(kinds, pa.int32()), pa.array([squeeze.compress(x) for x in data], pa.binary())], ["bucket", "kind", "blob"])
 
         from pyspark import TaskContext
 
@@ -158,15 +173,11 @@ def _covered(window: int, gram: int):
         expand = zstandard.ZstdDecompressor()
         out, items = [], []
         for kind, blob in zip(table["kind"].to_pylist(), table["blob"].to_pylist(), strict=True):
-            data, p = expand.decompress(blob), 0
-            while p < len(data):
-                doc, tie, first, n, size = struct.unpack_from(_HEAD, data, p)
-                p += struct.calcsize(_HEAD)
-                if kind:
-                    out.append((doc, tie, first, n))
-                else:
-                    items.append((doc, tie, first, data[p : p + size]))
-                    p += size
+            heads, texts = _unblob(expand.decompress(blob))
+            if kind:
+                out += heads
+            else:
+                items += [(d, t, f, x) for (d, t, f, _), x in zip(heads, texts, strict=True)]
         items.sort(key=lambda x: x[:3])
         out += _later(items, window)
         names = ["doc", "tie", "first", "n"]
@@ -220,7 +231,7 @@ def _later(items: list[tuple[int, int, int, bytes]], window: int) -> list[tuple[
 def repeated_ranges(rows: DataFrame, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
     """(doc, tie, ranges array<struct<first, n>>): windows of each (doc, tie, text) that start earlier elsewhere."""
     total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    bits = min(20, max(5, math.ceil(math.log2(max(1, 3 * total / BUCKET_BYTES)))))
+    bits = min(20, max(6, math.ceil(math.log2(max(1, 3 * total / BUCKET_BYTES)))))
     heavy = _heavy(rows, window, gram)
     packed = rows.mapInArrow(_pack(window, gram, bits, heavy), "bucket int, kind int, blob binary")
     found = packed.groupBy("bucket").applyInArrow(_covered(window, gram), "doc long, tie long, first long, n long")
@@ -241,7 +252,7 @@ def _keep(text: str | None, ranges: list | None, window: int) -> tuple[int, list
 
 def without_repeats(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", window: int = WINDOW, digest: bool = False) -> DataFrame:
     """(doc_id, n_words, n_removed, kept): kept words joined by one space, or with digest their sha256."""
-    rows = docs.select(F.coalesce(F.col(id_column).cast("long"), F.lit(NO_ID)).alias("doc"), F.xxhash64(text_column).alias("tie"), F.col(text_column).alias("text"))
+    rows = docs.select(F.coalesce(F.col(id_column).cast("long"), F.lit(NO_ID)).alias("doc"), (F.crc32(F.coalesce(F.col(text_column), F.lit(""))) % (1 << 31)).alias("tie"), F.col(text_column).alias("text"))
     both = rows.join(repeated_ranges(rows, window), ["doc", "tie"], "left").select("doc", "text", "ranges")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
