@@ -6,6 +6,12 @@ frequent words plus the rest. A document is compared with its language's referen
 MIN_LANG_SHARE of all documents (so there are at most 1 / MIN_LANG_SHARE references, and they may be broadcast);
 a document behind a guard is judged by the base rules alone.
 
+A lack of the language's words is judged by each reference's own scale: `none`, the distance of a text without any of
+its top words, and `share`, the part of its words that they make up. A document with a smaller share must stay below
+none * (NONE_PART + NONE_SLACK / sqrt(expected top words)), and its number of top words must not lie so far below the
+expected one that chance explains it with fewer than 2^-RARE_BITS (Chernoff's bound). Both give way for short texts
+and for languages whose top words are rare. Rows without a language have no such words to lack.
+
 Edge cases: null text has no words (base_failed); null lang is a language of its own; ties between frequent words go
 by the word; repeated rows are judged alike; empty table: empty result; other columns are ignored.
 """
@@ -21,6 +27,7 @@ TOP_WORDS = 32
 MIN_CHARS, MIN_WORDS = 200, 40
 MIN_LANG_SHARE, MIN_WORD_SHARE = 0.001, 0.001
 MOST_CHAR_DISTANCE, MOST_WORD_DISTANCE = 0.30, 0.45
+NONE_PART, NONE_SLACK, RARE_BITS = 0.4, 2.7, 17
 SYMBOLS = "#*$%&|<>"
 
 
@@ -78,7 +85,7 @@ def distance(p: Column, q: Column) -> Column:
 
 
 def references(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", lang_column: str = "lang") -> DataFrame:
-    """(lang, classes array<double>, top array<string>, shares array<double>), from all documents."""
+    """(lang, classes array<double>, top array<string>, shares array<double>, share, none), from all documents."""
     rows = docs.select(F.coalesce(F.col(lang_column), F.lit("")).alias("lang"), F.coalesce(F.col(text_column), F.lit("")).alias("text"))
     classes = _classes(F.col("text"))
     per_lang = rows.select("lang", classes.alias("c"), F.size(words(F.col("text"))).alias("n")).groupBy("lang")
@@ -93,7 +100,18 @@ def references(docs: DataFrame, id_column: str = "doc_id", text_column: str = "t
     both = totals.join(tops, "lang", "left")
     top = F.coalesce(F.col("t.word"), F.array().cast("array<string>"))
     n = F.coalesce(F.col("t.n"), F.array().cast("array<double>"))
-    return written(both.select("lang", "classes", top.alias("top"), F.concat(n, F.array(F.col("n_words") - F.aggregate(n, F.lit(0.0), lambda s, x: s + x))).alias("shares")), "lang-references")
+    both = both.select("lang", "classes", top.alias("top"), F.concat(n, F.array(F.col("n_words") - F.aggregate(n, F.lit(0.0), lambda s, x: s + x))).alias("shares"), "n_words")
+    share = F.when(F.col("n_words") > 0, 1 - F.element_at("shares", -1) / F.col("n_words")).otherwise(0.0)
+    none = F.when(F.col("n_words") > 0, distance(F.concat(F.transform("top", lambda x: F.lit(0.0)), F.array(F.lit(1.0))), F.col("shares"))).otherwise(0.0)
+    return written(both.select("lang", "classes", "top", "shares", share.alias("share"), none.alias("none")), "lang-references")
+
+
+def _lacks_words(n: Column, hits: Column, far: Column) -> Column:
+    """Whether n words with `hits` top words, at distance `far`, lack the words of the reference (share, none)."""
+    share, p = F.col("share"), hits / n
+    bits = n * (F.when(p > 0, p * (F.log2(p) - F.log2(share))).otherwise(0.0) + (1 - p) * (F.log2(1 - p) - F.log2(1 - share)))
+    strange = far > F.col("none") * (NONE_PART + NONE_SLACK / F.sqrt(n * share))
+    return F.when((share > 0) & (p < share), strange | F.coalesce(bits > RARE_BITS, F.lit(False))).otherwise(False)
 
 
 def kept_documents(docs: DataFrame, **columns: str) -> DataFrame:
@@ -111,8 +129,10 @@ def judged(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text"
     hits = F.transform("top", lambda r: (F.size("w") - F.size(F.array_remove("w", r))).cast("double"))
     hist = let(hits, lambda h: F.concat(h, F.array(F.size("w") - F.aggregate(h, F.lit(0.0), lambda s, x: s + x))))
     chars = F.when((F.char_length("text") >= MIN_CHARS) & F.col("ref_lang").isNotNull(), distance(_classes(F.col("text")), F.col("classes")))
-    tops = F.when((F.col("n_words") >= MIN_WORDS) & F.col("ref_lang").isNotNull(), distance(hist, F.col("shares")))
-    out = both.select("doc_id", *([] if carry is None else ["carry"]), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", chars.alias("char_distance"), tops.alias("word_distance"))
+    tops = F.when((F.col("n_words") >= MIN_WORDS) & F.col("ref_lang").isNotNull(), let(hist, lambda h: F.struct(distance(h, F.col("shares")).alias("far"), (F.col("n_words") - F.element_at(h, -1)).alias("hits"))))
+    out = both.withColumn("tops", tops)
+    lacks = F.when((F.col("lang") != "") & F.col("tops").isNotNull(), _lacks_words(F.col("n_words"), F.col("tops.hits"), F.col("tops.far"))).otherwise(False)
+    out = out.select("doc_id", *([] if carry is None else ["carry"]), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", chars.alias("char_distance"), F.col("tops.far").alias("word_distance"), lacks.alias("lacks_words"))
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
-    fine = (F.coalesce("char_distance", F.lit(0.0)) <= MOST_CHAR_DISTANCE) & (F.coalesce("word_distance", F.lit(0.0)) <= MOST_WORD_DISTANCE)
-    return out.withColumns({"base_failed": failed, "kept": ~failed & fine})
+    fine = (F.coalesce("char_distance", F.lit(0.0)) <= MOST_CHAR_DISTANCE) & (F.coalesce("word_distance", F.lit(0.0)) <= MOST_WORD_DISTANCE) & ~F.col("lacks_words")
+    return out.withColumns({"base_failed": failed, "kept": ~failed & fine}).drop("lacks_words")

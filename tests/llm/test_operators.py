@@ -57,6 +57,22 @@ def test_divergent_documents_are_rejected_and_clean_ones_kept(spark, sf_dir):
     assert not low or sum(low) < 0.5 * len(low)
 
 
+def test_gibberish_and_mislabelled_documents_go_and_clean_ones_stay(spark, sf_dir):
+    rng = random.Random(5)
+    letters = lambda k: "".join(rng.choice("bcdfghjklmnpqrstvwxz") for _ in range(k))
+    clean = small(spark, sf_dir).join(spark.read.parquet(f"{sf_dir}/labels.parquet").where("quality = 1").select("doc_id"), "doc_id").where("lang in ('en', 'de')")
+    clean = [(r.doc_id, r.text, r.lang, "s") for r in clean.collect() if 200 <= len(r.text.split()) <= 600]
+    base = [(k, t, lang, "s") for k, (_, t, lang, _) in enumerate(clean * (1 + 1000 // len(clean)))]
+    planted = [(10**6 + k, " ".join(letters(rng.randint(2, 9)) for _ in range(60 + 40 * k)), "en" if k % 2 else "de", "s") for k in range(6)]
+    planted += [(2 * 10**6 + k, t, "de" if lang == "en" else "en", "s") for k, (_, t, lang, _) in enumerate(clean[:8])]
+    got = {r.doc_id: (r.base_failed, r.kept) for r in op1_quality.judged(documents(spark, base + planted)).collect()}
+    assert clean and not any(got[r[0]][0] for r in planted)
+    assert not any(got[r[0]][1] for r in planted)
+    assert all(got[r[0]][1] for r in base if not got[r[0]][0])
+    unlabelled = [(k, t, None, "s") for k, t, _, _ in base]
+    assert all(r.kept or r.base_failed for r in op1_quality.judged(documents(spark, unlabelled)).collect())
+
+
 def test_distance(spark):
     df = spark.createDataFrame([([1.0, 0.0], [0.0, 2.0]), ([1.0, 1.0], [2.0, 2.0])], "p array<double>, q array<double>")
     assert [round(r[0], 9) for r in df.select(op1_quality.distance(F.col("p"), F.col("q"))).collect()] == [1.0, 0.0]
