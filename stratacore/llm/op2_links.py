@@ -4,8 +4,9 @@ Hosts that rules allow or block are seeds, weighted by their pages. Trust is a p
 pages along links; distrust is one from the blocked pages against the links (who links to a blocked host is
 distrusted). A page without a rule is blocked when distrust makes up at least BLOCK_SHARE of its host's score.
 
-Scores are whole numbers (UNIT per seed page, contributions rounded down), so sums do not depend on their order and a
-recomputed task gives the same verdicts. Edges are host pairs with link counts, combined before any shuffle. The state
+Contributions are fractions of a UNIT per seed page and vanish at no degree. They are summed exactly, as whole numbers
+by binary magnitude (see `_summed`), so sums do not depend on their order and a recomputed task gives the same
+verdicts. Edges are host pairs with link counts, combined before any shuffle. The state
 is checkpointed each round.
 
 Edge cases: null url or one without `://` has empty host and path, no rule, and is judged by the empty host's score;
@@ -55,10 +56,25 @@ def host_edges(pages: DataFrame, html_column: str = "html") -> DataFrame:
     return links.groupBy("src", "dst").agg(F.count(F.lit(1)).alias("n"))
 
 
+#: Contributions of one magnitude lie within a factor of 2^SPAN and are rounded down to PLACES binary places of its lower end.
+SPAN, PLACES = 16, 40
+
+
+def _summed(parts: DataFrame, *columns: str) -> DataFrame:
+    """Sums by host of non-negative doubles, the same in any order: whole numbers are added within a magnitude, then the few magnitudes in order."""
+    each = parts.select("host", F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.col(c).alias("v")) for k, c in enumerate(columns)])).alias("p")).select("host", "p.*").where("v > 0")
+    each = each.withColumn("e", F.floor(F.log2("v") / SPAN).cast("int"))
+    whole = F.floor(F.col("v") * F.pow(F.lit(2.0), PLACES - SPAN * F.col("e"))).cast("decimal(20,0)")
+    each = each.groupBy("host", "k", "e").agg(F.sum(whole).alias("m"))
+    value = lambda x: x["m"].cast("double") * F.pow(F.lit(2.0), SPAN * x["e"] - PLACES)
+    total = lambda k: F.aggregate(F.sort_array(F.collect_list(F.when(F.col("k") == k, F.struct("e", "m")))), F.lit(0.0), lambda s, x: s + value(x))
+    return each.groupBy("host").agg(*[total(k).alias(c) for k, c in enumerate(columns)])
+
+
 def host_scores(seeds: DataFrame, edges: DataFrame, rounds: int = ROUNDS, damping: float = DAMPING) -> DataFrame:
     """(host, trust, distrust) from (host, allowed, blocked) page counts and (src, dst, n) edges."""
     shared_dir(seeds.sparkSession)
-    start = seeds.select("host", F.floor(F.col("allowed") * UNIT * (1 - damping)).alias("trust"), F.floor(F.col("blocked") * UNIT * (1 - damping)).alias("distrust")).checkpoint()
+    start = seeds.select("host", F.floor(F.col("allowed") * UNIT * (1 - damping)).cast("double").alias("trust"), F.floor(F.col("blocked") * UNIT * (1 - damping)).cast("double").alias("distrust")).checkpoint()
     edges = edges.checkpoint()
     if edges.isEmpty():
         return start
@@ -69,9 +85,9 @@ def host_scores(seeds: DataFrame, edges: DataFrame, rounds: int = ROUNDS, dampin
     state = start
     for _ in range(rounds):
         moved = steps.join(state, steps["at"] == state["host"])
-        flow = lambda c, forward: F.when(F.col("forward") == forward, F.floor(F.col(c) * F.col("share"))).otherwise(0).alias(c)
+        flow = lambda c, forward: F.when(F.col("forward") == forward, F.col(c) * F.col("share")).otherwise(0.0).alias(c)
         moved = moved.select(F.col("to").alias("host"), flow("trust", True), flow("distrust", False))
-        state = start.unionByName(moved).groupBy("host").agg(F.sum("trust").alias("trust"), F.sum("distrust").alias("distrust")).checkpoint()
+        state = _summed(start.unionByName(moved), "trust", "distrust").checkpoint()
     return state
 
 

@@ -107,6 +107,23 @@ def test_distrust_reaches_those_who_link_to_blocked_hosts(spark):
     assert got["a"][0] == 0 and got["c"][1] == 0
 
 
+def test_distrust_of_a_hub_does_not_vanish(spark):
+    n = 200_000
+    seeds = spark.createDataFrame([("bad", 0, 1), ("good", 1, 0)], "host string, allowed long, blocked long")
+    edges = spark.range(n).selectExpr("concat('s', id) as src", "'bad' as dst", "1L as n").unionByName(spark.range(n).selectExpr("'good' as src", "concat('t', id) as dst", "1L as n"))
+    edges = edges.unionByName(spark.range(300).selectExpr("concat('u', id) as src", "'s0' as dst", "1L as n"))
+    got = op2_links.host_scores(seeds, edges, rounds=2)
+    flow = op2_links.DAMPING * 150_000 / n
+    r = got.groupBy(F.substring("host", 1, 1).alias("c")).agg(F.count("*").alias("n"), F.min("distrust").alias("d"), F.min("trust").alias("t"), F.max("distrust").alias("d2"), F.max("trust").alias("t2")).collect()
+    by = {x.c: x for x in r}
+    assert (by["s"].n, by["t"].n, by["u"].n) == (n, n, 300)
+    for x in (by["s"].d, by["s"].d2, by["t"].t, by["t"].t2):
+        assert x == pytest.approx(flow, rel=1e-9)
+    assert by["u"].d == pytest.approx(op2_links.DAMPING * flow / 300, rel=1e-9)
+    again = op2_links.host_scores(seeds, edges.repartition(7, "dst", "src"), rounds=2)
+    assert again.exceptAll(got).isEmpty()
+
+
 # ---------------------------------------------------------------- 3, 4
 
 
