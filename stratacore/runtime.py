@@ -6,6 +6,8 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -32,11 +34,47 @@ def new_path(spark: SparkSession, label: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a table that this package wrote."""
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
+#: Spark's own switch for dropping the shuffle files of a finished execution; a session setting, absent before 4.1.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+@contextmanager
+def shuffles_dropped(spark: SparkSession) -> Iterator[None]:
+    """Executions inside leave no shuffle files behind. For tables that are written once: nothing reads those again."""
+    try:
+        before = spark.conf.get(CLEANUP, None)
+        spark.conf.set(CLEANUP, "true")
+    except Exception:  # noqa: BLE001 - a session that lacks the setting keeps its files until they are collected
+        yield
+        return
+    try:
+        yield
+    finally:
+        spark.conf.set(CLEANUP, before) if before is not None else spark.conf.unset(CLEANUP)
+
+
 def written(df: DataFrame, label: str, *partition_by: str) -> DataFrame:
-    """Cut lineage by a Parquet table in the shared folder; survives lost executors."""
-    path = new_path(df.sparkSession, label)
-    df.write.option("compression", "zstd").partitionBy(*partition_by).parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path).select(*df.columns)
+    """Cut lineage by a Parquet table in the shared folder: a lost executor costs no recomputation, and the shuffle
+    files that made it are dropped."""
+    spark, path = df.sparkSession, new_path(df.sparkSession, label)
+    with shuffles_dropped(spark):
+        df.write.option("compression", "zstd").partitionBy(*partition_by).parquet(path)
+    back = spark.read.schema(df.schema).parquet(path).select(*df.columns)
+    back._stored_at = path
+    return back
+
+
+def drop_written(*tables: DataFrame) -> None:
+    """Delete tables that `written` made and nothing reads any more."""
+    for t in tables:
+        if getattr(t, "_stored_at", None):
+            remove(t.sparkSession, t._stored_at)
 
 
 #: Ids that may be broadcast: 16 MB of longs, a few times that as a hash table.
