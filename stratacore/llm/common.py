@@ -1,67 +1,20 @@
-"""Helpers shared by the training-data operators: shared folders, written tables, text columns."""
+"""Helpers shared by the training-data operators: text columns, and the written tables of `runtime`."""
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..runtime import drop_written, new_path, remove, shared_dir, written
+
+__all__ = ["ascii_lower", "drop_written", "let", "new_path", "remove", "shared_dir", "table", "words", "written"]
+
 #: The white space that separates words, as a character class body.
 SPACE = r"\x20\x09-\x0D"
 SPACE_CHARS = " \t\n\x0b\x0c\r"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share (spark.checkpoint.dir of the session).
-
-    Only where that is unset and Spark runs in one process (tests) is a temporary folder made and set.
-    """
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    jsc = spark.sparkContext._jsc.sc()
-    if not base:
-        if jsc.getCheckpointDir().isDefined():
-            return jsc.getCheckpointDir().get()
-        master = spark.sparkContext.master
-        if not master.startswith("local") or master.startswith("local-cluster"):
-            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        base = tempfile.mkdtemp(prefix="shared-")
-        atexit.register(shutil.rmtree, base, True)
-    if not jsc.getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(base)
-    return base
-
-
-def remove(spark: SparkSession, path: str) -> None:
-    """Delete a table that this package wrote."""
-    p = spark._jvm.org.apache.hadoop.fs.Path(path)
-    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
-
-
-def new_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
-
-
-def written(df: DataFrame, label: str) -> DataFrame:
-    """Write df to the shared folder and read it back: lineage ends here, and a lost executor costs no recomputation."""
-    spark = df.sparkSession
-    path = new_path(spark, label)
-    df.write.option("compression", "zstd").parquet(path)
-    back = spark.read.schema(df.schema).parquet(path)
-    back._stored_at = path
-    return back
-
-
-def drop_written(*tables: DataFrame) -> None:
-    for t in tables:
-        if getattr(t, "_stored_at", None):
-            remove(t.sparkSession, t._stored_at)
-
-
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df

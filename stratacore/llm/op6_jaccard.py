@@ -1,16 +1,19 @@
 """Exact near-duplicate classes: a size-aware heavy-light Jaccard join on word shingles.
 
 1. Sets. Each text's distinct 5-word shingles are hashed to 64 bits. Which hashes occur in two texts is found by
-   sending 40-bit prints, packed by bucket, and getting back a count per text; prints that clash only keep a text in
+   sending short prints, packed by bucket, and getting back a count per text; prints that clash only keep a text in
    play. A text whose shared hashes cannot make up the threshold has no link and is done. Equal sets become one.
 2. Heavy-light join over what is left. Hashes are ordered from rare to frequent. Hashes of one set alone lie in front
    and can never match, so only the rest of a prefix is indexed. Small sets list the 2-subsets of a prefix one hash
    longer (a similar pair shares two hashes there); large sets and those within the threshold's ratio of them are
    put into inverted lists that the large ones scan. The boundary minimises the counted cost of both.
 3. Links. Members of a list are first checked against the list's most central member; the links found make
-   components. Then only pairs of a list that lie in different components and whose sizes and shared hashes still
-   allow the threshold are checked, again and again until no new component merges. No pair inside a component is
-   listed, so a large group of copies costs its size, not its square; no link between components is lost.
+   components. In the next rounds every list pairs neighbours of different components in a random order, until a
+   round merges nothing. What then remains apart is settled for good: in each list, members outside the list's
+   largest component meet all members of other components, each pair in its first common key only (see `entries`),
+   by size, by parity signature, and at last by both whole sets. No pair inside a component is listed, so a large
+   group of copies costs its size, not its square; texts just under the threshold of a whole group cost their number
+   times the group, which an exact join cannot avoid. No link between components is lost.
 
 Exact: a pair is linked after comparing both whole sets. Sets are compared as 64-bit hashes; two different shingles of
 one pair share a hash with probability below 1e-9 even for sets of 10^5.
@@ -24,22 +27,28 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..runtime import fits_broadcast
 from .common import drop_written, written
 from .wordhash import grams, hashed, mix
 
 SHINGLE, NUMERATOR, DENOMINATOR = 5, 75, 100
-#: Bytes of text for each bucket of prints, and the hashes that one packed slice holds.
-#: A slice also holds fewer texts than the 16 bits that number them.
-BUCKET_BYTES, SLICE_HASHES, SLICE_TEXTS, SHARED_HERE = 4 << 20, 1 << 20, 60_000, 0xFFFF
+#: Bytes of text for each bucket of prints: a bucket is one Python call's work, so its size stays within these bounds at
+#: any size of the corpus. A print has PRINT_BITS more bits than the logarithm of a bucket's hashes, so that few clash.
+LEAST_BUCKET, MOST_BUCKET, PRINT_BITS = 4 << 20, 32 << 20, 4
+#: Hashes of one packed slice (more where there are many buckets, so that rows stay packed), and the texts that 16 bits number.
+SLICE_HASHES, MOST_SLICE_HASHES, SLICE_TEXTS, SHARED_HERE = 1 << 20, 4 << 20, 60_000, 0xFFFF
 NO_ID = -(2**63)
 #: Cost of passing one entry of a scanned list (a few integer comparisons), in units of a row that is made and shuffled twice.
-SCAN_COST = 1 / 512
+SCAN_COST = 1 / 64
+#: Rounds of random pairs before the exact one; more would only merge earlier what the exact round finds.
+PAIR_ROUNDS = 3
 _U = np.uint64
 
 
@@ -72,12 +81,20 @@ def _sums(value: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 _PACKED = "bucket int, slice long, prints binary, texts binary, n int"
 
 
-def _print_rows(bits: int, size: int):
-    """mapInArrow function from (doc, text) to packed prints by bucket, and one row of facts for each slice."""
+def print_plan(total: int) -> tuple[int, int, int]:
+    """(bits of the bucket number, bytes of a print, hashes of a slice) for so many bytes of text."""
+    bucket = min(MOST_BUCKET, max(LEAST_BUCKET, total >> 14))
+    bits = max(5, math.ceil(math.log2(max(1, total / bucket))))
+    # A shingle takes up six bytes of text or more.
+    width = math.ceil((math.log2(bucket / 6) + PRINT_BITS) / 8)
+    return bits, width, min(MOST_SLICE_HASHES, max(SLICE_HASHES, 64 << bits))
+
+
+def _print_rows(bits: int, width: int, slice_hashes: int, size: int):
+    """mapInArrow function from (doc, mark, text) to packed prints by bucket, and one row of facts for each slice."""
 
     def pack(slice_id: int, parts: list) -> Iterator[pa.RecordBatch]:
-        ids = np.concatenate([p[0] for p in parts])
-        value, n = np.concatenate([p[1] for p in parts]), np.concatenate([p[2] for p in parts])
+        ids, marks, value, n = (np.concatenate([p[k] for p in parts]) for k in range(4))
         s1, s2 = _sums(value, n)
         text = np.repeat(np.arange(len(n), dtype=np.uint32), n)
         order = np.argsort(value)
@@ -91,11 +108,11 @@ def _print_rows(bits: int, size: int):
         # One entry for each hash of the slice; the owner is kept only where the slice itself does not know it as shared.
         owner = np.where(times > 1, SHARED_HERE, text[first])
         value = value[first]
-        prints = ((value >> _U(24 - bits)) & _U(0xFFFFFFFFFF)).astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5]
+        prints = (value >> _U(64 - bits - 8 * width)).astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width]
         cuts = np.searchsorted(value, np.arange(1, 1 << bits, dtype=_U) << _U(64 - bits))
         cuts = np.concatenate([[0], cuts, [len(value)]])
         full = np.flatnonzero(np.diff(cuts))
-        facts = np.stack([ids, n, s1, s2, local], 1).astype("<i8").tobytes()
+        facts = np.stack([ids, marks, n, s1, s2, local], 1).astype("<i8").tobytes()
         columns = [
             [*full.tolist(), int(mix(np.array([slice_id], _U))[0] & _U((1 << bits) - 1))],
             [slice_id] * (len(full) + 1),
@@ -110,12 +127,12 @@ def _print_rows(bits: int, size: int):
 
         slice_id, parts, held, texts = TaskContext.get().partitionId() << 32, [], 0, 0
         for b in batches:
-            ids = b.column(0).to_numpy()
-            for first, value, n in shingle_sets(b.column(1), size):
-                if parts and (held + len(value) > SLICE_HASHES or texts + len(n) > SLICE_TEXTS):
+            ids, marks = b.column(0).to_numpy(), b.column(1).to_numpy()
+            for first, value, n in shingle_sets(b.column(2), size):
+                if parts and (held + len(value) > slice_hashes or texts + len(n) > SLICE_TEXTS):
                     yield from pack(slice_id, parts)
                     slice_id, parts, held, texts = slice_id + 1, [], 0, 0
-                parts.append((ids[first : first + len(n)], value, n))
+                parts.append((ids[first : first + len(n)], marks[first : first + len(n)], value, n))
                 held, texts = held + len(value), texts + len(n)
         if parts:
             yield from pack(slice_id, parts)
@@ -123,55 +140,67 @@ def _print_rows(bits: int, size: int):
     return run
 
 
-def _answer(table: pa.Table) -> pa.Table:
+def _answers(width: int):
     """For one bucket: how many of each slice's own prints are shared, as pairs (text, count); facts pass through."""
-    rows = [r for r in table.to_pylist() if not r["n"]]
-    facts = [r for r in table.to_pylist() if r["n"]]
-    raw = np.frombuffer(b"".join(r["prints"] for r in rows), np.uint8).reshape(-1, 5)
-    value = np.zeros((len(raw), 8), np.uint8)
-    value[:, :5] = raw
-    value = value.view("<u8").ravel()
-    owner = np.frombuffer(b"".join(r["texts"] for r in rows), "<u2")
-    _, back, times = np.unique(value, return_inverse=True, return_counts=True)
-    shared = (times > 1)[back] & (owner != SHARED_HERE)
-    out, at = [], 0
-    for r in rows:
-        k = len(r["prints"]) // 5
-        who, count = np.unique(owner[at : at + k][shared[at : at + k]], return_counts=True)
-        at += k
-        if len(who):
-            out.append({"slice": r["slice"], "n": 0, "facts": np.stack([who, count], 1).astype("<u4").tobytes()})
-    out += [{"slice": r["slice"], "n": r["n"], "facts": r["prints"]} for r in facts]
-    return pa.Table.from_pylist(out, pa.schema([("slice", pa.int64()), ("n", pa.int32()), ("facts", pa.binary())]))
+
+    def answer(table: pa.Table) -> pa.Table:
+        numbers = table["n"].to_numpy()
+        rows, facts = np.flatnonzero(numbers == 0), np.flatnonzero(numbers)
+        slices, prints, texts = table["slice"].to_numpy(), table["prints"], table["texts"]
+        sizes = np.array([len(prints[int(r)].as_buffer()) // width for r in rows], np.int64)
+        value = np.zeros((int(sizes.sum()), 8 if width > 4 else 4), np.uint8)
+        value[:, :width] = np.frombuffer(b"".join(prints[int(r)].as_buffer() for r in rows), np.uint8).reshape(-1, width)
+        value = value.view("<u8" if width > 4 else "<u4").ravel()
+        owner = np.frombuffer(b"".join(texts[int(r)].as_buffer() for r in rows), "<u2")
+        order = np.argsort(value)
+        ranked = value[order]
+        same = np.append(ranked[1:] == ranked[:-1], False) if len(ranked) else np.zeros(0, bool)
+        shared = np.empty(len(value), bool)
+        shared[order] = same | np.append(False, same[:-1])[: len(same)]
+        shared &= owner != SHARED_HERE
+        out, at = [], 0
+        for r, k in zip(rows, sizes, strict=True):
+            who, count = np.unique(owner[at : at + k][shared[at : at + k]], return_counts=True)
+            at += k
+            if len(who):
+                out.append({"slice": int(slices[r]), "n": 0, "facts": np.stack([who, count], 1).astype("<u4").tobytes()})
+        out += [{"slice": int(slices[r]), "n": int(numbers[r]), "facts": prints[int(r)].as_py()} for r in facts]
+        return pa.Table.from_pylist(out, pa.schema([("slice", pa.int64()), ("n", pa.int32()), ("facts", pa.binary())]))
+
+    return answer
 
 
 def _total(table: pa.Table) -> pa.Table:
-    """For one slice: doc, set size, set sums, shared hashes of each text."""
+    """For one slice: doc, text mark, set size, set sums, shared hashes of each text."""
     rows = table.to_pylist()
-    facts = np.frombuffer(next(r["facts"] for r in rows if r["n"]), "<i8").reshape(-1, 5)
-    shared = facts[:, 4].copy()
+    facts = np.frombuffer(next(r["facts"] for r in rows if r["n"]), "<i8").reshape(-1, 6)
+    shared = facts[:, 5].copy()
     for r in rows:
         if not r["n"]:
             pairs = np.frombuffer(r["facts"], "<u4").reshape(-1, 2)
             shared[pairs[:, 0]] += pairs[:, 1]
-    return pa.table([pa.array(facts[:, k].copy()) for k in range(4)] + [pa.array(shared)], ["doc", "n", "s1", "s2", "shared"])
+    return pa.table([pa.array(facts[:, k].copy()) for k in range(5)] + [pa.array(shared)], ["doc", "mark", "n", "s1", "s2", "shared"])
 
 
 def set_facts(rows: DataFrame, size: int = SHINGLE) -> DataFrame:
-    """(doc, n, s1, s2, shared) for each (doc, text); shared: hashes that another set may hold too (never too few)."""
+    """(doc, mark, n, s1, s2, shared) for each (doc, mark, text); shared: hashes that another set may hold too (never too few)."""
     total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    bits = max(5, math.ceil(math.log2(max(1, total / BUCKET_BYTES))))
-    packed = rows.mapInArrow(_print_rows(min(bits, 20), size), _PACKED)
-    answers = packed.groupBy("bucket").applyInArrow(_answer, "slice long, n int, facts binary")
-    return answers.groupBy("slice").applyInArrow(_total, "doc long, n long, s1 long, s2 long, shared long")
+    bits, width, slice_hashes = print_plan(total)
+    packed = rows.mapInArrow(_print_rows(bits, width, slice_hashes, size), _PACKED)
+    answers = packed.groupBy("bucket").applyInArrow(_answers(width), "slice long, n int, facts binary")
+    return answers.groupBy("slice").applyInArrow(_total, "doc long, mark long, n long, s1 long, s2 long, shared long")
 
 
 def _enough(part, whole):
     return DENOMINATOR * part >= NUMERATOR * whole
 
 
+#: Texts whose (doc, mark) may be broadcast to find the rows whose sets are needed: about 100 MB as a hash table.
+BROADCAST_TEXTS = 1_000_000
+
+
 def hash_sets(rows: DataFrame, wanted: DataFrame, size: int = SHINGLE) -> DataFrame:
-    """(id, hashes array<long>) of the wanted (id, n, s1, s2) sets."""
+    """(id, hashes array<long>) of the wanted (doc, mark, n, s1, s2, id) sets, from (doc, mark, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -182,12 +211,15 @@ def hash_sets(rows: DataFrame, wanted: DataFrame, size: int = SHINGLE) -> DataFr
                 lists = pa.LargeListArray.from_arrays(pa.array(np.append(0, np.cumsum(n)), pa.int64()), pa.array(value.view(np.int64)))
                 yield pa.RecordBatch.from_arrays([pa.array(ids[first : first + len(n)]), lists.cast(pa.list_(pa.int64()))], ["id", "hashes"]).filter(pa.array(same))
 
-    both = rows.join(wanted, rows["doc"] == wanted["id"]).select("doc", "text", "n", "s1", "s2")
+    # The texts themselves are shuffled only where the list of those needed is too long to send to every executor.
+    side = F.broadcast(wanted) if fits_broadcast(wanted, BROADCAST_TEXTS) else wanted
+    both = rows.join(side, ["doc", "mark"]).select("id", "text", "n", "s1", "s2")
     return both.mapInArrow(run, "id long, hashes array<long>").dropDuplicates(["id"])
 
 
-def heavy_light_lists(sets: DataFrame) -> DataFrame:
-    """(key, id, n, m): members of every subset list and inverted list; m: hashes that another set holds."""
+def prefixes(sets: DataFrame) -> DataFrame:
+    """(id, n, m, p, front): the first p + 1 shared hashes of a set, from rare to frequent, as (f, h); m: hashes that
+    another set holds; p of them lie in the prefix."""
     each = sets.select("id", F.size("hashes").alias("n"), F.explode("hashes").alias("h"))
     often = each.groupBy("h").agg(F.count(F.lit(1)).alias("f")).where("f > 1")
     held = each.join(often, "h").groupBy("id", "n").agg(F.sort_array(F.collect_list(F.struct("f", "h"))).alias("held"))
@@ -195,21 +227,78 @@ def heavy_light_lists(sets: DataFrame) -> DataFrame:
     # A prefix of n - ceil(t n) + 1 hashes, of which the n - m that no other set holds come first.
     place = F.col("n") - F.ceil(F.lit(NUMERATOR) * F.col("n") / DENOMINATOR).cast("int") + 1 - (F.col("n") - F.col("m"))
     held = held.withColumn("p", place).where("p >= 1")
-    held = held.select("id", "n", "m", "p", F.slice("held", 1, F.col("p") + 1).alias("front"))
-    held = written(held, "prefixes")
-    # Cost by size class (powers of 2^(1/2)): subsets made, against list entries made and scanned.
+    return held.select("id", "n", "m", "p", F.slice("held", 1, F.col("p") + 1).alias("front"))
+
+
+def boundary(held: DataFrame) -> int:
+    """The size class (powers of 2^(1/2)) from which on sets scan lists, by counted cost: subsets made, against list
+    entries made and the members that each is compared with."""
     scan = F.aggregate(F.slice("front", 1, F.col("p")), F.lit(0.0), lambda s, x: s + 1 + SCAN_COST * x["f"])
-    sizes = held.groupBy(F.floor(2 * F.log2("n")).alias("c")).agg(F.sum(F.size("front") * (F.size("front") - 1) / 2).alias("subsets"), F.sum(scan).alias("scans"))
+    sizes = held.groupBy(_size_class()).agg(F.sum(F.size("front") * (F.size("front") - 1) / 2).alias("subsets"), F.sum(scan).alias("scans"))
     sizes = sorted(sizes.collect())  # one row for each size class: under a hundred
     cost = lambda c: sum(r.subsets if r.c < c else r.scans for r in sizes)
-    best = min([0, *(r.c + 1 for r in sizes)], key=cost)
-    small = F.floor(2 * F.log2("n")) < best
-    least_large = math.ceil(2 ** (best / 2))
-    pairs = F.flatten(F.transform("front", lambda a, i: F.transform(F.slice("front", i + 2, F.size("front")), lambda b: F.xxhash64(a["h"], b["h"]))))
-    subsets = held.where(small).select(F.explode(pairs).alias("key"), F.lit(True).alias("subset"), "id", "n", "m")
-    entries = held.where(~small | _enough(F.col("n"), F.lit(least_large)))
-    entries = entries.select(F.explode(F.slice("front", 1, F.col("p"))["h"]).alias("key"), F.lit(False).alias("subset"), "id", "n", "m")
-    return subsets.unionByName(entries)
+    return min([0, *(r.c + 1 for r in sizes)], key=cost)
+
+
+def _size_class():
+    return F.floor(2 * F.log2("n")).alias("c")
+
+
+SEEN_CELLS = 4
+_NOTHING = np.iinfo(np.int64).max
+_SEEN = [f"seen{k}" for k in range(SEEN_CELLS)]
+
+
+def entries(held: DataFrame, first_large: int, seen: bool) -> DataFrame:
+    """(key, subset, id, n, m): the members of every subset list and inverted list.
+
+    seen: also, by SEEN_CELLS cells of the hash space, the least hash of a set's prefix that lies before the key. Two
+    sets whose entries agree in such a number share an earlier key, so this key need not pair them; in their first
+    common key they cannot agree.
+    """
+    least_large = math.ceil(2 ** (first_large / 2))
+    rows = held.select("id", "n", "m", "p", (_size_class() < first_large).alias("small"), _enough(F.col("n"), F.lit(least_large)).alias("scans"), F.col("front.h").alias("front"))
+    names = ["key", "subset", "id", "n", "m", *(_SEEN if seen else [])]
+
+    def before(cells: np.ndarray) -> np.ndarray:
+        """Least number of each cell among the columns before each column."""
+        return np.minimum.accumulate(np.concatenate([np.full((SEEN_CELLS, 1), _NOTHING), cells], 1), 1)
+
+    def one(front: np.ndarray, p: int, small: bool, scans: bool) -> Iterator[tuple[np.ndarray, bool, np.ndarray]]:
+        cells = np.where((front & (SEEN_CELLS - 1)) == np.arange(SEEN_CELLS)[:, None], front, _NOTHING) if seen else None
+        head = before(cells) if seen else None
+        if scans or not small:
+            yield front[:p], False, head[:, :p] if seen else None
+        if small:
+            for i in range(len(front) - 1):
+                rest = front[i + 1 :]
+                pair = mix(mix(np.full(len(rest), front[i]).view(_U)) + rest.view(_U)).view(np.int64)
+                yield pair, True, np.minimum(before(cells[:, i + 1 :])[:, :-1], head[:, i : i + 1]) if seen else None
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            parts, size = [], 0
+            fronts, at = b.column(6).flatten().to_numpy(), b.column(6).offsets.to_numpy() - b.column(6).offsets[0].as_py()
+            facts = zip(*(b.column(k).to_pylist() for k in range(6)), strict=True)
+            for k, (i, n, m, p, small, scans) in enumerate(facts):
+                for key, subset, cells in one(fronts[at[k] : at[k + 1]], p, small, scans):
+                    parts.append((key, subset, i, n, m, cells))
+                    size += len(key)
+                if size > 1 << 17:
+                    yield batch(parts)
+                    parts, size = [], 0
+            if parts:
+                yield batch(parts)
+
+    def batch(parts: list) -> pa.RecordBatch:
+        long = [len(x[0]) for x in parts]
+        columns = [np.concatenate([x[0] for x in parts]), np.repeat([x[1] for x in parts], long)]
+        columns += [np.repeat(np.array([x[k] for x in parts], kind), long) for k, kind in ((2, np.int64), (3, np.int32), (4, np.int32))]
+        if seen:
+            columns += list(np.concatenate([x[5] for x in parts], 1))
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names)
+
+    return rows.mapInArrow(run, "key long, subset boolean, id long, n int, m int" + "".join(f", {c} long" for c in _SEEN if seen))
 
 
 def checked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -238,69 +327,142 @@ def components(spark: SparkSession, links: DataFrame) -> DataFrame:
     return roots.unionByName(roots.select(F.col("component").alias("id"), "component").distinct()).checkpoint()
 
 
-def _may_link(n1, m1, n2, m2):
-    part = F.least(m1, m2)
-    return _enough(part, n1 + n2 - part)
+def _merged(spark: SparkSession, found: DataFrame | None, links: DataFrame) -> DataFrame:
+    """(id, component) after adding links (a, b) to what was found before: only the components are linked anew."""
+    if found is None:
+        return components(spark, links)
+    a, b = (found.select(F.col("id").alias(c), F.col("component").alias(f"{c}c")) for c in "ab")
+    ends = links.join(a, "a", "left").join(b, "b", "left").select(F.coalesce("ac", "a").alias("a"), F.coalesce("bc", "b").alias("b"))
+    upper = components(spark, ends).withColumnRenamed("component", "top").withColumnRenamed("id", "component")
+    moved = found.join(upper, "component", "left").select("id", F.coalesce("top", "component").alias("component"))
+    new = upper.select(F.col("component").alias("id"), F.col("top").alias("component")).join(found.select("id"), "id", "left_anti")
+    return moved.unionByName(new).checkpoint()
 
 
 def jaccard_components(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", size: int = SHINGLE) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row."""
     spark = docs.sparkSession
-    rows = docs.select(F.coalesce(F.col(id_column).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text_column).alias("text"))
+    rows = docs.select(F.coalesce(F.col(id_column).cast("long"), F.lit(NO_ID)).alias("doc"), F.xxhash64(text_column).alias("mark"), F.col(text_column).alias("text"))
     facts = written(set_facts(rows, size), "set-facts")
     name = ["n", "s1", "s2"]
-    classes = written(facts.where((F.col("n") > 0) & _enough(F.col("shared"), F.col("n"))).groupBy(*name).agg(F.min("doc").alias("id")), "set-classes")
+    live = facts.where((F.col("n") > 0) & _enough(F.col("shared"), F.col("n")))
+    # A class is named by its set, not by a doc_id: rows of one doc_id may hold different sets.
+    classes = written(live.groupBy(*name).agg(F.min(F.struct("doc", "mark")).alias("first")).select("first.*", *name).withColumn("id", F.monotonically_increasing_id()), "set-classes")
     sets = written(hash_sets(rows, classes, size), "sets")
-    from_shared_ids = facts.where("n > 0").join(classes, name).select(F.col("doc").alias("a"), F.col("id").alias("b"))
-    lists = written(heavy_light_lists(sets), "lists")
-    seen = written(_star_pairs(lists, None), "star-pairs")
-    links = written(checked(seen, sets), "links").unionByName(from_shared_ids)
-    found = components(spark, links)
-    rest = lists.join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
-    rest = _cross_pairs(rest, sets)
-    more = written(checked(rest, sets), "links")
+    held = written(prefixes(sets), "prefixes")
+    first_large = boundary(held)
+    lists = written(entries(held, first_large, False), "lists")
+    several = written(_several(facts, classes), "several-sets")
+    same = several.where("id is not null").groupBy("doc").agg(F.min("id").alias("b"), F.collect_set("id").alias("a")).select(F.explode("a").alias("a"), "b")
+    links = written(checked(_star_pairs(lists), sets), "links")
+    found = components(spark, links.unionByName(same))
+    marks = written(parities(sets), "parities")
+    for k in range(PAIR_ROUNDS):
+        pairs = written(_near(_random_pairs(lists, found, k), marks), "random-pairs")
+        more = written(checked(pairs, sets), "links")
+        drop_written(pairs)
+        if more.isEmpty():
+            break
+        found = _merged(spark, found, more)
+        drop_written(more)
+    pairs = written(_near(_cross_pairs(lists, held, first_large, found), marks), "cross-pairs")
+    more = written(checked(pairs, sets), "links")
     if not more.isEmpty():
-        found = components(spark, links.unionByName(more))
-    out = facts.join(found, facts["doc"] == found["id"], "left").select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id"))
+        found = _merged(spark, found, more)
+    drop_written(sets, held, lists, links, marks, pairs, more)
+    grown = classes.join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
+    least = grown.groupBy("component").agg(F.min("doc").alias("least"))
+    named = grown.join(least, "component").select(*name, F.col("least").alias("by_set"))
+    by_doc = several.where("id is not null").select(F.col("doc").alias("doc2"), "id").join(found, "id").join(least, "component").groupBy("doc2").agg(F.min("least").alias("by_doc"))
+    out = facts.join(named, name, "left").join(by_doc, F.col("doc") == F.col("doc2"), "left")
+    component = F.when(F.col("n") > 0, F.coalesce("by_set", "by_doc", "doc")).otherwise(F.col("doc"))
+    out = out.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), component.alias("component_id"))
     real = lambda c: F.when(F.col(c) != NO_ID, F.col(c)).alias(c)
     return out.select(real("doc_id"), "n_shingles", real("component_id"))
 
 
-def _star_pairs(lists: DataFrame, found) -> DataFrame:
+def _several(facts: DataFrame, classes: DataFrame) -> DataFrame:
+    """(doc, id) for the documents of several rows; id: the set class of a row, null where it has no link."""
+    many = facts.where("n > 0").groupBy("doc").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("doc")
+    return facts.where("n > 0").join(many, "doc", "left_semi").join(classes.drop("doc", "mark"), ["n", "s1", "s2"], "left").select("doc", "id").distinct()
+
+
+KEY = ["key", "subset"]
+
+
+def _star_pairs(lists: DataFrame) -> DataFrame:
     """Each member with its list's most central one: the fewest hashes of its own, then the smallest id."""
-    key = ["key", "subset"]
-    centre = lists.groupBy(*key).agg(F.min_by(F.struct("id", "n", "m"), F.struct((F.col("n") - F.col("m")).alias("own"), "id")).alias("c"), F.count(F.lit(1)).alias("k")).where("k > 1").drop("k")
-    both = lists.join(centre, key).where(F.col("id") != F.col("c.id")).where(_may_link(F.col("n"), F.col("m"), F.col("c.n"), F.col("c.m")))
+    centre = lists.groupBy(*KEY).agg(F.min_by(F.struct("id", "n", "m"), F.struct((F.col("n") - F.col("m")).alias("own"), "id")).alias("c"), F.count(F.lit(1)).alias("k")).where("k > 1").drop("k")
+    both = lists.join(centre, KEY).where(F.col("id") != F.col("c.id")).where(_may_link(F.col("n"), F.col("m"), F.col("c.n"), F.col("c.m")))
     return both.select(F.greatest("id", "c.id").alias("a"), F.least("id", "c.id").alias("b")).distinct()
 
 
+def _in_components(lists: DataFrame, found: DataFrame) -> DataFrame:
+    return lists.join(found, "id", "left").withColumn("component", F.coalesce("component", "id"))
+
+
+def _random_pairs(lists: DataFrame, found: DataFrame, k: int) -> DataFrame:
+    """Neighbours of different components in each list, in an order that a hash of id and round gives."""
+    line = Window.partitionBy(*KEY).orderBy(F.xxhash64(F.lit(k), "id"), "id")
+    last = lambda c: F.lag(c).over(line).alias(f"{c}2")
+    both = _in_components(lists, found).select("id", "n", "m", "component", *[last(c) for c in ("id", "n", "m", "component")])
+    both = both.where("component != component2").where(_may_link(F.col("n"), F.col("m"), F.col("n2"), F.col("m2")))
+    return both.select(F.greatest("id", "id2").alias("a"), F.least("id", "id2").alias("b")).distinct()
+
+
+#: 64-bit words of a parity signature.
+PARITY_WORDS = 32
+
+
 def parities(sets: DataFrame) -> DataFrame:
-    """(id, p0 .. p7): which of 512 cells hold an odd number of a set's hashes.
+    """(id, n, parity array<long>): which of 64 PARITY_WORDS cells hold an odd number of a set's hashes.
 
     Each cell in which two sets differ needs a hash that only one of them holds, so the number of such cells never
     exceeds the sets' symmetric difference: a test that needs no whole set and loses no link.
     """
+    bits = 64 * PARITY_WORDS
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            value = b.column(1).flatten().to_numpy().view(_U)
-            row = np.repeat(np.arange(b.num_rows), np.diff(b.column(1).offsets.to_numpy()))
-            cell = np.bincount(row * 512 + (mix(value) >> _U(55)).astype(np.int64), minlength=512 * b.num_rows) & 1
-            words = np.packbits(cell.astype(np.uint8).reshape(-1, 512), axis=1).view("<i8")
-            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(words[:, k].copy()) for k in range(8))], ["id", *(f"p{k}" for k in range(8))])
-
-    return sets.select("id", "hashes").mapInArrow(run, "id long, " + ", ".join(f"p{k} long" for k in range(8)))
-
-
-def _cross_pairs(lists: DataFrame, sets: DataFrame) -> DataFrame:
-    """Pairs of a list that lie in different components and may still reach the threshold."""
-    key = ["key", "subset"]
-    mixed = lists.groupBy(*key).agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x != y").select(*key)
-    cells = [f"p{k}" for k in range(8)]
-    left = written(lists.join(mixed, key).join(parities(sets), "id"), "mixed-lists")
-    right = left.select(*key, *[F.col(c).alias(f"{c}2") for c in ("id", "n", "m", "component", *cells)])
-    apart = sum((F.bit_count(F.col(c).bitwiseXOR(F.col(f"{c}2"))) for c in cells[1:]), F.bit_count(F.col("p0").bitwiseXOR(F.col("p02"))))
+        for whole in batches:
+            for at in range(0, whole.num_rows, 1024):
+                b = whole.slice(at, 1024)
+                value = b.column(1).flatten().to_numpy().view(_U)
+                n = np.diff(b.column(1).offsets.to_numpy())
+                cell = np.repeat(np.arange(b.num_rows) * bits, n) + (mix(value) % _U(bits)).astype(np.int64)
+                odd = (np.bincount(cell, minlength=bits * b.num_rows) & 1).astype(np.uint8).reshape(-1, bits)
+                words = np.packbits(odd, axis=1).view("<i8").ravel()
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * PARITY_WORDS), pa.array(words))
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n.astype(np.int32)), lists], ["id", "n", "parity"])
+
+    return sets.select("id", "hashes").mapInArrow(run, "id long, n int, parity array<long>")
+
+
+def _near(pairs: DataFrame, marks: DataFrame) -> DataFrame:
+    """The (a, b) pairs whose parity signatures still allow the threshold."""
+    a, b = (marks.select(F.col("id").alias(c), F.col("n").alias(f"{c}n"), F.col("parity").alias(f"{c}p")) for c in "ab")
+    apart = F.aggregate(F.zip_with("ap", "bp", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
     # |x ^ y| differing cells leave (n + n2 - |x ^ y|) / 2 shared hashes at most.
-    near = _enough((F.col("n") + F.col("n2") - apart) / 2, (F.col("n") + F.col("n2") + apart) / 2)
-    both = left.join(right, key).where("id > id2 and component != component2").where(_may_link(F.col("n"), F.col("m"), F.col("n2"), F.col("m2")) & near)
-    return both.select(F.col("id").alias("a"), F.col("id2").alias("b")).distinct()
+    near = _enough(F.col("an") + F.col("bn") - apart, F.col("an") + F.col("bn") + apart)
+    return pairs.join(a, "a").join(b, "b").where(near).select("a", "b")
+
+
+def _cross_pairs(lists: DataFrame, held: DataFrame, first_large: int, found: DataFrame) -> DataFrame:
+    """Every pair of a list that lies in different components and may reach the threshold, in its first common key.
+
+    In each list only the members outside its largest component look for partners."""
+    inside = _in_components(lists, found)
+    sizes = found.groupBy("component").agg(F.count(F.lit(1)).alias("members"))
+    ranked = inside.join(sizes, "component", "left").groupBy(*KEY).agg(F.max(F.struct(F.coalesce("members", F.lit(1)).alias("members"), "component"))["component"].alias("major"), F.min("component").alias("x"), F.max("component").alias("y"))
+    mixed = ranked.where("x != y").select(*KEY, "major")
+    left = written(_in_components(entries(held, first_large, True), found).join(mixed, KEY), "mixed-lists")
+    right = left.select(*KEY, *[F.col(c).alias(f"{c}2") for c in ("id", "n", "m", "component", *_SEEN)])
+    known = reduce(lambda x, y: x | y, [(F.col(c) == F.col(f"{c}2")) & (F.col(c) != F.lit(int(_NOTHING))) for c in _SEEN])
+    once = (F.col("component2") == F.col("major")) | (F.col("id") > F.col("id2"))
+    both = left.where("component != major").join(right, KEY).where(F.col("component") != F.col("component2")).where(once & ~known)
+    both = both.where(_may_link(F.col("n"), F.col("m"), F.col("n2"), F.col("m2")))
+    return both.select(F.greatest("id", "id2").alias("a"), F.least("id", "id2").alias("b")).distinct()
+
+
+def _may_link(n1, m1, n2, m2):
+    part = F.least(m1, m2)
+    return _enough(part, n1 + n2 - part)
