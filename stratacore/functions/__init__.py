@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, SparkSession
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 TWO52 = 1 << 52
 
@@ -37,8 +40,49 @@ def sketch_label(raw: Column, rate: Column, eps: float, cap: Column) -> Column:
     return (1 - eps) * F.least(raw.cast("double"), cap) / rate
 
 
+HISTOGRAM_BINS, HISTOGRAM_WIDTH = 5, 10
+
+
+@F.pandas_udf(T.ArrayType(T.LongType()))
+def core_histogram(values: pd.Series) -> list:
+    """Grouped aggregate: how many corenesses lie in each of HISTOGRAM_BINS bins of HISTOGRAM_WIDTH, the last one open."""
+    bins = (values.dropna() // HISTOGRAM_WIDTH).clip(upper=HISTOGRAM_BINS - 1).astype("int64")
+    return [int((bins == k).sum()) for k in range(HISTOGRAM_BINS)]
+
+
+@F.udtf(returnType=T.StructType([T.StructField("id", T.StringType()), T.StructField("coreness", T.LongType()), T.StructField("step", T.LongType())]))
+class PeelOrder:
+    """Table function over an edge table (src, dst), for graphs that one task holds: removal order with coreness."""
+
+    def __init__(self):
+        self.edges: list[tuple[str, str]] = []
+
+    def eval(self, row: Row):
+        self.edges.append((row["src"], row["dst"]))
+
+    def terminate(self):
+        from ..operators.peel import local_labels
+
+        ids = sorted({x for e in self.edges for x in e})
+        number = {x: k for k, x in enumerate(ids)}
+        ends = np.array([(number[a], number[b]) for a, b in self.edges], np.int64).reshape(-1, 2)
+        label, turn = local_labels(ends[:, 0], ends[:, 1], len(ids), np.zeros(len(ids), bool))
+        yield from zip(ids, label.tolist(), turn.tolist(), strict=True)
+
+
+def peel_table(spark: SparkSession, edges: DataFrame) -> DataFrame:
+    """(id string, coreness, step) by the table function."""
+    spark.udtf.register("peel_order", PeelOrder)
+    rows = edges.select(F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"))
+    return spark.sql("SELECT * FROM peel_order(TABLE(SELECT * FROM {edges}) WITH SINGLE PARTITION)", edges=rows)
+
+
 def register(spark: SparkSession) -> None:
-    """SQL functions: edge_uniform(src, dst, seed), h_index(array), sketch_label(raw, rate, eps, cap)."""
+    """SQL functions: edge_uniform(src, dst, seed), h_index(array), sketch_label(raw, rate, eps, cap),
+    first_level(u52, rates), core_histogram(coreness), and the table function peel_order(TABLE edges)."""
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION first_level(u52 BIGINT, rates ARRAY<DOUBLE>) RETURNS INT RETURN least(size(rates) - 1, size(filter(rates, r -> CAST(r * 4503599627370496D AS BIGINT) < u52)))")
+    spark.udf.register("core_histogram", core_histogram)
+    spark.udtf.register("peel_order", PeelOrder)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION edge_uniform(src BIGINT, dst BIGINT, seed BIGINT) RETURNS DOUBLE RETURN shiftrightunsigned(xxhash64(cast(seed AS STRING), src, dst), 12) / 4503599627370496D")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION h_index(v ARRAY<BIGINT>) RETURNS BIGINT RETURN CASE WHEN size(v) > 0 THEN array_max(zip_with(sort_array(v, false), sequence(1L, cast(size(v) AS BIGINT)), (a, k) -> least(a, k))) ELSE 0L END")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION sketch_label(raw DOUBLE, rate DOUBLE, eps DOUBLE, cap DOUBLE) RETURNS DOUBLE RETURN (1 - eps) * least(raw, cap) / rate")

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..functions import edge_uniform
 from ..runtime import Rounds, shared_dir, written
 from ..sources import degrees
-from .peel import exact_coreness, exclusive_local, strip_below
+from .peel import LOCAL_EDGES, _wave_order, exact_coreness, exclusive_local, strip_below
 
 
 def edge_levels(edges: DataFrame, labels: DataFrame, value: str = "coreness") -> DataFrame:
@@ -55,8 +55,14 @@ def orient_edges(edges: DataFrame, order: DataFrame) -> DataFrame:
     return both.select(F.when(first, F.col("dst")).otherwise(F.col("src")).alias("tail"), F.when(first, F.col("src")).otherwise(F.col("dst")).alias("head"))
 
 
-def peel_order(edges: DataFrame) -> DataFrame:
-    """(id, coreness, step): removal order of the one-task peel; vertices of one step fall together."""
+def peel_order(edges: DataFrame, method: str = "auto") -> DataFrame:
+    """(id, coreness, step): the removal order of a peel; vertices of one step fall together. 'local' peels in one task,
+    'waves' across the cluster, 'auto' locally where a count allows it."""
+    if method == "auto":
+        edges = written(edges, "edges")
+        method = "local" if edges.count() <= LOCAL_EDGES else "waves"
+    if method == "waves":
+        return _wave_order(edges, Rounds())
     flags = edges.withColumns({"su": F.lit(False), "sv": F.lit(False)})
     return exclusive_local(flags).select("id", F.col("raw").alias("coreness"), "step")
 

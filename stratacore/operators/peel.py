@@ -14,12 +14,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..runtime import Rounds, shared_dir, written
+from ..runtime import BROADCAST_ROWS, Rounds, bucketed, drop_written, fits_broadcast, shared_dir, written
 from ..sources import arcs, degrees
 
 PINNED = 1 << 40
-#: Edges that one task may peel (about 16 bytes each, and as much again while peeling).
-LOCAL_EDGES = 20_000_000
+#: Edges that one task may peel: about 100 bytes each at the peak of the array form, 1 GB in all.
+LOCAL_EDGES = 10_000_000
 
 
 # ---------------------------------------------------------------- one task
@@ -60,7 +60,7 @@ def degree_spans(start: np.ndarray, rows: np.ndarray) -> np.ndarray:
     return np.repeat(start[rows] - ends + n, n) + np.arange(ends[-1] if len(ends) else 0)
 
 
-def exclusive_local(edges: DataFrame, most_edges: int = 50_000_000) -> DataFrame:
+def exclusive_local(edges: DataFrame, most_edges: int = LOCAL_EDGES) -> DataFrame:
     """(id, raw, step) of the unsettled vertices of (src, dst, su, sv), peeled in one task (the single-machine round)."""
     kind = edges.schema["src"].dataType.simpleString()
 
@@ -87,29 +87,31 @@ def exclusive_local(edges: DataFrame, most_edges: int = 50_000_000) -> DataFrame
 # ---------------------------------------------------------------- across the cluster
 
 
-def exclusive_refined(edges: DataFrame, cap: int | None = None, rounds: Rounds | None = None, most_sweeps: int = 10_000) -> DataFrame:
-    """(id, raw) of the unsettled vertices of (src, dst, su, sv), by sweeps of clipped h-indices.
+def exclusive_refined(edges: DataFrame, cap: int | None = None, rounds: Rounds | None = None) -> DataFrame:
+    """(id, raw) of the unsettled vertices of (src, dst, su, sv), by sweeps of clipped h-indices until none changes.
 
-    A sweep sends (vertex, value) rows that are combined per distinct value before the shuffle, so a hub receives at
-    most one row per value and map task. Values only fall; a sweep without a change ends it.
+    Arcs are laid out by their sender once, so a sweep shuffles the values to them and then only (vertex, value) rows,
+    which are combined per distinct value before that shuffle: a hub receives at most one row per value and map task.
+    A sweep's values are a table; the one before the last is deleted. The number of sweeps is that of the graph (half
+    the length of its longest chain at worst); nothing stops them early.
     """
-    shared_dir(edges.sparkSession)
     rounds = rounds or Rounds()
-    top = F.lit(cap if cap is not None else PINNED)
-    side = F.explode(F.array(F.struct(F.col("src").alias("to"), F.col("dst").alias("of"), F.col("su").alias("fixed")), F.struct(F.col("dst").alias("to"), F.col("src").alias("of"), F.col("sv").alias("fixed"))))
-    both = edges.select(side.alias("a")).select("a.*")
-    pinned = both.where("fixed").select(F.col("to").alias("id")).distinct().select("id", F.lit(PINNED).alias("value"))
-    moving = written(both.where("not fixed").select("to", "of"), "arcs")
-    values = moving.groupBy(F.col("to").alias("id")).agg(F.least(F.count(F.lit(1)), top).alias("value")).unionByName(pinned).checkpoint()
-    for _ in range(most_sweeps):
-        sent = moving.join(values, moving["of"] == values["id"]).groupBy("to", F.least("value", top).alias("value")).agg(F.count(F.lit(1)).alias("k"))
-        fall = Window.partitionBy("to").orderBy(F.desc("value")).rowsBetween(Window.unboundedPreceding, 0)
-        best = sent.withColumn("at_least", F.sum("k").over(fall)).groupBy("to").agg(F.max(F.least("value", "at_least")).alias("next"))
-        new = values.join(best, values["id"] == best["to"], "left").select("id", F.col("value").alias("old"), F.least("value", F.coalesce("next", "value")).alias("value")).checkpoint()
-        rounds.sweeps, rounds.jobs = rounds.sweeps + 1, rounds.jobs + 2
-        values = new.select("id", "value")
-        if new.where("value < old").isEmpty():
-            break
+    with rounds.counted(edges.sparkSession):
+        top = F.lit(cap if cap is not None else PINNED)
+        side = F.explode(F.array(F.struct(F.col("src").alias("to"), F.col("dst").alias("of"), F.col("su").alias("fixed")), F.struct(F.col("dst").alias("to"), F.col("src").alias("of"), F.col("sv").alias("fixed"))))
+        both = written(edges.select(side.alias("a")).select("a.*"), "both-arcs")
+        pinned = both.where("fixed").select(F.col("to").alias("id")).distinct().select("id", F.lit(PINNED).alias("value"))
+        moving = bucketed(both.where("not fixed").select("to", "of"), "arcs", "of")
+        values = written(moving.groupBy(F.col("to").alias("id")).agg(F.least(F.count(F.lit(1)), top).alias("value")).unionByName(pinned).withColumn("old", F.col("value") + 1), "values")
+        while not values.where("value < old").isEmpty():
+            sent = moving.join(values.select("id", "value"), moving["of"] == values["id"]).groupBy("to", F.least("value", top).alias("value")).agg(F.count(F.lit(1)).alias("k"))
+            fall = Window.partitionBy("to").orderBy(F.desc("value")).rowsBetween(Window.unboundedPreceding, 0)
+            best = sent.withColumn("at_least", F.sum("k").over(fall)).groupBy("to").agg(F.max(F.least("value", "at_least")).alias("next"))
+            new = values.join(best, values["id"] == best["to"], "left").select("id", F.least("value", F.coalesce("next", "value")).alias("value"), F.col("value").alias("old"))
+            last, values = values, written(new, "values")
+            drop_written(last)
+            rounds.sweeps += 1
+        drop_written(both, moving)
     return values.where(F.col("value") < PINNED).select("id", F.col("value").alias("raw"))
 
 
@@ -117,8 +119,6 @@ def _flagged(edges: DataFrame, settled: DataFrame | None, rows: int | None = Non
     """edges with su, sv: whether an end is in the settled (id) table. Broadcast only behind a row check.
 
     rows: the number of settled ids where the caller knows it (and knows that they are distinct)."""
-    from ..runtime import BROADCAST_ROWS, fits_broadcast
-
     if settled is None:
         return edges.withColumns({"su": F.lit(False), "sv": F.lit(False)})
     ids = settled.select("id") if rows is not None else settled.select("id").distinct()
@@ -145,42 +145,47 @@ def exact_coreness(edges: DataFrame, method: str = "refine", rounds: Rounds | No
     if method == "waves":
         return _waves(edges, rounds or Rounds())
     if method == "auto":
-        method = "local" if edges.limit(LOCAL_EDGES + 1).count() <= LOCAL_EDGES else "refine"
+        edges = written(edges, "edges")  # counted from its footers, and not computed again by the peel
+        method = "local" if edges.count() <= LOCAL_EDGES else "refine"
     out = exclusive_labels(edges, None, None, "local" if method == "local" else "distributed", rounds)
     return out.select("id", F.col("label").alias("coreness"))
 
 
 def strip_below(edges: DataFrame, least: int, settled: DataFrame | None = None, rounds: Rounds | None = None) -> tuple[DataFrame, DataFrame]:
-    """Remove vertices of degree < least again and again (settled ones stay); returns (edges left, ids removed)."""
+    """Remove vertices of degree < least again and again (settled ones stay); returns (edges left, (id, wave) removed)."""
     shared_dir(edges.sparkSession)
-    gone = None
-    while True:
-        weak = degrees(edges).where(F.col("degree") < least).select("id")
-        if settled is not None:
-            weak = weak.join(settled.select("id"), "id", "left_anti")
-        weak = weak.checkpoint()
-        if rounds:
-            rounds.waves, rounds.jobs = rounds.waves + 1, rounds.jobs + 2
-        if weak.isEmpty():
-            return edges, gone if gone is not None else weak
-        gone = weak if gone is None else gone.unionByName(weak)
-        edges = edges.join(weak, edges["src"] == weak["id"], "left_anti").join(weak, edges["dst"] == weak["id"], "left_anti").checkpoint()
+    gone, wave, rounds = None, 0, rounds or Rounds()
+    with rounds.counted(edges.sparkSession):
+        while True:
+            weak = degrees(edges).where(F.col("degree") < least).select("id")
+            if settled is not None:
+                weak = weak.join(settled.select("id"), "id", "left_anti")
+            weak = written(weak.select("id", F.lit(wave).alias("wave")), "weak")
+            rounds.waves += 1
+            if weak.isEmpty():
+                return edges, gone if gone is not None else weak
+            gone, wave = weak if gone is None else gone.unionByName(weak), wave + 1
+            edges = written(edges.join(weak, edges["src"] == weak["id"], "left_anti").join(weak, edges["dst"] == weak["id"], "left_anti"), "left-edges")
 
 
 def _waves(edges: DataFrame, rounds: Rounds) -> DataFrame:
     """Coreness k - 1 for what falls when the least degree becomes k; cores that nothing leaves are jumped over."""
-    every = degrees(edges).select("id").checkpoint()
-    out, left = None, edges
+    return _wave_order(edges, rounds).select("id", "coreness")
+
+
+def _wave_order(edges: DataFrame, rounds: Rounds) -> DataFrame:
+    """(id, coreness, step): removal by waves; vertices that lose their last edge in a cascade fall with its last wave."""
+    out, left, step = None, written(edges, "edges"), 0
     while not left.isEmpty():
         least = degrees(left).agg(F.min("degree")).first()[0]
         before = left
         left, gone = strip_below(left, least + 1, rounds=rounds)
-        gone = gone.distinct().withColumn("coreness", F.lit(least).cast("long"))
-        # Vertices that lost all edges in this cascade without being weak themselves fell in it too.
-        lost = degrees(before).select("id").join(degrees(left).select("id"), "id", "left_anti").withColumn("coreness", F.lit(least).cast("long"))
-        part = written(gone.unionByName(lost).distinct(), "wave")
-        out = part if out is None else out.unionByName(part)
-    return out if out is not None else every.withColumn("coreness", F.lit(0).cast("long"))
+        lost = degrees(before).select("id").join(gone.select("id"), "id", "left_anti").join(degrees(left).select("id"), "id", "left_anti")
+        last = gone.agg(F.max("wave")).first()[0]
+        part = gone.unionByName(lost.withColumn("wave", F.lit(last + 1)))
+        part = written(part.select("id", F.lit(least).cast("long").alias("coreness"), (F.lit(step).cast("long") + F.col("wave")).alias("step")), "wave")
+        out, step = part if out is None else out.unionByName(part), step + last + 2
+    return out if out is not None else degrees(edges).select("id", F.lit(0).cast("long").alias("coreness"), F.lit(0).cast("long").alias("step"))
 
 
 def k_core(edges: DataFrame, k: int) -> DataFrame:
@@ -197,7 +202,7 @@ def prepeel_labels(edges: DataFrame, least: int = 3, settled: DataFrame | None =
         lost = degrees(before).select("id").join(degrees(left).select("id"), "id", "left_anti")
         if settled is not None:
             lost = lost.join(settled.select("id"), "id", "left_anti")
-        part = written(gone.unionByName(lost).distinct().withColumn("label", F.lit(k - 1).cast("long")), "prepeel")
+        part = written(gone.select("id").unionByName(lost).distinct().withColumn("label", F.lit(k - 1).cast("long")), "prepeel")
         out = part if out is None else out.unionByName(part)
     return left, out
 

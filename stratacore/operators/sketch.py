@@ -5,11 +5,11 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..functions import TWO52, edge_u52, first_level
-from ..params import SketchParams, rate_schedule
+from ..params import Level, SketchParams, deflation, rate_schedule
 from ..runtime import Rounds, written
 from ..sources import degrees
 from .peel import _flagged, exclusive_local, exclusive_refined, prepeel_labels
@@ -45,53 +45,80 @@ def level_sample(annotated: DataFrame, level: int, rate: float, p: SketchParams)
     return annotated.where(u <= F.lit(int(rate * TWO52)))
 
 
-def _peel(sample: DataFrame, edges: int, cap: float, p: SketchParams, rounds: Rounds) -> DataFrame:
+def peeled(sample: DataFrame, edges: int, level: Level, p: SketchParams, rounds: Rounds) -> DataFrame:
+    """(id, raw) of the unsettled vertices of a level's flagged sample, by the peeler that p and its size ask for."""
     local = p.peeler == "local" or (p.peeler == "auto" and edges <= p.max_local_edges)
     if local:
         return exclusive_local(sample, p.max_local_edges if p.peeler == "auto" else 1 << 62).select("id", "raw")
     # One above the cap is enough to tell "at the cap" from "beyond it"; labels are clipped at the cap anyway.
-    return exclusive_refined(sample, None if math.isinf(cap) else math.ceil(cap), rounds)
+    return exclusive_refined(sample, None if math.isinf(level.cap) else math.ceil(level.cap), rounds)
+
+
+def accepted(raw: DataFrame, level: Level, p: SketchParams) -> DataFrame:
+    """(id, label, level, raw, rate) of the vertices that a level settles; params.label_of states the formula."""
+    took = raw.where(F.col("raw") >= level.accept) if level.rate < 1 else raw
+    whole = math.isinf(level.cap)
+    clipped = F.col("raw").cast("double") if whole else F.least(F.col("raw").cast("double"), F.lit(float(level.cap)))
+    kept = F.col("raw") if whole else F.least("raw", F.lit(math.ceil(level.cap)))
+    return took.select("id", (F.lit(deflation(level, p)) * clipped / F.lit(level.rate)).alias("label"), F.lit(level.level).alias("level"), kept.cast("long").alias("raw"), F.lit(level.rate).alias("rate"))
+
+
+def prepeeled(h: DataFrame, settled: DataFrame | None, n_settled: int, level: Level, p: SketchParams, rounds: Rounds) -> tuple[DataFrame, int]:
+    """((id, raw), edges that the peeler got): the waves that need no peeler first, where p asks for them."""
+    if not p.prepeel:
+        size = h.count()
+        return peeled(h, size, level, p, rounds), size
+    rest, low = prepeel_labels(h.select("src", "dst"), p.prepeel, None if settled is None else settled.select("id"))
+    rest = _flagged(rest, settled, n_settled)
+    size = rest.count()
+    return peeled(rest, size, level, p, rounds).unionByName(low.select("id", F.col("label").alias("raw"))), size
+
+
+def _carried(last: DataFrame, new: DataFrame, n_new: int) -> DataFrame:
+    """The last level's sample without the edges that its settled vertices made needless, its flags brought up to date."""
+    more = _flagged(last.select("src", "dst", F.col("su").alias("was_u"), F.col("sv").alias("was_v")), new, n_new)
+    more = more.select("src", "dst", (F.col("su") | F.col("was_u")).alias("su"), (F.col("sv") | F.col("was_v")).alias("sv"))
+    return more.where(~(F.col("su") & F.col("sv")))
 
 
 def sketch_coreness(edges: DataFrame, p: SketchParams, n: int | None = None) -> Sketch:
     """Approximate coreness of every vertex of canonical edges.
 
-    rounds='two': each level writes its sample (the parallel round), then peels it; 'fused': sampling and peeling of
-    a level are one job and the sample is counted on the way. Labels do not depend on it, nor on the peeler.
+    rounds='two': each level writes its sample (the parallel round), then peels it. With nested samples a level carries
+    on the last one's table, meets only the newly settled vertices in it, and looks all settled ones up for its own new
+    edges alone. rounds='fused' (one-task peel, no pre-peel): a level is one job that samples, peels and writes what it
+    settles; its sample is counted on the way by an observation. Labels depend neither on it nor on the peeler.
     """
-    spark = edges.sparkSession
-    n = n if n is not None else degrees(edges).count()
-    levels, rounds = rate_schedule(n, p), Rounds()
-    annotated = written(annotate(edges, p, [x.rate for x in levels]), "annotated", "first_level")
-    kind = edges.schema["src"].dataType.simpleString()
-    settled, n_settled, samples, space = None, 0, [], []
-    for lv in levels:
-        h = _flagged(level_sample(annotated, lv.level, lv.rate, p).select("src", "dst"), settled, n_settled).where(~(F.col("su") & F.col("sv")))
-        fused = p.rounds == "fused" and p.peeler == "local" and not p.prepeel
-        low = None
-        if not fused:
-            h = written(h, f"sample-{lv.level}")
-            rounds.jobs += 1
-        size = h.count()
-        peeled, rest = size, h
-        if p.prepeel and size:
-            fixed = None if settled is None else settled.select("id")
-            rest, low = prepeel_labels(h.select("src", "dst"), p.prepeel, fixed)
-            rest = _flagged(rest, settled, n_settled)
-            peeled = rest.count()
-        raw = _peel(rest, peeled, lv.cap, p, rounds)
-        if low is not None:
-            raw = raw.unionByName(low.select("id", F.col("label").alias("raw")))
-        took = raw.where(F.col("raw") >= lv.accept) if lv.rate < 1 else raw
-        factor = (1.0 if not p.deflate or (p.exact_last and lv.rate >= 1) else 1 - p.eps) / (1 - 2 * p.eps if p.side == "upper" else 1)
-        clipped = F.col("raw").cast("double") if math.isinf(lv.cap) else F.least(F.col("raw").cast("double"), F.lit(float(lv.cap)))
-        took = took.select("id", (F.lit(factor) * clipped / F.lit(lv.rate)).alias("label"), F.lit(lv.level).alias("level"), (F.col("raw") if math.isinf(lv.cap) else F.least("raw", F.lit(math.ceil(lv.cap)))).cast("long").alias("raw"), F.lit(lv.rate).alias("rate"))
-        took = written(took, f"settled-{lv.level}")
-        rounds.levels, rounds.jobs = rounds.levels + 1, rounds.jobs + 1
-        settled = took if settled is None else settled.unionByName(took)
-        n_settled += took.count()  # from the footers of the table just written
-        samples.append(h.select(F.lit(lv.level).alias("level"), "src", "dst"))
-        space.append((lv.level, lv.rate, size, peeled))
+    spark, rounds = edges.sparkSession, Rounds()
+    with rounds.counted(spark):
+        n = n if n is not None else degrees(edges).count()
+        levels = rate_schedule(n, p)
+        annotated = written(annotate(edges, p, [x.rate for x in levels]), "annotated", "first_level")
+        kind = edges.schema["src"].dataType.simpleString()
+        one_task = p.peeler == "local" or (p.peeler == "auto" and annotated.count() <= p.max_local_edges)
+        fused = p.rounds != "two" and one_task and not p.prepeel
+        settled, new, n_settled, n_new, last, samples, space = None, None, 0, 0, None, [], []
+        for lv in levels:
+            if fused or last is None or p.sampler != "nested":
+                h = _flagged(level_sample(annotated, lv.level, lv.rate, p).select("src", "dst"), settled, n_settled).where(~(F.col("su") & F.col("sv")))
+            else:
+                fresh = _flagged(annotated.where(F.col("first_level") == lv.level).select("src", "dst"), settled, n_settled).where(~(F.col("su") & F.col("sv")))
+                h = _carried(last, new, n_new).unionByName(fresh)
+            seen, took = Observation(), Observation()
+            if fused:
+                raw = exclusive_local(h.observe(seen, F.count(F.lit(1)).alias("edges")), 1 << 62).select("id", "raw")
+            else:
+                h = last = written(h, f"sample-{lv.level}")
+                size = h.count()  # from the footers of the table just written
+                raw, least = prepeeled(h, settled, n_settled, lv, p, rounds)
+            new = written(accepted(raw, lv, p).observe(took, F.count(F.lit(1)).alias("vertices")), f"settled-{lv.level}")
+            if fused:
+                size = least = seen.get["edges"]
+            n_new = took.get["vertices"]
+            rounds.levels, n_settled = rounds.levels + 1, n_settled + n_new
+            settled = new if settled is None else settled.unionByName(new)
+            samples.append(h.select(F.lit(lv.level).alias("level"), "src", "dst"))
+            space.append((lv.level, lv.rate, size, least))
     sample = samples[0]
     for s in samples[1:]:
         sample = sample.unionByName(s)

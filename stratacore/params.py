@@ -10,7 +10,8 @@ from dataclasses import dataclass
 @dataclass(frozen=True)
 class SketchParams:
     """accept None: the theory threshold c_accept ln(n) / eps^2; a number: practical threshold. p0 and cap likewise:
-    'theory', 'scaled' (accept / 2n, growth * accept), or a number; cap None: labels are never clipped."""
+    'theory', 'scaled' (accept / 2n, growth * accept), or a number; cap None: labels are never clipped. rounds 'auto':
+    'fused' where all edges fit one task, else 'two'."""
 
     eps: float = 0.25
     c_rate: float = 96
@@ -28,8 +29,8 @@ class SketchParams:
     seed: int = 0
     prepeel: int = 0
     peeler: str = "auto"
-    max_local_edges: int = 50_000_000
-    rounds: str = "two"
+    max_local_edges: int = 10_000_000
+    rounds: str = "auto"
     n_upper: int | None = None
 
     def __post_init__(self):
@@ -39,7 +40,7 @@ class SketchParams:
             warnings.warn("with eps >= 1/2 the bound 1 - 2 eps says nothing", stacklevel=2)
         if self.growth <= 1:
             raise ValueError("growth must exceed 1")
-        if self.sampler not in ("nested", "fresh") or self.hash not in ("xxhash64", "md5") or self.peeler not in ("auto", "local", "distributed") or self.rounds not in ("two", "fused") or self.side not in ("lower", "upper"):
+        if self.sampler not in ("nested", "fresh") or self.hash not in ("xxhash64", "md5") or self.peeler not in ("auto", "local", "distributed") or self.rounds not in ("auto", "two", "fused") or self.side not in ("lower", "upper"):
             raise ValueError("unknown option")
 
     def threshold(self, n: int) -> float:
@@ -80,12 +81,15 @@ def rate_schedule(n: int, p: SketchParams) -> list[Level]:
         rate = min(1.0, rate * p.growth)
 
 
+def deflation(level: Level, p: SketchParams) -> float:
+    """What an estimate of this level is multiplied by."""
+    factor = 1.0 if not p.deflate or (p.exact_last and level.rate >= 1) else 1 - p.eps
+    return factor / (1 - 2 * p.eps) if p.side == "upper" else factor
+
+
 def label_of(raw: float, level: Level, p: SketchParams) -> float:
     """The label of an accepted vertex."""
-    factor = 1.0 if not p.deflate or (p.exact_last and level.rate >= 1) else 1 - p.eps
-    if p.side == "upper":
-        factor /= 1 - 2 * p.eps
-    return factor * min(raw, level.cap) / level.rate
+    return deflation(level, p) * min(raw, level.cap) / level.rate
 
 
 def plan_space(n: int, p: SketchParams) -> dict[str, float]:

@@ -1,4 +1,4 @@
-"""The experiment workloads: space and error against threshold and growth, scaling, baselines, claims."""
+"""The experiment workloads: space and error against threshold and growth, scaling, baselines, claims, ablations."""
 
 from __future__ import annotations
 
@@ -7,53 +7,61 @@ import time
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from ..functions import edge_uniform
 from ..operators import cores
 from ..operators.peel import exact_coreness
 from ..operators.sketch import sketch_coreness
 from ..params import SketchParams
 from ..runtime import Rounds, written
 from ..sources import clique_ladder, degrees, graph
+from . import grid
 from .measures import band_check, error_percentiles
 
+#: The four graphs that stand in for the published ones, and the published values and numbers of runs.
+GRAPHS = ("word_adjacency", "doc_word", "cust_supp", "part_supp")
+ACCEPTS, GROWTHS, SEEDS = (2, 3, 4, 5), (1.2, 1.4, 1.6, 2.0), (0, 1, 2)
 PRACTICAL = SketchParams(accept=3, p0="scaled", cap="scaled", peeler="auto")
-REPORT = "graph string, accept double, growth double, eps double, seed int, n long, m long, levels int, max_edges long, sum_edges long, max_share double, sum_share double, max_per_n double, p50 double, p60 double, p70 double, p80 double, p90 double, seconds double"
 
 
-def sweep(spark: SparkSession, sf_dir: str, graphs: list[str], grid: list[SketchParams], seeds=(0, 1, 2)) -> DataFrame:
-    """One row for each graph, parameter set and seed: space and error percentiles over coreness >= 5."""
+def sweep(spark: SparkSession, sf_dir: str, graphs: list[str], params: list[SketchParams], seeds=SEEDS) -> DataFrame:
+    """One row for each graph, parameter set and seed, each sketch by the cluster: for graphs above one task's size."""
     out = []
     for name in graphs:
         edges = written(graph(spark, sf_dir, name), "edges")
         m, n, exact = edges.count(), degrees(edges).count(), written(exact_coreness(edges, "auto"), "exact")
-        for p in grid:
+        for p in params:
             for seed in seeds:
                 began = time.time()
                 s = sketch_coreness(edges, replace(p, seed=seed), n)
                 took = time.time() - began
                 e = error_percentiles(s.labels, exact).first()
-                out.append((name, float(p.accept or 0), p.growth, p.eps, seed, n, m, len(s.space), s.space_max(), s.space_sum(), s.space_max() / m, s.space_sum() / m, s.space_max() / n, *(e[k] for k in range(1, 6)), took))
-    return spark.createDataFrame(out, REPORT)
+                out.append((name, seed, float(p.threshold(n)), p.growth, p.eps, n, m, len(s.space), s.space_max(), s.space_sum(), s.space_max() / m, s.space_sum() / m, s.space_max() / n, *(e[k] for k in range(1, 6)), took))
+    return spark.createDataFrame(out, f"graph string, seed int, {grid.REPORT}")
 
 
-def vary_accept(spark, sf_dir, graphs=("word_adjacency", "doc_word", "cust_supp", "part_supp"), values=(2, 3, 4, 5), seeds=(0, 1, 2)) -> DataFrame:
-    return sweep(spark, sf_dir, list(graphs), [replace(PRACTICAL, accept=t) for t in values], seeds)
+def vary_accept(spark, sf_dir, graphs=GRAPHS, values=ACCEPTS, seeds=SEEDS) -> DataFrame:
+    return grid.report(spark, sf_dir, graphs, [replace(PRACTICAL, accept=t) for t in values], seeds)
 
 
-def vary_growth(spark, sf_dir, graphs=("word_adjacency", "doc_word", "cust_supp", "part_supp"), values=(1.2, 1.4, 1.6, 2.0), seeds=(0, 1, 2), eps=(0.25,)) -> DataFrame:
-    return sweep(spark, sf_dir, list(graphs), [replace(PRACTICAL, growth=m, eps=e) for m in values for e in eps], seeds)
+def vary_growth(spark, sf_dir, graphs=GRAPHS, values=GROWTHS, seeds=SEEDS, eps=(0.25,)) -> DataFrame:
+    return grid.report(spark, sf_dir, graphs, [replace(PRACTICAL, growth=m, eps=e) for m in values for e in eps], seeds)
 
 
-def scaling(spark, dirs: list[str], graphs=("doc_word", "cust_supp", "copart")) -> DataFrame:
-    """Seconds against edges at accept 4, growth 2; the same graphs at several sizes."""
+def scaling(spark, sf_dir: str, graphs=("doc_word", "cust_supp", "copart"), parts=(0.125, 0.25, 0.5, 1.0)) -> DataFrame:
+    """Seconds against edges at accept 4, growth 2, over growing parts of each graph's edges; slope: of the logarithms,
+    over the rows of the graph (below 1: sublinear). Seconds hold what a level costs at least on this cluster."""
     out = []
     for name in graphs:
-        for d in dirs:
-            edges = written(graph(spark, d, name), "edges")
+        whole, rows = written(graph(spark, sf_dir, name), "edges"), []
+        for part in parts:
+            edges = written(whole.where(edge_uniform(F.col("src"), F.col("dst"), "part") <= part), "part")
             began = time.time()
             sketch_coreness(edges, replace(PRACTICAL, accept=4))
-            out.append((name, d, edges.count(), time.time() - began))
-    return spark.createDataFrame(out, "graph string, source string, m long, seconds double")
+            rows.append((edges.count(), time.time() - began))
+        out += [(name, m, s, slope(rows)) for m, s in rows]
+    return spark.createDataFrame(out, "graph string, m long, seconds double, slope double")
 
 
 def slope(rows: list[tuple[float, float]]) -> float:
@@ -63,38 +71,64 @@ def slope(rows: list[tuple[float, float]]) -> float:
     return sum((x - mx) * (y - my) for x, y in zip(xs, ys, strict=True)) / max(1e-12, sum((x - mx) ** 2 for x in xs))
 
 
-def baseline_time(spark, sf_dir, graphs=("page_link", "part_supp")) -> DataFrame:
-    """Rounds and seconds of the sketch and of the threshold waves."""
+def baseline_time(spark, sf_dir, graphs=GRAPHS) -> DataFrame:
+    """Rounds, Spark jobs and seconds of the sketch and of the threshold waves."""
     out = []
     for name in graphs:
         edges = written(graph(spark, sf_dir, name), "edges")
         began = time.time()
         s = sketch_coreness(edges, replace(PRACTICAL, accept=4))
-        s.labels.count()
         out.append((name, "sketch", s.rounds.levels, s.rounds.jobs, 0, time.time() - began))
         began, r = time.time(), Rounds()
-        cores.threshold_waves(edges, rounds=r).count()
+        cores.threshold_waves(edges, rounds=r)
         out.append((name, "threshold_waves", 0, r.jobs, r.waves, time.time() - began))
     return spark.createDataFrame(out, "graph string, method string, levels int, jobs int, waves int, seconds double")
 
 
-def claims(spark, most: int = 40, c: float = 4.0, eps: float = 0.5 - 1e-9, seeds=(0, 1, 2)) -> DataFrame:
-    """Level bands on a clique ladder with scaled-down constants; one row per seed and level."""
+#: Log constants scaled down so far that several levels below rate 1 settle vertices of a small ladder of cliques.
+SMALL = SketchParams(eps=0.5 - 1e-9, c_rate=0.15, c_accept=0.3, c_cap=0.6, hash="md5")
+LADDER = 60
+
+
+def claims(spark, most: int = LADDER, p: SketchParams = SMALL, seeds=SEEDS) -> DataFrame:
+    """Level bands on a ladder of cliques; one row per seed and level."""
     edges = written(clique_ladder(spark, most), "edges")
     exact, n, out = written(exact_coreness(edges, "local"), "exact"), degrees(edges).count(), None
     for seed in seeds:
-        p = SketchParams(eps=eps, c_rate=c, c_accept=2 * c, c_cap=4 * c, seed=seed)
-        rows = band_check(sketch_coreness(edges, p, n).labels, exact, n, eps).selectExpr(f"{seed} as seed", "*")
+        rows = band_check(sketch_coreness(edges, replace(p, seed=seed), n).labels, exact, n, p.eps).selectExpr(f"{seed} as seed", "*")
         out = rows if out is None else out.unionByName(rows)
     return out
 
 
-def ablate_uniform(spark, sf_dir, name: str = "part_supp", seed: int = 0) -> DataFrame:
-    """Errors of the adaptive sketch and of one uniform sample of the same total size."""
-    edges = written(graph(spark, sf_dir, name), "edges")
-    m, exact = edges.count(), written(exact_coreness(edges, "auto"), "exact")
-    s = sketch_coreness(edges, replace(PRACTICAL, seed=seed))
-    rate = min(1.0, s.space_sum() / m / 4)
-    u = cores.uniform_sample_coreness(edges, rate, seed)
-    a = error_percentiles(s.labels, exact).selectExpr("'adaptive' as method", "*")
-    return a.unionByName(error_percentiles(u, exact).selectExpr("'uniform' as method", "*"))
+def success_rate(spark, sf_dir, p: SketchParams = SMALL, seeds=tuple(range(10)), graphs=("copart", "user_hour")) -> DataFrame:
+    """(graph, runs, levels_used, bands, sizes, labels): the share of seeds that keep each promise; c_rate grows fourfold
+    from row to row of a graph, so that the shares can be seen to rise with the constants."""
+    ladder = written(clique_ladder(spark, LADDER).select(F.lit("clique_ladder").alias("graph"), "src", "dst"), "edges")
+    out = None
+    for times in (1, 4, 16):
+        q = replace(p, c_rate=times * p.c_rate, c_accept=times * p.c_accept, c_cap=times * p.c_cap)
+        for e in [ladder, *grid.graph_edges(spark, sf_dir, graphs)]:
+            share = lambda c: F.avg(F.col(c).cast("double")).alias(c)
+            rows = grid.success(e, q, seeds).groupBy("graph").agg(F.count(F.lit(1)).alias("runs"), F.max("levels_used").alias("levels_used"), share("bands"), share("sizes"), share("labels"))
+            rows = rows.select("graph", F.lit(q.c_rate).alias("c_rate"), "runs", "levels_used", "bands", "sizes", "labels")
+            out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+def ablate_uniform(spark, sf_dir, names=("word_adjacency", "copart"), seed: int = 0) -> DataFrame:
+    """Errors of the adaptive sketch and of uniform samples: one of the same total size, one of the size of the largest
+    level (what one machine must hold); by coreness below 5 and from 5 on."""
+    out = None
+    for name in names:
+        edges = written(graph(spark, sf_dir, name), "edges")
+        m, exact = edges.count(), written(exact_coreness(edges, "auto"), "exact")
+        s = sketch_coreness(edges, replace(PRACTICAL, seed=seed))
+        methods = [("adaptive", 0.0, s.labels)]
+        for method, size in (("uniform_total", s.space_sum()), ("uniform_largest", s.space_max())):
+            rate = min(1.0, size / m)
+            methods.append((method, rate, cores.uniform_sample_coreness(edges, rate, seed)))
+        for method, rate, labels in methods:
+            for band, least, most in (("below 5", 1, 4), ("5 and more", 5, None)):
+                rows = error_percentiles(labels, exact, least, most).select(F.lit(name).alias("graph"), F.lit(method).alias("method"), F.lit(rate).alias("rate"), F.lit(band).alias("band"), "*")
+                out = rows if out is None else out.unionByName(rows)
+    return out

@@ -57,14 +57,18 @@ def coreness(graph: str) -> str:
     return f"WITH RECURSIVE e AS ({GRAPHS[graph]}), {fixpoint('c', 'e')}"
 
 
+#: Disjoint cliques of 2 to `most` vertices, as sources.clique_ladder makes them.
+LADDER_EDGES = "SELECT 1000 * k + i AS src, 1000 * k + j AS dst FROM (SELECT unnest(range(2, {most} + 1)) AS k), (SELECT unnest(range({most})) AS i), (SELECT unnest(range({most})) AS j) WHERE i < j AND j < k"
+
+
 def sketch_chain(graph: str, p: SketchParams, n: int | None = None) -> str:
-    """Head that defines e, c (exact), settled (id, label, level, raw), sizes (level, edges) for md5 samples.
+    """graph: a name in GRAPHS, or a query for canonical edges. Head that defines e, c (exact), settled (id, label, level, raw), sizes (level, edges) for md5 samples.
 
     The schedule must not depend on n (p0 and accept given as numbers), so both engines use the same printed rates.
     """
     levels = rate_schedule(n or 1000, p)
     u = f"CAST('0x' || substr(md5('{p.seed}:' || src || ':' || dst), 1, 13) AS BIGINT)"
-    parts = [f"e AS ({GRAPHS[graph]})", fixpoint("c", "e"), f"ann AS (SELECT src, dst, {u} AS u FROM e)"]
+    parts = [f"e AS ({GRAPHS.get(graph, graph)})", fixpoint("c", "e"), f"ann AS (SELECT src, dst, {u} AS u FROM e)"]
     done = []
     for lv in levels:
         k = lv.level

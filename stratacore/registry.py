@@ -12,11 +12,12 @@ from . import functions as fn
 from .operators import cores, peel
 from .operators.sketch import sketch_coreness
 from .params import SketchParams, rate_schedule
-from .plans import experiments, measures
-from .plans.sqltext import GRAPHS, coreness, fixpoint, sketch_chain
-from .runtime import Rounds, written
-from .sources import arcs, degrees, edges_from, graph, load_table
-from .streaming import StreamingSketch, multi_pass, tumbling_degrees
+from .plans import experiments, grid, measures, relational
+from .plans.relational import TIMED, timed_edges
+from .plans.sqltext import GRAPHS, LADDER_EDGES, coreness, fixpoint, sketch_chain
+from .runtime import Rounds, new_path, written
+from .sources import arcs, clique_ladder, degrees, edges_from, graph, load_table
+from .streaming import StreamingSketch, contact_counts, matched_edges, multi_pass, run_windows, session_edges, window_edges, with_dimension
 
 #: Rates are binary fractions here, so that both engines compare the same numbers.
 BASE = SketchParams(accept=3, p0=2**-10, cap="scaled", hash="md5")
@@ -201,15 +202,54 @@ def _approx_core(s, d):
 
 _APPROX = _CHAIN + ", picked AS (SELECT id FROM settled WHERE label >= 10), f AS (SELECT src, dst FROM e WHERE src IN (SELECT id FROM picked) AND dst IN (SELECT id FROM picked)), " + fixpoint("a", "f") + " SELECT id FROM a WHERE v >= 10"
 _query("approx_kcore", _APPROX)(_approx_core)
-_query("degree_conc")(lambda s, d: measures.degree_concentration(graph(s, d, "user_hour"), graph(s, d, "user_hour").where(fn.edge_uniform(F.col("src"), F.col("dst")) <= 0.5), 0.5, 100, 0.5))
-_query("degree_conc_in")(lambda s, d: measures.degree_concentration(arcs(graph(s, d, "user_hour")), arcs(graph(s, d, "user_hour")).where(fn.edge_uniform(F.col("src"), F.col("dst")) <= 0.5), 0.5, 100, 0.5, "in"))
-_query("band_check")(lambda s, d: experiments.claims(s, 24, seeds=(0,)))
+
+
+_HALF = "CAST('0x' || substr(md5('0:' || src || ':' || dst), 1, 13) AS BIGINT) / 4503599627370496 <= 0.5"
+
+
+def _conc_sql(ends: str) -> str:
+    close, high = "abs(h - 0.5 * g) <= 0.5 * h", "2 * 0.5 * 100"
+    parts = (("dense", "g >= 100", close), ("sparse", "g < 100", f"h < {high}"), ("seen_dense", f"h >= {high}", f"{close} AND g >= 2 * 0.5 * 100"), ("seen_sparse", f"h < {high}", "g <= 2 * 1.5 * 100"))
+    counts = ", ".join(f"count(*) FILTER ({w}) AS {n}, count(*) FILTER (({w}) AND NOT ({ok})) AS {n}_broken" for n, w, ok in parts)
+    return f"WITH e AS ({GRAPHS['user_hour']}), x AS ({ends}), d AS (SELECT id, count(*) AS g, count(*) FILTER (kept) AS h FROM x GROUP BY id) SELECT {counts} FROM d"
+
+
+_BOTH_ENDS = f"SELECT src AS id, {_HALF} AS kept FROM e UNION ALL SELECT dst, {_HALF} FROM e"
+_IN_ENDS = f"SELECT dst AS id, {_HALF} AS kept FROM (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e)"
+
+
+def _concentration(s, d, direction):
+    e = written(graph(s, d, "user_hour"), "edges")
+    e = e if direction == "both" else arcs(e)
+    return measures.degree_concentration(e, e.where(fn.edge_uniform(F.col("src"), F.col("dst"), 0, "md5") <= 0.5), 0.5, 100, 0.5, direction)
+
+
+_query("degree_conc", _conc_sql(_BOTH_ENDS))(lambda s, d: _concentration(s, d, "both"))
+_query("degree_conc_in", _conc_sql(_IN_ENDS))(lambda s, d: _concentration(s, d, "in"))
+
+# The sketch with log constants, on a ladder of cliques where several levels below rate 1 settle vertices.
+_LADDER_N = sum(range(2, experiments.LADDER + 1))
+
+
+def _ladder_chain(seed: int) -> str:
+    return sketch_chain(LADDER_EDGES.format(most=experiments.LADDER), replace(experiments.SMALL, seed=seed), _LADDER_N)
+
+
+def _bands_sql(seed: int) -> str:
+    n, eps = _LADDER_N, repr(experiments.SMALL.eps)
+    high, low = f"v >= 2 * (1 + {eps}) * {n} / 2.0 ** (level - 1)", f"level < (SELECT max(level) FROM sizes) AND v < 2 * (1 - {eps}) * {n} / 2.0 ** level"
+    return f"SELECT {seed} AS seed, level, count(*) AS vertices, count(*) FILTER ({high}) AS too_dense, count(*) FILTER ({low}) AS too_sparse FROM ({_ladder_chain(seed)} SELECT level, v, (SELECT max(level) FROM sizes) AS top FROM settled JOIN c USING (id)) GROUP BY level".replace("(SELECT max(level) FROM sizes) AND v", "top AND v")
+
+
+_query("band_check", _bands_sql(0))(lambda s, d: experiments.claims(s, seeds=(0,)))
+_query("sketch_theory_levels", _ladder_chain(0) + _LABELS_SQL)(lambda s, d: _labels(sketch_coreness(clique_ladder(s, experiments.LADDER), experiments.SMALL)))
+_query("success_rate")(experiments.success_rate)
 
 
 def _rounds(s, d):
     e = written(graph(s, d, "page_link"), "edges")
     rows = []
-    for name, p in (("local", replace(BASE, peeler="local")), ("distributed", replace(BASE, peeler="distributed"))):
+    for name, p in (("fused", replace(BASE, rounds="fused", peeler="local")), ("two", replace(BASE, rounds="two", peeler="local")), ("distributed", replace(BASE, peeler="distributed"))):
         rows.append(sketch_coreness(e, replace(p, p0=2**-4)).rounds.row(name))
     r = Rounds()
     cores.threshold_waves(e, rounds=r)
@@ -233,31 +273,63 @@ _query("densest_peel")(lambda s, d: s.createDataFrame([(lambda x: (x[0], x[1].co
 # ---------------------------------------------------------------- streams
 
 
-def _slices(s, d, parts=3):
-    """cust_supp edges in ship-date order, as `parts` files of a streaming source."""
+#: First days of the slices after the first one, in ship-date order.
+_CUTS = ("1994-01-01", "1995-07-01", "1997-01-01")
+
+
+def _slices(s, d):
+    """cust_supp edges by the day they first appear on, in slices that together are the whole graph."""
     o, li = load_table(s, d, "orders"), load_table(s, d, "lineitem")
-    e = o.join(li, F.col("o_orderkey") == F.col("l_orderkey")).select((2 * F.col("o_custkey")).alias("src"), (2 * F.col("l_suppkey") + 1).alias("dst"), "l_shipdate")
-    e = written(e.groupBy("src", "dst").agg(F.min("l_shipdate").alias("at")), "edges")
-    cuts = e.select(F.unix_micros(F.col("at").cast("timestamp")).alias("t")).agg(F.percentile_approx("t", [k / parts for k in range(1, parts)], 1000)).first()[0]
-    slot = sum((F.unix_micros(F.col("at").cast("timestamp")) > c).cast("int") for c in cuts[1:]) + (F.unix_micros(F.col("at").cast("timestamp")) > cuts[0]).cast("int") if cuts else F.lit(0)
-    return [e.where(slot == k).select("src", "dst") for k in range(parts)]
+    e = o.join(li, F.col("o_orderkey") == F.col("l_orderkey")).select((2 * F.col("o_custkey")).alias("src"), (2 * F.col("l_suppkey") + 1).alias("dst"), F.col("l_shipdate").cast("date").cast("string").alias("day"))
+    e = written(e.groupBy("src", "dst").agg(F.min("day").alias("day")), "edges")
+    bounds = ["", *_CUTS, "9999"]
+    return [e.where((F.col("day") >= a) & (F.col("day") < b)).select("src", "dst") for a, b in zip(bounds, bounds[1:], strict=False)]
 
 
 _SP = replace(BASE, p0=2**-5, n_upper=1 << 16)
 
 
-def _stream(s, d):
-    from .runtime import new_path
+def _stream(s, d, relabel="full"):
+    """Slices as files of a streaming source; the run is cut in two, the second part resumes from the saved state."""
+    src, at, state = new_path(s, "edge-stream"), new_path(s, "stream-checkpoint"), new_path(s, "stream-state")
+    for k, part in enumerate(_slices(s, d)):
+        part.coalesce(1).write.mode("append").parquet(src)
+        if k in (1, len(_CUTS)):
+            sk = StreamingSketch(s, _SP, relabel)
+            stream = s.readStream.schema("src long, dst long").option("maxFilesPerTrigger", 1).parquet(src)
+            sk.start(stream, at, state).awaitTermination()
+    return sk
+
+
+_query("sketch_stream", sketch_chain("cust_supp", _SP) + _LABELS_SQL)(lambda s, d: _labels(_stream(s, d)))
 
-    src, sk = new_path(s, "edge-stream"), StreamingSketch(s, _SP)
+
+def _replayed(s, d, relabel="full"):
+    sk = StreamingSketch(s, _SP, relabel)
     for part in _slices(s, d):
-        part.coalesce(1).write.mode("append").parquet(src)
-    stream = s.readStream.schema("src long, dst long").option("maxFilesPerTrigger", 1).parquet(src)
-    sk.start(stream, new_path(s, "stream-checkpoint")).awaitTermination()
-    return sk.labels().select("id", F.round("label", 6).alias("label"), "level", "raw")
+        sk.add(part)
+    return sk
+
+
+_query("sketch_stream_local", sketch_chain("cust_supp", _SP) + _LABELS_SQL)(lambda s, d: _labels(_replayed(s, d, "local")))
+
+
+def _snapshot(s, d):
+    sk = _replayed(s, d)
+    return sk.labels(at=1).select("id", F.round("label", 6).alias("label"), "level", "raw")
+
 
+_DATED = "SELECT 2 * o_custkey AS src, 2 * l_suppkey + 1 AS dst, min(CAST(l_shipdate AS DATE)) AS day FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY ALL"
+_PREFIX = [f"SELECT src, dst FROM ({_DATED}) WHERE day < DATE '{c}'" for c in (*_CUTS, "9999-01-01")]
+_query("stream_snapshot", sketch_chain(_PREFIX[1], _SP) + _LABELS_SQL)(_snapshot)
 
-_query("sketch_stream", sketch_chain("cust_supp", _SP) + _LABELS_SQL)(_stream)
+
+def _stream_cost(s, d):
+    rows = [(mode, c.batch, c.inserted, c.levels, c.local_levels, c.relabelled, c.relabelled / max(1, c.inserted)) for mode in ("full", "local") for c in _replayed(s, d, mode).costs]
+    return s.createDataFrame(rows, "relabel string, batch int, inserted long, levels int, local_levels int, relabelled long, per_edge double")
+
+
+_query("update_cost")(_stream_cost)
 
 
 def _passes(s, d):
@@ -272,38 +344,110 @@ _query("sketch_multi_pass", sketch_chain("part_supp", replace(BASE, p0=2**-4)) +
 
 
 def _stream_prefix(s, d):
-    a, b, _ = _slices(s, d)
-    sk = StreamingSketch(s, _SP)
-    sk.add(a)
-    sk.add(b)
-    once = sketch_coreness(edges_from(a.unionByName(b)), _SP)
-    mine, other = sk.labels().select("id", "label", "level"), once.labels.select("id", "label", "level")
-    return s.createDataFrame([(mine.count(), mine.exceptAll(other).count() + other.exceptAll(mine).count())], "vertices long, different long")
+    """After every slice: vertices of the stream's labels, and rows in which they differ from the batch sketch's."""
+    sk, so_far, rows = StreamingSketch(s, _SP), None, []
+    for k, part in enumerate(_slices(s, d)):
+        sk.add(part)
+        so_far = part if so_far is None else so_far.unionByName(part)
+        mine, other = sk.labels().select("id", "label", "level"), sketch_coreness(edges_from(so_far), _SP).labels.select("id", "label", "level")
+        rows.append((k, mine.count(), mine.exceptAll(other).count() + other.exceptAll(mine).count()))
+    return s.createDataFrame(rows, "prefix int, vertices long, different long")
+
+
+_query("stream_prefix", " UNION ALL ".join(f"SELECT {k} AS prefix, count(*) AS vertices, CAST(0 AS BIGINT) AS different FROM (SELECT src AS id FROM ({e}) UNION SELECT dst FROM ({e}))" for k, e in enumerate(_PREFIX)))(_stream_prefix)
+
+
+def _stream_of(s, df, parts=4, order="edge_ts"):
+    """df as a stream of `parts` files in time order."""
+    src = new_path(s, "stream-files")
+    df = written(df, "stream-rows")
+    at = F.unix_micros(order)
+    lo, hi = df.agg(F.min(at), F.max(at)).first()
+    for k in range(parts):
+        slot = F.least(F.floor((at - F.lit(lo)) * parts / F.lit(max(1, hi - lo))), F.lit(parts - 1))
+        df.where(slot == k).coalesce(1).write.mode("append").parquet(src)
+    return s.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(src)
+
+
+def _windowed(s, out):
+    path = new_path(s, "window-rows")
+    run_windows(out, path, new_path(s, "window-checkpoint"), "complete").awaitTermination()
+    return s.read.schema(out.schema).parquet(path)
+
+
+_WALL = "yyyy-MM-dd HH:mm:ss"
+_query("stream_tumbling", f"SELECT strftime(date_trunc('day', edge_ts), '%Y-%m-%d %H:%M:%S') AS start, src, dst, count(*) AS times FROM ({TIMED}) GROUP BY ALL")(lambda s, d: _windowed(s, window_edges(_stream_of(s, timed_edges(s, d)), "1 day", "1 day")).withColumn("start", F.date_format("start", _WALL)))
+_query("stream_sliding", f"SELECT strftime(date_trunc('day', edge_ts) - to_days(k), '%Y-%m-%d %H:%M:%S') AS start, src, dst, count(*) AS times FROM ({TIMED}), (SELECT unnest([0, 1]) AS k) GROUP BY ALL")(lambda s, d: _windowed(s, window_edges(_stream_of(s, timed_edges(s, d)), "2 days", "1 day", "1 day")).withColumn("start", F.date_format("start", _WALL)))
+_SESSIONS = f"SELECT src, dst, edge_ts, sum(fresh) OVER (PARTITION BY src, dst ORDER BY edge_ts) AS run FROM (SELECT *, CASE WHEN edge_ts < lag(edge_ts) OVER (PARTITION BY src, dst ORDER BY edge_ts) + INTERVAL 1 DAY THEN 0 ELSE 1 END AS fresh FROM ({TIMED}))"
+_query("stream_session", f"SELECT strftime(min(edge_ts), '%Y-%m-%d %H:%M:%S') AS start, src, dst, count(*) AS times FROM ({_SESSIONS}) GROUP BY src, dst, run")(lambda s, d: _windowed(s, session_edges(_stream_of(s, timed_edges(s, d)), "1 day", "1 day")).select(F.date_format("start", _WALL).alias("start"), "src", "dst", "times"))
+
+
+def _drained(s, out):
+    """Rows of an append stream once its input is drained."""
+    path = new_path(s, "stream-rows")
+    run_windows(out, path, new_path(s, "stream-checkpoint")).awaitTermination()
+    return s.read.schema(out.schema).parquet(path)
+
 
+def _segments_stream(s, d):
+    o = load_table(s, d, "orders").select(F.col("o_custkey").alias("src"), F.col("o_orderkey").alias("dst"), F.col("o_orderdate").cast("timestamp").alias("edge_ts"))
+    return _drained(s, with_dimension(_stream_of(s, o), load_table(s, d, "customer").select("c_custkey", "c_mktsegment"), "c_custkey")).groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("orders"))
 
-_query("stream_prefix")(_stream_prefix)
 
+_query("stream_static_join", "SELECT c_mktsegment, count(*) AS orders FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY c_mktsegment")(_segments_stream)
 
-def _timed(s, d):
-    ev = load_table(s, d, "events").select("ts", "user_id")
-    a = ev.select(F.date_trunc("minute", "ts").alias("slot"), F.col("user_id").alias("src"), F.col("ts").cast("timestamp").alias("edge_ts"))
-    b = ev.select(F.date_trunc("minute", "ts").alias("slot"), F.col("user_id").alias("dst")).distinct()
-    return a.join(b, "slot").where("src < dst").select("edge_ts", "src", "dst")
 
+def _orders_lines(s, d):
+    o = load_table(s, d, "orders").select("o_orderkey", F.col("o_orderdate").cast("timestamp").alias("left_ts"), (2 * F.col("o_custkey")).alias("src")).withColumnRenamed("o_orderkey", "k")
+    li = load_table(s, d, "lineitem").select(F.col("l_orderkey").alias("k"), F.col("l_shipdate").cast("timestamp").alias("right_ts"), (2 * F.col("l_suppkey") + 1).alias("dst"))
+    return _drained(s, matched_edges(_stream_of(s, o, 2, "left_ts"), _stream_of(s, li, 2, "right_ts"), "k", "4000 DAYS")).distinct()
 
-_query("op_window_degrees")(lambda s, d: tumbling_degrees(_timed(s, d), "1 day"))
 
+_query("stream_stream_join", GRAPHS["cust_supp"])(_orders_lines)
 
-# ---------------------------------------------------------------- experiments (small grids; the functions take larger ones)
 
-_query("exp_space_T")(lambda s, d: measures.mean_of_runs(experiments.vary_accept(s, d, ("part_supp",), (2, 4), (0,)), "graph", "accept").drop("seconds"))
-_query("exp_error_T")(lambda s, d: experiments.vary_accept(s, d, ("cust_supp",), (2, 5), (0,)).select("graph", "accept", "p50", "p60", "p70", "p80", "p90"))
-_query("exp_space_M")(lambda s, d: experiments.vary_growth(s, d, ("part_supp",), (1.6, 2.0), (0,)).select("graph", "growth", "max_edges", "sum_edges"))
-_query("exp_error_M")(lambda s, d: experiments.vary_growth(s, d, ("part_supp",), (1.6, 2.0), (0,)).select("graph", "growth", "p50", "p90"))
-_query("exp_baseline_time")(lambda s, d: experiments.baseline_time(s, d, ("page_link",)))
-_query("exp_scal")(lambda s, d: experiments.scaling(s, [d], ("part_supp",)))
-_query("exp_claim_band")(lambda s, d: experiments.claims(s, 16, seeds=(0,)))
-_query("exp_ablate_uniform")(lambda s, d: experiments.ablate_uniform(s, d))
+def _keyed(s, d):
+    path = new_path(s, "keyed-rows")
+    keep = lambda df, k: df.withColumn("batch", F.lit(k)).write.mode("append").parquet(path)
+    out = contact_counts(_stream_of(s, timed_edges(s, d)).select("src", "dst"))
+    out.writeStream.outputMode("update").foreachBatch(keep).option("checkpointLocation", new_path(s, "keyed-checkpoint")).trigger(availableNow=True).start().awaitTermination()
+    return s.read.parquet(path).groupBy("id").agg(F.max("degree").alias("degree"))
+
+
+_query("stream_keyed_state", f"SELECT id, count(DISTINCT o) AS degree FROM (SELECT src AS id, dst AS o FROM ({TIMED}) UNION ALL SELECT dst, src FROM ({TIMED})) GROUP BY id")(_keyed)
+
+
+# ---------------------------------------------------------------- experiments
+
+_MEAN = lambda rows, *keys: measures.mean_of_runs(rows, *keys)
+_SPACE_CELLS = ("n", "m", "levels", "max_edges", "sum_edges", "max_share", "sum_share", "max_per_n")
+_ERROR_CELLS = ("p50", "p60", "p70", "p80", "p90")
+_query("exp_space_T")(lambda s, d: _MEAN(experiments.vary_accept(s, d), "graph", "accept").select("graph", "accept", *_SPACE_CELLS))
+_query("exp_error_T")(lambda s, d: _MEAN(experiments.vary_accept(s, d), "graph", "accept").select("graph", "accept", *_ERROR_CELLS))
+_query("exp_space_M")(lambda s, d: _MEAN(experiments.vary_growth(s, d), "graph", "growth").select("graph", "growth", *_SPACE_CELLS))
+_query("exp_error_M")(lambda s, d: _MEAN(experiments.vary_growth(s, d), "graph", "growth").select("graph", "growth", *_ERROR_CELLS))
+_query("exp_baseline_time")(experiments.baseline_time)
+_query("exp_scal")(experiments.scaling)
+_query("exp_claim_band", " UNION ALL ".join(f"({_bands_sql(k)})" for k in experiments.SEEDS))(lambda s, d: experiments.claims(s))
+_query("exp_ablate_uniform")(experiments.ablate_uniform)
+
+
+def _cells_sql(params: list[SketchParams], what: str) -> str:
+    return " UNION ALL ".join(f"SELECT CAST({getattr(p, what)!r} AS DOUBLE) AS {what}, max(edges) AS max_edges, CAST(sum(edges) AS BIGINT) AS sum_edges FROM ({sketch_chain('cust_supp', p)} SELECT edges FROM sizes)" for p in params)
+
+
+def _cells(s, d, params, what):
+    return grid.report(s, d, ("cust_supp",), params, (0,)).select(F.col(what).cast("double").alias(what), "max_edges", "sum_edges")
+
+
+# The space cells once more with portable hashes and rates, so that another engine can count them.
+_BY_ACCEPT, _BY_GROWTH = [replace(BASE, accept=t) for t in experiments.ACCEPTS], [replace(BASE, growth=m, p0=2**-4) for m in experiments.GROWTHS]
+_query("exp_space_T_portable", _cells_sql(_BY_ACCEPT, "accept"))(lambda s, d: _cells(s, d, _BY_ACCEPT, "accept"))
+_query("exp_space_M_portable", _cells_sql(_BY_GROWTH, "growth"))(lambda s, d: _cells(s, d, _BY_GROWTH, "growth"))
+
+_PRE = replace(BASE, p0=2**-5)
+_LEFT = [f"SELECT {x.level} AS level, (SELECT count(*) FROM h{x.level}) AS edges, (SELECT count(*) FROM h{x.level} WHERE src NOT IN (SELECT id FROM r{x.level} WHERE v < 3) AND dst NOT IN (SELECT id FROM r{x.level} WHERE v < 3)) AS collected" for x in rate_schedule(1000, _PRE)]
+_query("exp_prepeel", sketch_chain("doc_word", _PRE) + " " + " UNION ALL ".join(_LEFT))(lambda s, d: grid.prepeel_saving(s, d, ("doc_word",), _PRE).select("level", "edges", "collected"))
 
 
 # ---------------------------------------------------------------- relational operators around the methods
@@ -379,7 +523,6 @@ def _year(s, d, y):
 for _n, _op, _f in (("union_graphs", "UNION", lambda a, b: a.union(b).distinct()), ("intersect_edges", "INTERSECT", lambda a, b: a.intersect(b)), ("except_edges", "EXCEPT", lambda a, b: a.subtract(b))):
     _query(f"op_{_n}", f"{_Y(1995)} {_op} {_Y(1996)}")(lambda s, d, f=_f: f(_year(s, d, 1995), _year(s, d, 1996)))
 _query("op_copart_topk", f"WITH e AS ({GRAPHS['copart']}) SELECT id, count(*) AS degree FROM (SELECT src AS id FROM e UNION ALL SELECT dst FROM e) GROUP BY id ORDER BY degree DESC, id LIMIT 10")(lambda s, d: degrees(graph(s, d, "copart")).orderBy(F.desc("degree"), "id").limit(10))
-_query("op_vec_near")(lambda s, d: graph(s, d, "vec_near"))
 _query("op_json_props", "SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1")(lambda s, d: load_table(s, d, "events").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count(F.lit(1)).alias("n")))
 _query("op_label_feature", coreness("doc_word") + " SELECT quality, toxic, count(*) AS docs, round(avg(v), 6) AS coreness FROM labels JOIN c ON c.id = 'd' || doc_id GROUP BY quality, toxic")(lambda s, d: load_table(s, d, "labels").join(peel.exact_coreness(graph(s, d, "doc_word"), "auto").where(F.startswith("id", F.lit("d"))), F.concat(F.lit("d"), F.col("doc_id").cast("string")) == F.col("id")).groupBy("quality", "toxic").agg(F.count(F.lit(1)).alias("docs"), F.round(F.avg("coreness"), 6).alias("coreness")))
 
@@ -400,3 +543,7 @@ def _triangles(s, d):
 
 
 _query("op_triangles", f"WITH e AS ({GRAPHS['user_minute']}) SELECT count(*) AS triangles FROM e x JOIN e y ON x.dst = y.src JOIN e z ON z.src = x.src AND z.dst = y.dst")(_triangles)
+
+
+for _name, (_call, _text) in relational.QUERIES.items():
+    _query(_name, _text)(_call)

@@ -70,9 +70,24 @@ def written(df: DataFrame, label: str, *partition_by: str) -> DataFrame:
     return back
 
 
+def bucketed(df: DataFrame, label: str, key: str) -> DataFrame:
+    """Like `written`, laid out by hash of `key` in as many buckets as a shuffle has partitions and sorted in each: joins
+    and groupings on the key read it without a shuffle."""
+    spark, path = df.sparkSession, new_path(df.sparkSession, label)
+    name = f"{label.replace('-', '_')}_{uuid.uuid4().hex}"
+    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    with shuffles_dropped(spark):
+        df.repartition(buckets, key).write.option("path", path).option("compression", "zstd").bucketBy(buckets, key).sortBy(key).saveAsTable(name)
+    back = spark.table(name)
+    back._stored_at, back._stored_as = path, name
+    return back
+
+
 def drop_written(*tables: DataFrame) -> None:
-    """Delete tables that `written` made and nothing reads any more."""
+    """Delete tables that `written` or `bucketed` made and nothing reads any more."""
     for t in tables:
+        if getattr(t, "_stored_as", None):
+            t.sparkSession.sql(f"DROP TABLE IF EXISTS {t._stored_as}")
         if getattr(t, "_stored_at", None):
             remove(t.sparkSession, t._stored_at)
 
@@ -82,18 +97,32 @@ BROADCAST_ROWS = 2_000_000
 
 
 def fits_broadcast(df: DataFrame, rows: int = BROADCAST_ROWS) -> bool:
-    """Whether df has at most `rows` rows: asked before any broadcast of something that grows with the data."""
-    return df.limit(rows + 1).count() <= rows
+    """Whether df has at most `rows` rows: asked before any broadcast of something that grows with the data. Counts per
+    partition, so no row moves; cheapest on written tables, whose footers hold the count."""
+    return df.count() <= rows
 
 
 @dataclass
 class Rounds:
-    """Driver-side counters of an iterative method."""
+    """What an iterative method took: its own steps, and the Spark jobs that the scheduler counted meanwhile."""
 
     levels: int = 0
     jobs: int = 0
     sweeps: int = 0
     waves: int = 0
+    _inside: int = 0
+
+    @contextmanager
+    def counted(self, spark: SparkSession) -> Iterator[None]:
+        """Add the jobs that run inside."""
+        scheduler = spark.sparkContext._jsc.sc().dagScheduler()
+        before, self._inside = scheduler.numTotalJobs(), self._inside + 1
+        try:
+            yield
+        finally:
+            self._inside -= 1
+            if not self._inside:  # a method inside another one is counted once
+                self.jobs += scheduler.numTotalJobs() - before
 
     def row(self, method: str) -> tuple:
         return (method, self.levels, self.jobs, self.sweeps, self.waves)

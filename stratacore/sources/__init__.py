@@ -201,3 +201,22 @@ def path_graph(spark: SparkSession, n: int) -> DataFrame:
 
 def star_graph(spark: SparkSession, leaves: int) -> DataFrame:
     return spark.range(1, leaves + 1).select(F.lit(0).cast("long").alias("src"), F.col("id").alias("dst"))
+
+
+def cycle_graph(spark: SparkSession, n: int) -> DataFrame:
+    """A cycle of n vertices: coreness 2 everywhere."""
+    return edges_from(spark.range(n).select(F.col("id").alias("src"), ((F.col("id") + 1) % n).alias("dst")))
+
+
+def grid_graph(spark: SparkSession, rows: int, columns: int) -> DataFrame:
+    """A rectangular grid: coreness 2 everywhere (from 2 x 2 on)."""
+    cell = spark.range(rows * columns).select("id", (F.col("id") % columns).alias("x"), F.floor(F.col("id") / columns).alias("y"))
+    ends = F.array(F.when(F.col("x") < columns - 1, F.col("id") + 1), F.when(F.col("y") < rows - 1, F.col("id") + columns))
+    return cell.select(F.col("id").alias("src"), F.explode(ends).alias("dst")).where("dst is not null")
+
+
+def hub_groups(df: DataFrame, group: list[str], member: str, most: int) -> DataFrame:
+    """Groups of more than `most` distinct members with the pairs that they would make: asked before a pairing, which
+    drops none of them."""
+    size = df.select(*group, member).distinct().groupBy(*group).agg(F.count(F.lit(1)).alias("members"))
+    return size.where(F.col("members") > most).withColumn("pairs", (F.col("members") * (F.col("members") - 1) / 2).cast("long"))

@@ -2,42 +2,73 @@
 
 With nested hashes and inserts only, the state after any prefix equals the batch sketch of that prefix, whatever the
 order: settled sets only grow, and an edge that became useless stays useless. So a micro-batch is taken in level by
-level, each touched level is relabelled once, and when a level's settled set grows all later levels are relabelled.
-The state is versioned Parquet: one folder per committed batch, and a pointer written last, so that a replayed batch
-is recognised and a lost driver resumes from the last commit.
+level. A level is relabelled only if it got a new edge or an earlier level settled a new vertex; `relabel='local'`
+updates it around the new edges where only the former holds. Kept edges are a list of tables, one a batch, compacted
+now and then. The state is versioned Parquet: one folder per committed batch, and a pointer written last, so that a
+replayed batch is recognised and a lost driver resumes from the last commit.
 """
 
 from __future__ import annotations
 
-import math
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
+from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import edge_u52, first_level
-from ..operators.peel import _flagged, exclusive_local, exclusive_refined
+from ..operators.peel import _flagged
+from ..operators.sketch import accepted, prepeeled
 from ..params import SketchParams, rate_schedule
-from ..runtime import written
+from ..runtime import Rounds, drop_written, written
 from ..sources import edges_from
 
+#: Batches of kept edges after which they become one table again (and needless edges go).
+COMPACT = 8
+
+
+@dataclass
+class BatchCost:
+    """What a batch did: new edges, levels relabelled (and how many of them locally), vertices given a label anew."""
+
+    batch: int
+    inserted: int
+    levels: int
+    local_levels: int
+    relabelled: int
+
 
 class StreamingSketch:
-    """State: kept edges (src, dst, first_level) that some level still needs, and settled labels by level.
+    """State: kept edges (src, dst, first_level) that some level still needs, the raw labels and the settled labels by level.
 
-    `n_upper` must be set (the stream's number of vertices is not known in advance). A touched level is peeled anew.
+    `n_upper` must be set (the stream's number of vertices is not known in advance). relabel: 'full' peels a touched
+    level anew, 'local' walks out from its new edges. `keep` snapshots of past batches can be asked for by `labels(at=)`.
     """
 
-    def __init__(self, spark: SparkSession, p: SketchParams):
+    def __init__(self, spark: SparkSession, p: SketchParams, relabel: str = "full", keep: int = 16):
         if p.n_upper is None:
             raise ValueError("a stream needs n_upper")
         if p.sampler != "nested":
             raise ValueError("a stream needs nested samples")
-        self.spark, self.p = spark, p
+        if relabel not in ("full", "local"):
+            raise ValueError("relabel is 'full' or 'local'")
+        self.spark, self.p, self.relabel, self.keep = spark, p, relabel, keep
         self.levels = rate_schedule(p.n_upper, p)
-        self.edges: DataFrame | None = None
+        self.parts: list[DataFrame] = []
+        self.raw: list[DataFrame | None] = [None] * len(self.levels)
         self.settled: list[DataFrame | None] = [None] * len(self.levels)
+        self.n_settled = [0] * len(self.levels)
         self.last_batch = -1
-        self.touched: list[int] = []
+        self.history: dict[int, list[DataFrame]] = {}
+        self.costs: list[BatchCost] = []
+
+    @property
+    def edges(self) -> DataFrame | None:
+        """The kept edges, or None before the first one."""
+        return reduce(DataFrame.unionByName, self.parts) if self.parts else None
 
     # ------------------------------------------------------------ taking edges in
 
@@ -45,93 +76,122 @@ class StreamingSketch:
         """Insert a batch; one that was committed already is skipped (replay after a restart)."""
         if batch_id is not None and batch_id <= self.last_batch:
             return
-        p = self.p
+        batch, p = batch_id if batch_id is not None else self.last_batch + 1, self.p
         new = edges_from(edges).withColumn("u", edge_u52(F.col("src"), F.col("dst"), p.seed, p.hash))
         new = new.select("src", "dst", first_level(F.col("u"), [x.rate for x in self.levels]).alias("first_level"))
-        if self.edges is not None:
+        if self.parts:
             new = new.join(self.edges.select("src", "dst"), ["src", "dst"], "left_anti")
         new = written(new, "stream-new")
-        lows = {r.first_level for r in new.groupBy("first_level").count().collect()}  # one row per level
-        if lows:
-            self.edges = new if self.edges is None else written(self.edges.unionByName(new), "stream-edges")
-            self._relabel(min(lows))
-            self._prune()
-        self.last_batch = batch_id if batch_id is not None else self.last_batch + 1
-
-    def _before(self, level: int) -> DataFrame | None:
-        out = None
-        for s in self.settled[:level]:
-            if s is not None:
-                out = s.select("id") if out is None else out.unionByName(s.select("id"))
-        return out
+        arrived = {r.first_level: r["count"] for r in new.groupBy("first_level").count().collect()}  # one row per level
+        if arrived:
+            self.parts.append(new)
+            self._take(batch, new, arrived)
+            if len(self.parts) > COMPACT:
+                self._prune()
+        else:
+            self.costs.append(BatchCost(batch, 0, 0, 0, 0))
+        self.last_batch = batch
+        self.history[batch] = [s for s in self.settled if s is not None]
+        for old in sorted(self.history)[: -self.keep]:
+            del self.history[old]
+
+    def _before(self, level: int) -> tuple[DataFrame | None, int]:
+        some = [s.select("id") for s in self.settled[:level] if s is not None]
+        return (reduce(DataFrame.unionByName, some) if some else None), sum(self.n_settled[:level])
 
-    def sample(self, level: int) -> DataFrame:
+    def sample(self, level: int, edges: DataFrame | None = None) -> DataFrame:
         """The level's sample: hash reached, and not both ends settled by earlier levels."""
-        h = self.edges.where(F.col("first_level") <= level).select("src", "dst")
-        return _flagged(h, self._before(level)).where(~(F.col("su") & F.col("sv")))
-
-    def _relabel(self, start: int) -> None:
-        """Peel every level from the first touched one: a later level sees either a new edge or a new settled set."""
-        p = self.p
-        self.touched.append(len(self.levels) - start)
-        for lv in self.levels[start:]:
+        h = (self.edges if edges is None else edges).where(F.col("first_level") <= level).select("src", "dst")
+        return _flagged(h, *self._before(level)).where(~(F.col("su") & F.col("sv")))
+
+    def _take(self, batch: int, new: DataFrame, arrived: dict[int, int]) -> None:
+        cost, grew = BatchCost(batch, sum(arrived.values()), 0, 0, 0), False
+        for lv in self.levels:
+            got = any(k <= lv.level for k in arrived)
+            if not (grew or got):
+                continue
             h = written(self.sample(lv.level), "stream-sample")
-            local = p.peeler == "local" or (p.peeler == "auto" and h.count() <= p.max_local_edges)
-            raw = exclusive_local(h).select("id", "raw") if local else exclusive_refined(h, None if math.isinf(lv.cap) else math.ceil(lv.cap))
-            took = raw if lv.rate >= 1 else raw.where(F.col("raw") >= lv.accept)
-            factor = (1.0 if not p.deflate or (p.exact_last and lv.rate >= 1) else 1 - p.eps) / (1 - 2 * p.eps if p.side == "upper" else 1)
-            clip = F.col("raw").cast("double") if math.isinf(lv.cap) else F.least(F.col("raw").cast("double"), F.lit(float(lv.cap)))
-            kept = F.col("raw") if math.isinf(lv.cap) else F.least("raw", F.lit(math.ceil(lv.cap)))
-            took = took.select("id", (F.lit(factor) * clip / F.lit(lv.rate)).alias("label"), F.lit(lv.level).alias("level"), kept.cast("long").alias("raw"), F.lit(lv.rate).alias("rate"))
-            self.settled[lv.level] = written(took, f"stream-settled-{lv.level}")
+            if self.relabel == "local" and not grew and self.raw[lv.level] is not None and h.count() <= self.p.max_local_edges:
+                raw, cost.local_levels = locally_relabelled(h, self.sample(lv.level, new), self.raw[lv.level]), cost.local_levels + 1
+                raw = written(raw, "stream-raw")
+                cost.relabelled += raw.where("moved").count()
+                raw = raw.drop("moved")
+            else:
+                raw, _ = prepeeled(h, *self._before(lv.level), lv, self.p, Rounds())
+                raw = written(raw, "stream-raw")
+                cost.relabelled += raw.count()
+            drop_written(h)
+            before = self.n_settled[lv.level]
+            self.raw[lv.level], self.settled[lv.level] = raw, written(accepted(raw, lv, self.p), f"stream-settled-{lv.level}")
+            self.n_settled[lv.level] = self.settled[lv.level].count()
+            # Settled sets only grow, so an unchanged number is an unchanged set.
+            grew, cost.levels = grew or self.n_settled[lv.level] != before, cost.levels + 1
+        self.costs.append(cost)
 
     def _prune(self) -> None:
-        """Drop edges that no level can need again: both ends settled before the level that first holds them."""
-        when = None
-        for s in self.settled[:-1]:
-            if s is not None:
-                when = s.select("id", "level") if when is None else when.unionByName(s.select("id", "level"))
-        if when is None:
-            return
-        a, b = when.select(F.col("id").alias("src"), F.col("level").alias("x")), when.select(F.col("id").alias("dst"), F.col("level").alias("y"))
-        both = self.edges.join(a, "src", "left").join(b, "dst", "left")
-        dead = F.coalesce(F.greatest("x", "y") < F.col("first_level"), F.lit(False)) & F.col("x").isNotNull() & F.col("y").isNotNull()
-        self.edges = written(both.where(~dead).select("src", "dst", "first_level"), "stream-edges")
+        """One table of the kept edges, without those whose ends were both settled before the level that first holds them."""
+        when = [s.select("id", "level") for s in self.settled[:-1] if s is not None]
+        edges = self.edges
+        if when:
+            w = reduce(DataFrame.unionByName, when)
+            a, b = w.select(F.col("id").alias("src"), F.col("level").alias("x")), w.select(F.col("id").alias("dst"), F.col("level").alias("y"))
+            both = edges.join(a, "src", "left").join(b, "dst", "left")
+            dead = F.col("x").isNotNull() & F.col("y").isNotNull() & (F.greatest("x", "y") < F.col("first_level"))
+            edges = both.where(~dead).select("src", "dst", "first_level")
+        old, self.parts = self.parts, [written(edges, "stream-edges")]
+        drop_written(*old)
 
     # ------------------------------------------------------------ reading the state
 
-    def labels(self) -> DataFrame:
-        out = None
-        for s in self.settled:
-            if s is not None:
-                out = s if out is None else out.unionByName(s)
-        if out is None:
-            raise ValueError("no edge was taken in yet")
-        return out
+    def labels(self, at: int | None = None) -> DataFrame:
+        """(id, label, level, raw, rate) now, or after the past batch `at`."""
+        if at is not None and at not in self.history:
+            raise KeyError(f"no snapshot of batch {at}; kept are {sorted(self.history)}")
+        some = self.history[at] if at is not None else [s for s in self.settled if s is not None]
+        return reduce(DataFrame.unionByName, some) if some else self._nothing("id long, label double, level int, raw long, rate double")
+
+    def _nothing(self, schema: str) -> DataFrame:
+        return self.spark.createDataFrame([], schema)
 
     def space(self) -> list[tuple[int, int]]:
         """(level, edges) of the samples that the state can produce."""
-        return [] if self.edges is None else [(lv.level, self.sample(lv.level).count()) for lv in self.levels]
+        return [(lv.level, self.sample(lv.level).count()) for lv in self.levels] if self.parts else []
 
     def save(self, path: str) -> None:
         """Commit the state under its batch id; the pointer is written last."""
         at = f"{path}/batch-{self.last_batch}"
-        self.edges.write.mode("overwrite").parquet(f"{at}/edges")
-        self.labels().write.mode("overwrite").parquet(f"{at}/labels")
+        edges = self.edges if self.parts else self._nothing("src long, dst long, first_level int")
+        raws = [r.withColumn("level", F.lit(k)) for k, r in enumerate(self.raw) if r is not None]
+        raw = reduce(DataFrame.unionByName, raws) if raws else self._nothing("id long, raw long, level int")
+        for name, table in (("edges", edges), ("labels", self.labels()), ("raw", raw)):
+            table.write.mode("overwrite").parquet(f"{at}/{name}")
         self.spark.createDataFrame([(self.last_batch,)], "batch long").coalesce(1).write.mode("append").parquet(f"{path}/commits")
 
     @classmethod
-    def load(cls, spark: SparkSession, path: str, p: SketchParams) -> StreamingSketch:
-        out = cls(spark, p)
-        out.last_batch = spark.read.parquet(f"{path}/commits").agg(F.max("batch")).first()[0]
-        at = f"{path}/batch-{out.last_batch}"
-        out.edges = spark.read.parquet(f"{at}/edges")
-        labels = spark.read.parquet(f"{at}/labels")
-        out.settled = [labels.where(F.col("level") == lv.level) for lv in out.levels]
+    def load(cls, spark: SparkSession, path: str, p: SketchParams, at: int | None = None, **options) -> StreamingSketch:
+        """The state after the last commit, or after the commit `at`."""
+        out = cls(spark, p, **options)
+        out._resume(path, at)
         return out
 
+    def _resume(self, path: str, at: int | None = None) -> None:
+        self.last_batch = at if at is not None else self.spark.read.parquet(f"{path}/commits").agg(F.max("batch")).first()[0]
+        edges, labels, raw = (self.spark.read.parquet(f"{path}/batch-{self.last_batch}/{x}") for x in ("edges", "labels", "raw"))
+        self.parts = [] if edges.isEmpty() else [edges]
+        if self.parts:
+            sizes = {r.level: r["count"] for r in labels.groupBy("level").count().collect()}  # one row per level
+            self.settled = [labels.where(F.col("level") == lv.level) for lv in self.levels]
+            self.raw = [raw.where(F.col("level") == lv.level).drop("level") for lv in self.levels]
+            self.n_settled = [sizes.get(lv.level, 0) for lv in self.levels]
+        self.history = {self.last_batch: [s for s in self.settled if s is not None]}
+
     def start(self, stream: DataFrame, checkpoint: str, state: str | None = None, trigger: dict | None = None):
-        """Run on a streaming DataFrame (src, dst): every micro-batch is inserted, and committed when `state` is given."""
+        """Run on a streaming DataFrame (src, dst): every micro-batch is inserted, and committed when `state` is given.
+
+        A state folder with commits is resumed from first, so a new object goes on where a lost one stopped; batches
+        that Spark replays are recognised by their number."""
+        if state and self.last_batch < 0 and _exists(self.spark, f"{state}/commits"):
+            self._resume(state)
 
         def take(batch: DataFrame, batch_id: int) -> None:
             self.add(batch, batch_id)
@@ -141,32 +201,172 @@ class StreamingSketch:
         return stream.writeStream.foreachBatch(take).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
 
 
+def _exists(spark: SparkSession, path: str) -> bool:
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(p)
+
+
+def locally_relabelled(h: DataFrame, new: DataFrame, raw: DataFrame) -> DataFrame:
+    """(id, raw, moved) of a level's sample h (src, dst, su, sv) after its edges `new` came in, from the labels before.
+
+    One edge can raise only vertices whose label equals the smaller one of its ends and that are reached from such an
+    end over vertices of that label; those with enough neighbours among themselves and above rise by one. Settled
+    vertices stand above all labels. Edge by edge, in one task, by walks that end where labels differ.
+    """
+    kind = h.schema["src"].dataType
+    edge = lambda df, tag: df.select(F.lit(tag).alias("tag"), "src", "dst", "su", "sv", F.lit(0).cast("long").alias("raw"))
+    fresh = edge(new, 1)
+    old = edge(h.join(new.select("src", "dst"), ["src", "dst"], "left_anti"), 0)
+    known = raw.select(F.lit(2).alias("tag"), F.col("id").alias("src"), F.col("id").alias("dst"), F.lit(False).alias("su"), F.lit(False).alias("sv"), "raw")
+    rows = old.unionByName(fresh).unionByName(known)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tag, src, dst, su, sv, value = (np.concatenate(x) for x in zip(*((c.to_numpy(zero_copy_only=False) for c in b.columns) for b in batches), strict=True))
+        near: dict = {}
+        label: dict = {}
+
+        def join(u, v) -> None:
+            near.setdefault(u, []).append(v)
+            near.setdefault(v, []).append(u)
+
+        above = 1 << 62
+        edges_too = tag != 2
+        for ids, fixed in ((src, su), (dst, sv)):
+            label.update(dict.fromkeys(ids[edges_too & fixed.astype(bool)].tolist(), above))
+        label.update(zip(src[tag == 2].tolist(), value[tag == 2].tolist(), strict=True))
+        for u, v in zip(src[tag == 0].tolist(), dst[tag == 0].tolist(), strict=True):
+            join(u, v)
+        moved = set()
+        for u, v in zip(src[tag == 1].tolist(), dst[tag == 1].tolist(), strict=True):
+            for x in (u, v):
+                if x not in label:
+                    label[x] = 0
+                    moved.add(x)
+            join(u, v)
+            k = min(label[u], label[v])
+            todo = [x for x in (u, v) if label[x] == k]
+            reach = set(todo)
+            while todo:
+                for y in near[todo.pop()]:
+                    if label[y] == k and y not in reach:
+                        reach.add(y)
+                        todo.append(y)
+            count = {x: sum(label[y] > k or y in reach for y in near[x]) for x in reach}
+            weak = [x for x, n in count.items() if n <= k]
+            while weak:
+                x = weak.pop()
+                if x not in reach:
+                    continue
+                reach.discard(x)
+                for y in near[x]:
+                    if y in reach:
+                        count[y] -= 1
+                        if count[y] <= k:
+                            weak.append(y)
+            for x in reach:
+                label[x] = k + 1
+            moved |= reach
+        kept = [(x, n) for x, n in label.items() if n != above]
+        yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in kept], b_type), pa.array([n for _, n in kept], pa.int64()), pa.array([x in moved for x, _ in kept], pa.bool_())], ["id", "raw", "moved"])
+
+    b_type = pa.string() if kind.simpleString() == "string" else pa.int64()
+    return rows.repartition(1).mapInArrow(run, f"id {kind.simpleString()}, raw long, moved boolean")
+
+
+# ---------------------------------------------------------------- sources, windows, joins
+
+
 def read_edge_stream(spark: SparkSession, path: str, schema: str, kind: str = "parquet", late: str | None = None) -> DataFrame:
     """Edges from files, one file a micro-batch. Late edges are valid (order does not matter); late='1 hour' drops them."""
     s = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).format(kind).load(path)
     return s.withWatermark("edge_ts", late) if late else s
 
 
-def tumbling_degrees(edges: DataFrame, width: str, slide: str | None = None) -> DataFrame:
-    """(start, id, degree) per time window of (edge_ts, src, dst): works on streams and on tables alike."""
-    ends = edges.select("edge_ts", F.explode(F.array(F.struct(F.col("src").alias("id"), F.col("dst").alias("of")), F.struct(F.col("dst").alias("id"), F.col("src").alias("of")))).alias("e"))
-    slot = F.window("edge_ts", width, slide) if slide else F.window("edge_ts", width)
-    return ends.groupBy(slot.alias("w"), "e.id").agg(F.approx_count_distinct("e.of").alias("degree")).select(F.col("w.start").alias("start"), "id", "degree")
+def _ends(edges: DataFrame, *more: str) -> DataFrame:
+    return edges.select(*more, F.explode(F.array(F.struct(F.col("src").alias("id"), F.col("dst").alias("of")), F.struct(F.col("dst").alias("id"), F.col("src").alias("of")))).alias("e")).select(*more, "e.id", "e.of")
 
 
-def multi_pass(source, p: SketchParams, n: int):
+def _slot(width: str, slide: str | None):
+    return F.window("edge_ts", width, slide) if slide else F.window("edge_ts", width)
+
+
+def window_degrees(edges: DataFrame, width: str, slide: str | None = None) -> DataFrame:
+    """(start, id, degree) per time window of a table (edge_ts, src, dst): distinct neighbours, exactly, in two steps."""
+    pairs = edges.select(_slot(width, slide).alias("w"), F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()
+    return _ends(pairs, "w").groupBy("w", "id").agg(F.count(F.lit(1)).alias("degree")).select(F.col("w.start").alias("start"), "id", "degree")
+
+
+def window_edges(edges: DataFrame, width: str, late: str, slide: str | None = None) -> DataFrame:
+    """(start, src, dst): the distinct edges of each window of a stream, kept as state until the watermark passes it.
+
+    Window results that need one more grouping (degrees, cores) take these rows batch by batch, see `run_windows`."""
+    s = edges.withWatermark("edge_ts", late).select("edge_ts", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"))
+    return s.groupBy(_slot(width, slide).alias("w"), "src", "dst").agg(F.count(F.lit(1)).alias("times")).select(F.col("w.start").alias("start"), "src", "dst", "times")
+
+
+def session_edges(edges: DataFrame, gap: str, late: str | None = None) -> DataFrame:
+    """(start, end, src, dst, times): runs of contacts of a pair without a pause of `gap`; on tables and on streams."""
+    s = edges.withWatermark("edge_ts", late) if late else edges
+    pair = s.select("edge_ts", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"))
+    return pair.groupBy(F.session_window("edge_ts", gap).alias("w"), "src", "dst").agg(F.count(F.lit(1)).alias("times")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "src", "dst", "times")
+
+
+def run_windows(stream: DataFrame, path: str, checkpoint: str, mode: str = "append", trigger: dict | None = None):
+    """Write a windowed stream to Parquet until the input is drained: windows as the watermark closes them ('append'), or
+    the whole result anew with every batch ('complete')."""
+    out = stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True}))
+    if mode == "append":
+        return out.format("parquet").option("path", path).start()
+    return out.foreachBatch(lambda rows, k: rows.write.mode("overwrite").parquet(path)).start()
+
+
+def with_dimension(stream: DataFrame, table: DataFrame, key: str) -> DataFrame:
+    """Stream-static join: each edge with the row of a dimension table that belongs to its source."""
+    return stream.join(table, stream["src"] == table[key])
+
+
+def matched_edges(left: DataFrame, right: DataFrame, on: str, within: str) -> DataFrame:
+    """Stream-stream join to edges (src, dst): rows of both streams with the same key, at most `within` apart.
+
+    left: (on, left_ts, src), right: (on, right_ts, dst). Watermarks of the same length bound the state of either side."""
+    a = left.withWatermark("left_ts", within).select(F.col(on).alias("k1"), "left_ts", "src")
+    b = right.withWatermark("right_ts", within).select(F.col(on).alias("k2"), "right_ts", "dst")
+    near = F.expr(f"k1 = k2 AND right_ts BETWEEN left_ts - INTERVAL {within} AND left_ts + INTERVAL {within}")
+    return a.join(b, near).select("src", "dst")
+
+
+def contact_counts(stream: DataFrame) -> DataFrame:
+    """Keyed state: (id, degree so far) for each vertex that a micro-batch touches; the state is its neighbours' set."""
+    kind = stream.schema["src"].dataType.simpleString()
+
+    def update(key, frames, state):
+        seen = set(state.get[0]) if state.exists else set()
+        for f in frames:
+            seen.update(f["of"].tolist())
+        state.update((sorted(seen),))
+        import pandas as pd
+
+        yield pd.DataFrame({"id": [key[0]], "degree": [len(seen)]})
+
+    return _ends(stream).groupBy("id").applyInPandasWithState(update, f"id {kind}, degree long", f"seen array<{kind}>", "update", "NoTimeout")
+
+
+# ---------------------------------------------------------------- several passes
+
+
+def multi_pass(source: Callable[[], DataFrame], p: SketchParams, n: int) -> Iterator[tuple[int, DataFrame]]:
     """The sketch by one pass over `source()` (a function giving the edges anew) per level, keeping one sample at a time.
 
-    Yields (level, labels): memory is the largest sample instead of their sum."""
-    settled = None
+    Yields (level, labels): memory is the largest sample instead of their sum. Peeler, pre-peel and side are p's."""
+    settled, n_settled = None, 0
     for lv in rate_schedule(n, p):
-        u = edge_u52(F.col("src"), F.col("dst"), p.seed, p.hash)
-        edges = edges_from(source()).where(u <= int(lv.rate * (1 << 52))) if lv.rate < 1 else edges_from(source())
-        h = _flagged(edges, settled).where(~(F.col("su") & F.col("sv")))
-        raw = exclusive_local(h).select("id", "raw")
-        took = raw if lv.rate >= 1 else raw.where(F.col("raw") >= lv.accept)
-        factor = 1.0 if not p.deflate or (p.exact_last and lv.rate >= 1) else 1 - p.eps
-        clip = F.col("raw").cast("double") if math.isinf(lv.cap) else F.least(F.col("raw").cast("double"), F.lit(float(lv.cap)))
-        took = written(took.select("id", (F.lit(factor) * clip / F.lit(lv.rate)).alias("label"), F.lit(lv.level).alias("level")), "pass")
-        settled = took if settled is None else settled.unionByName(took)
+        edges = edges_from(source())
+        if lv.rate < 1:
+            edges = edges.where(edge_u52(F.col("src"), F.col("dst"), p.seed, p.hash) <= int(lv.rate * (1 << 52)))
+        h = written(_flagged(edges, settled, n_settled).where(~(F.col("su") & F.col("sv"))), "pass-sample")
+        raw, _ = prepeeled(h, settled, n_settled, lv, p, Rounds())
+        took = written(accepted(raw, lv, p), "pass")
+        drop_written(h)
+        settled, n_settled = took if settled is None else settled.unionByName(took), n_settled + took.count()
         yield lv.level, took
+
