@@ -11,7 +11,7 @@
    components. In the next rounds every list pairs neighbours of different components in a random order, until a
    round merges nothing. What then remains apart is settled for good: in each list, members outside the list's
    largest component meet all members of other components, each pair in its first common key only (see `entries`),
-   by size, by parity signature, and at last by both whole sets. No pair inside a component is listed, so a large
+   by size, by parity signatures (a short one in the list, a longer one for the pairs left), and at last by both whole sets. No pair inside a component is listed, so a large
    group of copies costs its size, not its square; texts just under the threshold of a whole group cost their number
    times the group, which an exact join cannot avoid. No link between components is lost.
 
@@ -45,8 +45,10 @@ LEAST_BUCKET, MOST_BUCKET, PRINT_BITS = 4 << 20, 32 << 20, 4
 #: Hashes of one packed slice (more where there are many buckets, so that rows stay packed), and the texts that 16 bits number.
 SLICE_HASHES, MOST_SLICE_HASHES, SLICE_TEXTS, SHARED_HERE = 1 << 20, 4 << 20, 60_000, 0xFFFF
 NO_ID = -(2**63)
-#: Cost of passing one entry of a scanned list (a few integer comparisons), in units of a row that is made and shuffled twice.
-SCAN_COST = 1 / 64
+#: Cost of a list member that an entry may be compared with, in units of a row that is made, shuffled and sorted. Measured
+#: on 1.4 million entries, a comparison took about 1/80 of a row; only members outside a list's largest component are
+#: compared with the others (see `_cross_pairs`), one in six to eight there.
+SCAN_COST = 1 / 512
 #: Rounds of random pairs before the exact one; more would only merge earlier what the exact round finds.
 PAIR_ROUNDS = 3
 _U = np.uint64
@@ -195,8 +197,8 @@ def _enough(part, whole):
     return DENOMINATOR * part >= NUMERATOR * whole
 
 
-#: Texts whose (doc, mark) may be broadcast to find the rows whose sets are needed: about 100 MB as a hash table.
-BROADCAST_TEXTS = 1_000_000
+#: Texts whose (doc, mark) may be broadcast to find the rows whose sets are needed: about 10 MB as rows.
+BROADCAST_TEXTS = 250_000
 
 
 def hash_sets(rows: DataFrame, wanted: DataFrame, size: int = SHINGLE) -> DataFrame:
@@ -249,16 +251,17 @@ _NOTHING = np.iinfo(np.int64).max
 _SEEN = [f"seen{k}" for k in range(SEEN_CELLS)]
 
 
-def entries(held: DataFrame, first_large: int, seen: bool) -> DataFrame:
-    """(key, subset, id, n, m): the members of every subset list and inverted list.
+def entries(held: DataFrame, first_large: int, seen: bool, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(key, subset, id, n, m): the members of every subset list and inverted list, with the columns `carry` (long) of
+    their sets.
 
     seen: also, by SEEN_CELLS cells of the hash space, the least hash of a set's prefix that lies before the key. Two
     sets whose entries agree in such a number share an earlier key, so this key need not pair them; in their first
     common key they cannot agree.
     """
     least_large = math.ceil(2 ** (first_large / 2))
-    rows = held.select("id", "n", "m", "p", (_size_class() < first_large).alias("small"), _enough(F.col("n"), F.lit(least_large)).alias("scans"), F.col("front.h").alias("front"))
-    names = ["key", "subset", "id", "n", "m", *(_SEEN if seen else [])]
+    rows = held.select("id", "n", "m", "p", (_size_class() < first_large).alias("small"), _enough(F.col("n"), F.lit(least_large)).alias("scans"), F.col("front.h").alias("front"), *carry)
+    names = ["key", "subset", "id", "n", "m", *carry, *(_SEEN if seen else [])]
 
     def before(cells: np.ndarray) -> np.ndarray:
         """Least number of each cell among the columns before each column."""
@@ -280,25 +283,27 @@ def entries(held: DataFrame, first_large: int, seen: bool) -> DataFrame:
             parts, size = [], 0
             fronts, at = b.column(6).flatten().to_numpy(), b.column(6).offsets.to_numpy() - b.column(6).offsets[0].as_py()
             facts = zip(*(b.column(k).to_pylist() for k in range(6)), strict=True)
+            more = [b.column(7 + k).to_numpy() for k in range(len(carry))]
             for k, (i, n, m, p, small, scans) in enumerate(facts):
                 for key, subset, cells in one(fronts[at[k] : at[k + 1]], p, small, scans):
-                    parts.append((key, subset, i, n, m, cells))
+                    parts.append((key, subset, i, n, m, cells, k))
                     size += len(key)
                 if size > 1 << 17:
-                    yield batch(parts)
+                    yield batch(parts, more)
                     parts, size = [], 0
             if parts:
-                yield batch(parts)
+                yield batch(parts, more)
 
-    def batch(parts: list) -> pa.RecordBatch:
+    def batch(parts: list, more: list[np.ndarray]) -> pa.RecordBatch:
         long = [len(x[0]) for x in parts]
         columns = [np.concatenate([x[0] for x in parts]), np.repeat([x[1] for x in parts], long)]
         columns += [np.repeat(np.array([x[k] for x in parts], kind), long) for k, kind in ((2, np.int64), (3, np.int32), (4, np.int32))]
+        columns += [np.repeat(c[[x[6] for x in parts]], long) for c in more]
         if seen:
             columns += list(np.concatenate([x[5] for x in parts], 1))
         return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names)
 
-    return rows.mapInArrow(run, "key long, subset boolean, id long, n int, m int" + "".join(f", {c} long" for c in _SEEN if seen))
+    return rows.mapInArrow(run, "key long, subset boolean, id long, n int, m int" + "".join(f", {c} long" for c in (*carry, *(_SEEN if seen else []))))
 
 
 def checked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -365,7 +370,7 @@ def jaccard_components(docs: DataFrame, id_column: str = "doc_id", text_column:
             break
         found = _merged(spark, found, more)
         drop_written(more)
-    pairs = written(_near(_cross_pairs(lists, held, first_large, found), marks), "cross-pairs")
+    pairs = written(_near(_cross_pairs(lists, held, first_large, found, marks), marks), "cross-pairs")
     more = written(checked(pairs, sets), "links")
     if not more.isEmpty():
         found = _merged(spark, found, more)
@@ -410,8 +415,9 @@ def _random_pairs(lists: DataFrame, found: DataFrame, k: int) -> DataFrame:
     return both.select(F.greatest("id", "id2").alias("a"), F.least("id", "id2").alias("b")).distinct()
 
 
-#: 64-bit words of a parity signature.
-PARITY_WORDS = 32
+#: 64-bit words of a parity signature, and of the short one that list entries carry (a fold of the whole one).
+PARITY_WORDS, SHORT_WORDS = 32, 8
+_SHORT = [f"mark{k}" for k in range(SHORT_WORDS)]
 
 
 def parities(sets: DataFrame) -> DataFrame:
@@ -437,16 +443,25 @@ def parities(sets: DataFrame) -> DataFrame:
     return sets.select("id", "hashes").mapInArrow(run, "id long, n int, parity array<long>")
 
 
+def _apart_enough(n1, n2, apart):
+    """Whether sets that differ in so many cells may reach the threshold: (n + n2 - |x ^ y|) / 2 hashes are shared at most."""
+    return _enough(n1 + n2 - apart, n1 + n2 + apart)
+
+
+def _folded(marks: DataFrame) -> DataFrame:
+    """(id, mark0 ..): the parity of a larger cell is the exclusive or of its parts'."""
+    fold = lambda k: reduce(lambda x, y: x.bitwiseXOR(y), [F.get("parity", F.lit(j)) for j in range(k, PARITY_WORDS, SHORT_WORDS)])
+    return marks.select("id", *[fold(k).alias(c) for k, c in enumerate(_SHORT)])
+
+
 def _near(pairs: DataFrame, marks: DataFrame) -> DataFrame:
     """The (a, b) pairs whose parity signatures still allow the threshold."""
     a, b = (marks.select(F.col("id").alias(c), F.col("n").alias(f"{c}n"), F.col("parity").alias(f"{c}p")) for c in "ab")
     apart = F.aggregate(F.zip_with("ap", "bp", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
-    # |x ^ y| differing cells leave (n + n2 - |x ^ y|) / 2 shared hashes at most.
-    near = _enough(F.col("an") + F.col("bn") - apart, F.col("an") + F.col("bn") + apart)
-    return pairs.join(a, "a").join(b, "b").where(near).select("a", "b")
+    return pairs.join(a, "a").join(b, "b").where(_apart_enough(F.col("an"), F.col("bn"), apart)).select("a", "b")
 
 
-def _cross_pairs(lists: DataFrame, held: DataFrame, first_large: int, found: DataFrame) -> DataFrame:
+def _cross_pairs(lists: DataFrame, held: DataFrame, first_large: int, found: DataFrame, marks: DataFrame) -> DataFrame:
     """Every pair of a list that lies in different components and may reach the threshold, in its first common key.
 
     In each list only the members outside its largest component look for partners."""
@@ -454,12 +469,14 @@ def _cross_pairs(lists: DataFrame, held: DataFrame, first_large: int, found: Dat
     sizes = found.groupBy("component").agg(F.count(F.lit(1)).alias("members"))
     ranked = inside.join(sizes, "component", "left").groupBy(*KEY).agg(F.max(F.struct(F.coalesce("members", F.lit(1)).alias("members"), "component"))["component"].alias("major"), F.min("component").alias("x"), F.max("component").alias("y"))
     mixed = ranked.where("x != y").select(*KEY, "major")
-    left = written(_in_components(entries(held, first_large, True), found).join(mixed, KEY), "mixed-lists")
-    right = left.select(*KEY, *[F.col(c).alias(f"{c}2") for c in ("id", "n", "m", "component", *_SEEN)])
+    marked = entries(held.join(_folded(marks), "id"), first_large, True, tuple(_SHORT))
+    left = written(_in_components(marked, found).join(mixed, KEY), "mixed-lists")
+    right = left.select(*KEY, *[F.col(c).alias(f"{c}2") for c in ("id", "n", "m", "component", *_SEEN, *_SHORT)])
     known = reduce(lambda x, y: x | y, [(F.col(c) == F.col(f"{c}2")) & (F.col(c) != F.lit(int(_NOTHING))) for c in _SEEN])
     once = (F.col("component2") == F.col("major")) | (F.col("id") > F.col("id2"))
     both = left.where("component != major").join(right, KEY).where(F.col("component") != F.col("component2")).where(once & ~known)
-    both = both.where(_may_link(F.col("n"), F.col("m"), F.col("n2"), F.col("m2")))
+    apart = sum((F.bit_count(F.col(c).bitwiseXOR(F.col(f"{c}2"))) for c in _SHORT), F.lit(0))
+    both = both.where(_may_link(F.col("n"), F.col("m"), F.col("n2"), F.col("m2")) & _apart_enough(F.col("n"), F.col("n2"), apart))
     return both.select(F.greatest("id", "id2").alias("a"), F.least("id", "id2").alias("b")).distinct()
 
 
