@@ -65,7 +65,8 @@ class Run:
 def per_run(edges: DataFrame, seeds: tuple[int, ...], kind: str, rows: Callable[[Graph, int], list[tuple]], schema: str) -> DataFrame:
     """rows(graph, seed) of every graph and seed, from (graph, src, dst); schema: what follows graph and seed."""
     runs = F.explode(F.array(*[F.struct(F.lit(s).alias("seed"), edge_u52(F.col("src"), F.col("dst"), s, kind).alias("u52")) for s in seeds]))
-    names = [c.strip().split(" ")[0] for c in schema.split(",")]
+    types = {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64(), "boolean": pa.bool_()}
+    out = pa.schema([(name, types[kind]) for name, kind in (c.split() for c in f"graph string, seed int, {schema}".split(","))])
 
     def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         t = table.combine_chunks()
@@ -74,7 +75,7 @@ def per_run(edges: DataFrame, seeds: tuple[int, ...], kind: str, rows: Callable[
         code = both.indices.to_numpy().astype(np.int64)
         g = Graph(code[: t.num_rows], code[t.num_rows :], len(both.dictionary), t["u52"].to_numpy())
         name, seed = key[0].as_py(), key[1].as_py()
-        return pa.Table.from_pylist([dict(zip(["graph", "seed", *names], (name, seed, *r), strict=True)) for r in rows(g, seed)])
+        return pa.Table.from_pylist([dict(zip(out.names, (name, seed, *r), strict=True)) for r in rows(g, seed)], out)
 
     # A seed's hashes are of the ids as they are, before those become text.
     hashed = edges.select("graph", F.col("src").cast("string").alias("src"), F.col("dst").cast("string").alias("dst"), runs.alias("r"))

@@ -74,7 +74,8 @@ def sketch_chain(graph: str, p: SketchParams, n: int | None = None) -> str:
         k = lv.level
         settled = " UNION ALL ".join(f"SELECT id FROM took{j}" for j in done) if done else "SELECT NULL AS id WHERE false"
         parts.append(f"set{k} AS ({settled})")
-        rate = f"u <= {int(lv.rate * (1 << 52))}" if lv.rate < 1 else "true"
+        drawn = u.replace(f"md5('{p.seed}:'", f"md5('{p.seed}/{k}:'") if p.sampler == "fresh" else "u"
+        rate = f"{drawn} <= {int(lv.rate * (1 << 52))}" if lv.rate < 1 else "true"
         parts.append(f"h{k} AS (SELECT src, dst FROM ann WHERE {rate} AND NOT (src IN (SELECT id FROM set{k} WHERE id IS NOT NULL) AND dst IN (SELECT id FROM set{k} WHERE id IS NOT NULL)))")
         parts.append(fixpoint(f"r{k}", f"h{k}", f"set{k}"))
         factor = 1.0 if not p.deflate or (p.exact_last and lv.rate >= 1) else 1 - p.eps

@@ -48,7 +48,8 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _labels(s) -> DataFrame:
-    return s.labels.select("id", F.round("label", 6).alias("label"), "level", "raw")
+    """The labels of a sketch, or a table of them, as both engines print them."""
+    return (s if isinstance(s, DataFrame) else s.labels).select("id", F.round("label", 6).alias("label"), "level", "raw")
 
 
 _LABELS_SQL = " SELECT id, round(label, 6) AS label, level, raw FROM settled"
@@ -133,7 +134,8 @@ _THEORY = SketchParams(hash="md5", p0=1.0)
 _query("sketch_theory", coreness("cust_supp") + " SELECT id, round(CAST(0.75 AS DOUBLE) * v, 6) AS label, 0 AS level, v AS raw FROM c")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), SketchParams(hash="md5"))))
 _query("sketch_upper", coreness("cust_supp") + " SELECT id, round(CAST(1.5 AS DOUBLE) * v, 6) AS label, 0 AS level, v AS raw FROM c")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), SketchParams(side="upper"))))
 _query("sketch_exact_last", coreness("cust_supp") + " SELECT id, CAST(v AS DOUBLE) AS label, 0 AS level, v AS raw FROM c")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), SketchParams(exact_last=True))))
-_query("sketch_fresh")(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), replace(BASE, sampler="fresh", p0=2**-6))))
+_FRESH = replace(BASE, sampler="fresh", p0=2**-6)
+_query("sketch_fresh", sketch_chain("cust_supp", _FRESH) + _LABELS_SQL)(lambda s, d: _labels(sketch_coreness(graph(s, d, "cust_supp"), _FRESH)))
 _query("sketch_doc_word", sketch_chain("doc_word", replace(BASE, p0=2**-8)) + _LABELS_SQL)(lambda s, d: _labels(sketch_coreness(graph(s, d, "doc_word"), replace(BASE, p0=2**-8))))
 _SCHED = rate_schedule(1000, BASE)
 _query("sketch_levels", "SELECT * FROM (VALUES " + ", ".join(f"({x.level}, CAST({x.rate!r} AS DOUBLE), CAST({x.accept!r} AS DOUBLE))" for x in _SCHED) + ") t(level, rate, accept)")(lambda s, d: s.createDataFrame([(x.level, float(x.rate), float(x.accept)) for x in rate_schedule(1000, BASE)], "level int, rate double, accept double"))
@@ -301,7 +303,7 @@ def _stream(s, d, relabel="full"):
     return sk
 
 
-_query("sketch_stream", sketch_chain("cust_supp", _SP) + _LABELS_SQL)(lambda s, d: _labels(_stream(s, d)))
+_query("sketch_stream", sketch_chain("cust_supp", _SP) + _LABELS_SQL)(lambda s, d: _labels(_stream(s, d).labels()))
 
 
 def _replayed(s, d, relabel="full"):
@@ -311,15 +313,14 @@ def _replayed(s, d, relabel="full"):
     return sk
 
 
-_query("sketch_stream_local", sketch_chain("cust_supp", _SP) + _LABELS_SQL)(lambda s, d: _labels(_replayed(s, d, "local")))
+_query("sketch_stream_local", sketch_chain("cust_supp", _SP) + _LABELS_SQL)(lambda s, d: _labels(_replayed(s, d, "local").labels()))
 
 
 def _snapshot(s, d):
-    sk = _replayed(s, d)
-    return sk.labels(at=1).select("id", F.round("label", 6).alias("label"), "level", "raw")
+    return _labels(_replayed(s, d).labels(at=1))
 
 
-_DATED = "SELECT 2 * o_custkey AS src, 2 * l_suppkey + 1 AS dst, min(CAST(l_shipdate AS DATE)) AS day FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY ALL"
+_DATED = "SELECT least(2 * o_custkey, 2 * l_suppkey + 1) AS src, greatest(2 * o_custkey, 2 * l_suppkey + 1) AS dst, min(CAST(l_shipdate AS DATE)) AS day FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY ALL"
 _PREFIX = [f"SELECT src, dst FROM ({_DATED}) WHERE day < DATE '{c}'" for c in (*_CUTS, "9999-01-01")]
 _query("stream_snapshot", sketch_chain(_PREFIX[1], _SP) + _LABELS_SQL)(_snapshot)
 
@@ -400,7 +401,7 @@ _query("stream_static_join", "SELECT c_mktsegment, count(*) AS orders FROM order
 def _orders_lines(s, d):
     o = load_table(s, d, "orders").select("o_orderkey", F.col("o_orderdate").cast("timestamp").alias("left_ts"), (2 * F.col("o_custkey")).alias("src")).withColumnRenamed("o_orderkey", "k")
     li = load_table(s, d, "lineitem").select(F.col("l_orderkey").alias("k"), F.col("l_shipdate").cast("timestamp").alias("right_ts"), (2 * F.col("l_suppkey") + 1).alias("dst"))
-    return _drained(s, matched_edges(_stream_of(s, o, 2, "left_ts"), _stream_of(s, li, 2, "right_ts"), "k", "4000 DAYS")).distinct()
+    return edges_from(_drained(s, matched_edges(_stream_of(s, o, 2, "left_ts"), _stream_of(s, li, 2, "right_ts"), "k", "4000 DAYS")))
 
 
 _query("stream_stream_join", GRAPHS["cust_supp"])(_orders_lines)
