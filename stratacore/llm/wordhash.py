@@ -93,3 +93,53 @@ def grams(hashes: np.ndarray, size: int) -> np.ndarray:
     for k in range(size):
         total = total * _U(0x2545F4914F6CDD1D) + hashes[k : k + n]
     return mix(total)
+
+
+class HashTable:
+    """Row numbers of 64-bit hashes: a sorted array, and a small one of recent hashes that is merged into it now and then."""
+
+    def __init__(self):
+        self.n = 0
+        self.key, self.row = np.zeros(0, _U), np.zeros(0, np.int64)
+        self.new_key, self.new_row = np.zeros(0, _U), np.zeros(0, np.int64)
+
+    def find(self, key: np.ndarray) -> np.ndarray:
+        """The row of each hash, or -1."""
+        out = np.full(len(key), -1, np.int64)
+        for k, r in ((self.key, self.row), (self.new_key, self.new_row)):
+            if len(k):
+                at = np.minimum(np.searchsorted(k, key), len(k) - 1)
+                hit = k[at] == key
+                out[hit] = r[at[hit]]
+        return out
+
+    def add(self, key: np.ndarray) -> np.ndarray:
+        """Give new rows to distinct hashes that are not in the table."""
+        rows = np.arange(self.n, self.n + len(key))
+        self.n += len(key)
+        self.new_key, self.new_row = _merged(self.new_key, self.new_row, key, rows)
+        if len(self.new_key) > 4096 + len(self.key) // 8:
+            self.key, self.row = _merged(self.key, self.row, self.new_key, self.new_row)
+            self.new_key, self.new_row = np.zeros(0, _U), np.zeros(0, np.int64)
+        return rows
+
+
+def _merged(key: np.ndarray, row: np.ndarray, more_key: np.ndarray, more_row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    keys, rows = np.concatenate([key, more_key]), np.concatenate([row, more_row])
+    order = np.argsort(keys, kind="stable")
+    return keys[order], rows[order]
+
+
+def grown(a: np.ndarray, n: int) -> np.ndarray:
+    """a with room for n rows, doubled as long as it is too short."""
+    if len(a) >= n:
+        return a
+    out = np.zeros((max(n, 2 * len(a)), *a.shape[1:]), a.dtype)
+    out[: len(a)] = a
+    return out
+
+
+def spans(start: np.ndarray, length: np.ndarray) -> np.ndarray:
+    """start[0], start[0] + 1, .. (length[0] of them), then the same for the others."""
+    ends = np.cumsum(length)
+    return np.repeat(start - ends + length, length) + np.arange(ends[-1] if len(ends) else 0)
