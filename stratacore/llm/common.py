@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..runtime import drop_written, new_path, remove, shared_dir, written
 
-__all__ = ["ascii_lower", "drop_written", "let", "new_path", "remove", "shared_dir", "table", "words", "written"]
+__all__ = ["ascii_lower", "drop_written", "let", "new_path", "packed", "remove", "shared_dir", "table", "unpacked", "words", "written"]
 
 #: The white space that separates words, as a character class body.
 SPACE = r"\x20\x09-\x0D"
@@ -33,3 +33,13 @@ def words(c: Column) -> Column:
 def let(value: Column, body) -> Column:
     """body(value) with value evaluated once per row, even when body uses it inside a lambda."""
     return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def packed(docs: DataFrame) -> Column:
+    """All columns as one struct `row` (fields c0, c1, ..), out of the way of an operator's own names."""
+    return F.struct(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(docs.columns)]).alias("row")
+
+
+def unpacked(rows: DataFrame, names: list[str]) -> DataFrame:
+    """The columns that `packed` put into `row`."""
+    return rows.select(*[F.col("row")[f"c{k}"].alias(c) for k, c in enumerate(names)])

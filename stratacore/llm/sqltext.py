@@ -50,7 +50,7 @@ rep AS (SELECT doc_id, count(DISTINCT i + j) AS n FROM again, unnest(range(0, 5)
 ln AS (SELECT doc_id, count(*) - count(DISTINCT x) AS n FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM d) WHERE regexp_matches(x, '[^\\x20\\x09-\\x0D]') GROUP BY doc_id),
 cl AS (SELECT doc_id, lang, len(w) AS n, length(text) AS chars, {', '.join(f'{x} AS c{k}' for k, x in enumerate(_LEN))} FROM d),
 c6 AS (SELECT *, chars - c0 - c1 - c2 - c3 - c4 AS c5 FROM cl),
-tot AS (SELECT lang, sum(n)::DOUBLE AS words, {', '.join(f'sum(c{k}) AS t{k}' for k in range(6))} FROM c6 GROUP BY lang HAVING count(*) >= {q1.MIN_LANG_SHARE} * (SELECT count(*) FROM d)),
+tot AS (SELECT lang, sum(n)::DOUBLE AS words, {', '.join(f'sum(c{k}) AS t{k}' for k in range(6))} FROM c6 GROUP BY lang HAVING sum(n) >= {q1.MIN_REF_WORDS}),
 wc AS (SELECT lang, word, count(*)::DOUBLE AS n FROM (SELECT lang, unnest(w) AS word FROM d) GROUP BY lang, word),
 top AS (SELECT lang, word, n FROM (SELECT wc.lang, word, n, row_number() OVER (PARTITION BY wc.lang ORDER BY n DESC, word) AS k FROM wc JOIN tot ON tot.lang = wc.lang WHERE n >= {q1.MIN_WORD_SHARE} * words) WHERE k <= {q1.TOP_WORDS}),
 own AS (SELECT doc_id, lang, word, count(*)::DOUBLE AS n FROM (SELECT doc_id, lang, unnest(w) AS word FROM d) GROUP BY ALL),
@@ -58,8 +58,14 @@ hit AS (SELECT d.doc_id, top.word, coalesce(own.n, 0) AS p, top.n AS q FROM d JO
 rest AS (SELECT d.doc_id, len(w) - coalesce(h.p, 0) AS p, words - coalesce(h.q, 0) AS q FROM d JOIN tot ON tot.lang = d.lang LEFT JOIN (SELECT doc_id, sum(p) AS p, sum(q) AS q FROM hit GROUP BY doc_id) h ON h.doc_id = d.doc_id WHERE len(w) >= {q1.MIN_WORDS}),
 {_jsd('jw', 'SELECT doc_id, p, q FROM hit UNION ALL SELECT doc_id, p, q FROM rest')},
 {_jsd('jc', ' UNION ALL '.join(f'SELECT doc_id, c{k} AS p, t{k} AS q FROM c6 JOIN tot USING (lang) WHERE chars >= {q1.MIN_CHARS}' for k in range(6)))},
+topq AS (SELECT lang, word, n AS q FROM top UNION ALL SELECT tot.lang, NULL, words - coalesce((SELECT sum(n) FROM top WHERE top.lang = tot.lang), 0) FROM tot),
+{_jsd('none', "SELECT lang AS doc_id, CASE WHEN word IS NULL THEN 1.0 ELSE 0.0 END::DOUBLE AS p, q FROM topq")},
+ref AS (SELECT tot.lang, 1 - q / words AS share, none.x AS none FROM tot JOIN topq ON topq.lang = tot.lang AND word IS NULL JOIN none ON none.doc_id = tot.lang),
+lw AS (SELECT rest.doc_id, len(w)::DOUBLE AS n, (len(w) - rest.p) / len(w) AS p, jw.x AS far, share, none FROM rest JOIN d USING (doc_id) JOIN jw USING (doc_id) JOIN ref ON ref.lang = d.lang WHERE d.lang <> ''),
+lk AS (SELECT doc_id FROM lw WHERE share > 0 AND p < share AND (far > none * ({q1.NONE_PART} + {q1.NONE_SLACK} / sqrt(n * share))
+  OR n * (CASE WHEN p > 0 THEN p * (log2(p) - log2(share)) ELSE 0 END + (1 - p) * (log2(1 - p) - log2(CASE WHEN share < 1 THEN 1 - share END))) > {q1.RARE_BITS})),
 b AS (SELECT d.doc_id, len(w)::BIGINT AS n_words, length(array_to_string(w, ''))::BIGINT AS word_chars, c4::BIGINT AS n_symbols, coalesce(ln.n, 0)::BIGINT AS n_dup_lines, coalesce(rep.n, 0)::BIGINT AS n_repeat_words,
-  coalesce(jc.x, 0) <= {q1.MOST_CHAR_DISTANCE} AND coalesce(jw.x, 0) <= {q1.MOST_WORD_DISTANCE} AS fine
+  coalesce(jc.x, 0) <= {q1.MOST_CHAR_DISTANCE} AND coalesce(jw.x, 0) <= {q1.MOST_WORD_DISTANCE} AND d.doc_id NOT IN (SELECT doc_id FROM lk) AS fine
   FROM d JOIN c6 USING (doc_id) LEFT JOIN ln USING (doc_id) LEFT JOIN rep USING (doc_id) LEFT JOIN jw USING (doc_id) LEFT JOIN jc USING (doc_id))
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (n_words < 10 OR 100 * n_repeat_words > 20 * n_words) AS base_failed,
   NOT (n_words < 10 OR 100 * n_repeat_words > 20 * n_words) AND fine AS kept FROM b"""
