@@ -2,8 +2,9 @@
 
 Layout of a written data set (two Parquet tables in one folder, so that Spark's committers and any store serve it):
   codebook  (id int, bits int)                     one row per token id in use; canonical codes follow from the lengths
-  blocks    (shard int, block int, docs array<struct<doc_id long, n long>>, n_tokens long, stride int,
-             checkpoints binary, payload binary)   ascending (shard, block) is ascending doc_id
+  blocks    (shard int, block int, start long, docs array<struct<doc_id long, n long>>, n_tokens long, stride int,
+             checkpoints binary, payload binary)   ascending (shard, block) is ascending doc_id; start: ids of the shard
+             before the block
 
 A block decodes alone: `payload` is its bit stream, `checkpoints` the little-endian uint32 bit offset of every
 `stride`-th token. Decoding walks all checkpoints of a block side by side with one table of 2^MAX_BITS entries.
@@ -23,20 +24,26 @@ import os
 import re
 import struct
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..runtime import fits_broadcast, shuffles_dropped
 from .chunks import ChunkTable
 from .common import drop_written, new_path, written
+from .wordhash import HashTable, Words, grown, hashed, spans
 
 MAX_BITS = 16
 #: Tokens after which a block is closed (at the end of a document) and tokens between two checkpoints.
 BLOCK_TOKENS = 1 << 19
 STRIDE = 256
+#: Ids and words that a worker keeps (a few tens of MB), and runs of letters; results do not depend on them.
+MOST_IDS, MOST_RUNS = 2_000_000, 100_000
+#: Shards whose starts may be broadcast to the readers.
+BROADCAST_SHARDS = 1_000_000
 
 
 # ---------------------------------------------------------------- code construction
@@ -130,9 +137,8 @@ _PLAIN = re.compile(r"[!#-&(-;=-~À-ÖØ-öø-ÿ]+")
 _PLAIN_CUT = re.compile(r"[a-zß-öø-ÿ]+|[0-9]|[!-/:-@\[-`{-~]+")
 
 
-@functools.lru_cache(maxsize=2)
-def _tokenizer_table(path: str, special: bool) -> ChunkTable:
-    """One table per Python worker, kept from task to task: word -> its ids as little-endian uint16."""
+def _encoder(path: str, special: bool) -> Callable[[list[str]], list[bytes]]:
+    """From words to their ids as little-endian uint16."""
     os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
     from tokenizers import Tokenizer
 
@@ -143,7 +149,7 @@ def _tokenizer_table(path: str, special: bool) -> ChunkTable:
     spec = json.loads(tok.to_str())
     cut = json.dumps(spec["pre_tokenizer"])
     if json.dumps(_WORD_PATTERN)[1:-1] not in cut or "ByteLevel" not in cut or not cut.count("Split") == 1 or "Lowercase" not in json.dumps(spec["normalizer"]):
-        return ChunkTable(whole)
+        return whole
 
     # Words of ASCII and Latin-1 letters need neither normaliser nor pre-tokenizer: their runs go to the model itself.
     # The byte-level alphabet shows byte 128..160 as code point byte + 162, byte 173 as 323, the other high bytes as themselves.
@@ -151,7 +157,7 @@ def _tokenizer_table(path: str, special: bool) -> ChunkTable:
     as_bytes = {c: "".join(map(shown, chr(c).encode())) for c in range(0xDF, 0x100)}
     model = tok.model
     packed = lambda ids: struct.pack(f"<{len(ids)}H", *ids)
-    runs = ChunkTable(lambda cs: [packed([t.id for t in model.tokenize(c if c.isascii() else c.translate(as_bytes))]) for c in cs])
+    runs = ChunkTable(lambda cs: [packed([t.id for t in model.tokenize(c if c.isascii() else c.translate(as_bytes))]) for c in cs], MOST_RUNS)
 
     def encode(chunks: list[str]) -> list[bytes]:
         plain = [c for c in chunks if _PLAIN.fullmatch(c)]
@@ -160,21 +166,70 @@ def _tokenizer_table(path: str, special: bool) -> ChunkTable:
         made.update(zip(rest, whole(rest), strict=True))
         return [made[c] for c in chunks]
 
-    return ChunkTable(encode)
+    return encode
+
+
+class WordIds:
+    """The ids of words by their hash: one run of a growing array for each; starts anew when it holds too many."""
+
+    def __init__(self, encode: Callable[[list[str]], list[bytes]], most_ids: int = MOST_IDS):
+        self.encode, self.most = encode, most_ids
+        self._clear()
+
+    def _clear(self) -> None:
+        self.rows, self.used = HashTable(), 0
+        self.start, self.length, self.ids = np.zeros(1024, np.int64), np.zeros(1024, np.int64), np.zeros(4096, np.uint16)
+
+    def of(self, w: Words) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all words one after another, their number for each word)."""
+        key, first, back = np.unique(w.hash, return_index=True, return_inverse=True)
+        at = self.rows.find(key)
+        new = np.flatnonzero(at < 0)
+        if len(new):
+            if self.used + self.rows.n > self.most:
+                self._clear()
+                new = np.arange(len(key))
+            at[new] = self.rows.add(key[new])
+            made = self.encode([w.raw[a:b].decode("utf-8") for a, b in zip(w.start[first[new]].tolist(), w.end[first[new]].tolist(), strict=True)])
+            length = np.array([len(x) // 2 for x in made], np.int64)
+            total = int(length.sum())
+            self.start, self.length, self.ids = grown(self.start, self.rows.n), grown(self.length, self.rows.n), grown(self.ids, self.used + total)
+            self.start[at[new]], self.length[at[new]] = self.used + np.cumsum(length) - length, length
+            self.ids[self.used : self.used + total] = np.frombuffer(b"".join(made), "<u2")
+            self.used += total
+        row = at[back]
+        return self.ids[spans(self.start[row], self.length[row])], self.length[row]
+
+
+@functools.lru_cache(maxsize=2)
+def _word_ids(path: str, special: bool) -> WordIds:
+    """One table per Python worker, kept from task to task."""
+    return WordIds(_encoder(path, special))
+
+
+def _texts_of(w: Words, ids: np.ndarray, length: np.ndarray, end_id: int | None) -> tuple[np.ndarray, pa.Array]:
+    """(number of ids, ids as binary) of each text of some words, the end id appended."""
+    tail = 0 if end_id is None else 1
+    n = np.bincount(w.text, length, w.rows).astype(np.int64) + tail
+    ends = np.cumsum(n)
+    out = np.full(int(ends[-1]) if len(ends) else 0, end_id or 0, "<u2")
+    out[np.arange(len(ids)) + tail * np.repeat(w.text, length)] = ids
+    return n, pa.Array.from_buffers(pa.large_binary(), len(n), [None, pa.py_buffer(np.append(0, 2 * ends).astype(np.int64)), pa.py_buffer(out)])
 
 
 def tokenized(docs: DataFrame, tokenizer_path: str, end_id: int | None, id_column: str = "doc_id", text_column: str = "text", special_as_text: bool = False) -> DataFrame:
     """(doc_id, tie long, n long, ids binary): little-endian uint16 ids of each whole text, end id appended.
 
-    Words are segmented once per worker: the tokenizer's pre-tokens never cross ASCII white space.
+    Words are segmented once per worker and found again by hash: the tokenizer's pre-tokens never cross ASCII white space.
     """
-    end = b"" if end_id is None else np.asarray([end_id], "<u2").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = _tokenizer_table(tokenizer_path, special_as_text)
+        known = _word_ids(tokenizer_path, special_as_text)
         for b in batches:
-            ids = [b"".join(x) + end for x in table.of_texts(b.column(2).to_pylist())]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([len(x) // 2 for x in ids], pa.int64()), pa.array(ids, pa.binary())], ["doc_id", "tie", "n", "ids"])
+            for w in hashed(b.column(2), lower=False):
+                n, ids = _texts_of(w, *known.of(w), end_id)
+                part = b.slice(w.first, w.rows)
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(n), ids.cast(pa.binary())], ["doc_id", "tie", "n", "ids"])
 
     rows = docs.select(F.col(id_column).cast("long").alias("doc_id"), F.xxhash64(text_column).alias("tie"), F.col(text_column).cast("string").alias("text"))
     return rows.mapInArrow(run, "doc_id long, tie long, n long, ids binary")
@@ -186,10 +241,12 @@ def codebook(tokens: DataFrame) -> list[tuple[int, int]]:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(1 << 16, np.int64)
         for b in batches:
-            for x in b.column(0):
-                total += np.bincount(np.frombuffer(x.as_buffer(), "<u2"), minlength=1 << 16) if len(x.as_buffer()) > 4096 else 0
-            small = b"".join(x.as_py() for x in b.column(0) if len(x.as_buffer()) <= 4096)
-            total += np.bincount(np.frombuffer(small, "<u2"), minlength=1 << 16)
+            ids, n = b.column(0).cast(pa.large_binary()), b.num_rows
+            at = np.frombuffer(ids.buffers()[1], np.int64)[ids.offset : ids.offset + n + 1]
+            if n and at[-1] > at[0]:
+                raw = np.frombuffer(ids.buffers()[2], np.uint8)[at[0] : at[-1]].view("<u2")
+                for k in range(0, len(raw), 1 << 20):
+                    total += np.bincount(raw[k : k + (1 << 20)], minlength=1 << 16)
         used = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array(total[used], pa.int64())], ["id", "n"])
 
@@ -211,12 +268,12 @@ def write_token_file(docs: DataFrame, path: str, tokenizer_path: str, end_id: in
     ids, bits = np.array([x[0] for x in book], np.int64), np.array([x[1] for x in book], np.int64)
 
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        code, docs_in, parts, size, k = Code(ids, bits), [], [], 0, 0
+        code, docs_in, parts, size, k, before = Code(ids, bits), [], [], 0, 0, 0
 
         def close() -> pa.RecordBatch:
             payload, marks = code.encode(np.frombuffer(b"".join(parts), "<u2"))
             kind = pa.list_(pa.struct([("doc_id", pa.int64()), ("n", pa.int64())]))
-            return pa.RecordBatch.from_arrays([pa.array([shard], pa.int32()), pa.array([k], pa.int32()), pa.array([docs_in], kind), pa.array([size], pa.int64()), pa.array([STRIDE], pa.int32()), pa.array([marks], pa.binary()), pa.array([payload], pa.binary())], ["shard", "block", "docs", "n_tokens", "stride", "checkpoints", "payload"])
+            return pa.RecordBatch.from_arrays([pa.array([shard], pa.int32()), pa.array([k], pa.int32()), pa.array([before], pa.int64()), pa.array([docs_in], kind), pa.array([size], pa.int64()), pa.array([STRIDE], pa.int32()), pa.array([marks], pa.binary()), pa.array([payload], pa.binary())], ["shard", "block", "start", "docs", "n_tokens", "stride", "checkpoints", "payload"])
 
         shard = 0
         for b in batches:
@@ -227,14 +284,15 @@ def write_token_file(docs: DataFrame, path: str, tokenizer_path: str, end_id: in
                 size += n
                 if size >= BLOCK_TOKENS:
                     yield close()
-                    docs_in, parts, size, k = [], [], 0, k + 1
+                    docs_in, parts, size, k, before = [], [], 0, k + 1, before + size
         if docs_in:
             yield close()
 
     ordered = tokens.repartitionByRange(int(shards), "doc_id", "tie").sortWithinPartitions("doc_id", "tie")
     ordered = ordered.select("doc_id", "n", "ids", F.spark_partition_id().alias("shard"))
-    schema = "shard int, block int, docs array<struct<doc_id: bigint, n: bigint>>, n_tokens bigint, stride int, checkpoints binary, payload binary"
-    ordered.mapInArrow(blocks, schema).write.option("compression", "none").parquet(f"{path}/blocks")
+    schema = "shard int, block int, start bigint, docs array<struct<doc_id: bigint, n: bigint>>, n_tokens bigint, stride int, checkpoints binary, payload binary"
+    with shuffles_dropped(spark):
+        ordered.mapInArrow(blocks, schema).write.option("compression", "none").parquet(f"{path}/blocks")
     drop_written(tokens)
 
 
@@ -251,27 +309,24 @@ def token_digests(spark: SparkSession, path: str) -> DataFrame:
 def _decoded(spark: SparkSession, path: str, column: str, made, kind: pa.DataType) -> DataFrame:
     book = spark.read.parquet(f"{path}/codebook").collect()  # bounded by the vocabulary
     stored = spark.read.parquet(f"{path}/blocks")
-    # One total per shard; the number of shards is the number of write tasks.
-    totals = dict(sorted((r.shard, r.n) for r in stored.groupBy("shard").agg(F.sum("n_tokens").alias("n")).collect()))
-    before, seen = {}, 0
-    for s, n in totals.items():
-        before[s], seen = seen, seen + n
-    sizes = stored.select("shard", "block", "n_tokens")
-    within = F.sum("n_tokens").over(Window.partitionBy("shard").orderBy("block").rowsBetween(Window.unboundedPreceding, -1))
-    offsets = sizes.select("shard", "block", F.coalesce(within, F.lit(0)).alias("in_shard"))
+    # One row per shard (of some millions of ids): a running sum over them is small work at any size of the data.
+    totals = stored.groupBy("shard").agg(F.sum("n_tokens").alias("n"))
+    before = F.sum("n").over(Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1))
+    shards = totals.select("shard", F.coalesce(before, F.lit(0)).alias("before"))
+    shards = F.broadcast(shards) if fits_broadcast(totals, BROADCAST_SHARDS) else shards
     ids, bits = np.array([r.id for r in book], np.int64), np.array([r.bits for r in book], np.int64)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         code = Code(ids, bits)
         for b in batches:
-            for shard, docs, n, stride, marks, payload, start in zip(*(b.column(i).to_pylist() for i in range(7)), strict=True):
+            for docs, n, stride, marks, payload, start in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True):
                 raw = memoryview(code.decode(payload, marks, n, stride).astype("<u4").tobytes())
                 lengths = np.array([d["n"] for d in docs], np.int64)
                 ends = np.cumsum(lengths)
                 out = [made(bytes(raw[4 * (e - k) : 4 * e])) for e, k in zip(ends.tolist(), lengths.tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array([d["doc_id"] for d in docs], pa.int64()), pa.array(ends - lengths + start + before[shard]), pa.array(lengths), pa.array(out, kind)], ["doc_id", "start", "n_tokens", column.split()[0]])
+                yield pa.RecordBatch.from_arrays([pa.array([d["doc_id"] for d in docs], pa.int64()), pa.array(ends - lengths + start), pa.array(lengths), pa.array(out, kind)], ["doc_id", "start", "n_tokens", column.split()[0]])
 
-    rows = stored.join(offsets, ["shard", "block"]).select("shard", "docs", "n_tokens", "stride", "checkpoints", "payload", "in_shard")
+    rows = stored.join(shards, "shard").select("docs", "n_tokens", "stride", "checkpoints", "payload", F.col("before") + F.col("start"))
     return rows.mapInArrow(run, f"doc_id bigint, start bigint, n_tokens bigint, {column}")
 
 
