@@ -86,7 +86,7 @@ def baseline_time(spark, sf_dir, graphs=GRAPHS) -> DataFrame:
 
 
 #: Log constants scaled down so far that several levels below rate 1 settle vertices of a small ladder of cliques.
-SMALL = SketchParams(eps=0.5 - 1e-9, c_rate=0.15, c_accept=0.3, c_cap=0.6, hash="md5")
+SMALL = SketchParams(eps=0.25, c_rate=0.04, c_accept=0.08, c_cap=0.16, hash="md5")
 LADDER = 60
 
 
