@@ -1,15 +1,18 @@
 """Personal data: base patterns, and identifiers found by bootstrapped contexts.
 
-The base patterns' matches in the corpus are seeds. Every seed, and every other identifier-like string with the shape
-of a kind, stands in lexical patterns: the two words before it, and the word before it with the word after it. Spark
-scores the graph of patterns and instances in ROUNDS rounds, for each kind: a pattern's confidence is the score of
-its instances over their number (plus one, so that rare patterns stay weak); an instance's score is 1 for seeds of
-the kind and else that of the best pattern around it. Patterns of at least MIN_CONFIDENCE with MIN_SEEDS different
-seeds are trusted, and instances in them are reported beside the base matches.
+The base patterns' matches in the corpus are the first seeds. Every seed, and every other identifier-like string with the
+shape of a kind, stands in lexical patterns: the two words before it, and the word before it with the word after it.
+Spark scores the graph of patterns and instances round by round, for each kind: a pattern's confidence is the summed
+score of its instances over their number plus one (so that rare patterns stay weak); one of at least MIN_CONFIDENCE
+with MIN_SEEDS different scored instances is trusted. Instances of trusted patterns are promoted: their score becomes
+the best confidence around them, and in the next round they count as seeds, so that patterns in which no base match
+ever stands can become trusted too. Scores only grow; a round that trusts no new pattern is the last, as is round
+ROUNDS. Instances in trusted patterns are reported beside the base matches.
 
 Edge cases: null or empty text: nothing found; instances never overlap base matches; rows are kept apart even when
-repeated; very long texts are searched whole by patterns without quadratic backtracking; ties between kinds go by the
-order email, ip, card, phone; empty table: empty result; other columns are ignored.
+repeated; very long texts are searched whole, by patterns without quadratic backtracking and by one merge of sorted
+spans; context words are looked for within NEAR_CHARS characters; ties between kinds go by the order email, ip, card,
+phone; empty table: empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -24,7 +27,7 @@ from pyspark.sql import functions as F
 from .common import shared_dir, written
 
 KINDS = ("email", "ip", "card", "phone")
-ROUNDS, MIN_CONFIDENCE, MIN_SEEDS = 3, 0.7, 3
+ROUNDS, MIN_CONFIDENCE, MIN_SEEDS = 8, 0.7, 3
 _LOCAL = re.compile(r"[A-Za-z0-9._%+-]")
 _DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _IP = re.compile(r"(?<![0-9])[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+")
@@ -35,7 +38,7 @@ _ANY = re.compile(r"[0-9@]")
 _LIKE = re.compile(
     r"(?P<email>(?<![\w.@+-])[\w.%+-]{1,64}@[\w.-]{1,253}(?<![.-]))"
     r"|(?P<ip>(?<![\w:])(?:[0-9A-Fa-f]{1,4}:){2,7}:?[0-9A-Fa-f]{0,4}(?![\w:])|(?<![\w.])[0-9]{1,3}(?:\.[0-9]{1,3}){3}(?![\w.]*\w))"
-    r"|(?P<digits>(?<![\w.,+-])\(?[0-9](?:[ ().-]{0,2}[0-9]){6,18}(?![\w-]))"
+    r"|(?P<digits>(?<![\w.,+-])\+?\(?[0-9](?:[ ().-]{0,2}[0-9]){6,18}(?![\w-]))"
 )
 _WORD_BEFORE = re.compile(r"(\w+)\W*$")
 _WORD_AFTER = re.compile(r"\W*(\w+)")
@@ -93,9 +96,11 @@ def _like_kinds(m: re.Match) -> list[int]:
 
 def _occurrences(text: str, base: list[tuple[int, int, int]]) -> list[dict]:
     out = [{"kind": k, "seed": True, "start": a, "end": b, "value": text[a:b], "patterns": _contexts(text, a, b)} for a, k, b in base]
-    taken = sorted((a, b) for a, _, b in base)
+    taken, at, reach = sorted((a, b) for a, _, b in base), 0, 0
     for m in _LIKE.finditer(text):
-        if not any(a < m.end() and m.start() < b for a, b in taken):
+        while at < len(taken) and taken[at][0] < m.end():  # matches come in order, so one pass over the spans does
+            reach, at = max(reach, taken[at][1]), at + 1
+        if reach <= m.start():
             near = _contexts(text, m.start(), m.end())
             out += [{"kind": k, "seed": False, "start": m.start(), "end": m.end(), "value": m[0], "patterns": near} for k in _like_kinds(m)]
     return out
@@ -119,16 +124,17 @@ def _search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def trusted_patterns(edges: DataFrame, rounds: int = ROUNDS, min_confidence: float = MIN_CONFIDENCE, min_seeds: int = MIN_SEEDS) -> DataFrame:
     """(kind, pattern, confidence) of the trusted patterns; edges: (kind, pattern, value, seed), distinct."""
     shared_dir(edges.sparkSession)
-    # A pattern must be worth scoring: without enough seeds it can never be trusted, so it takes no part.
-    able = edges.groupBy("kind", "pattern").agg(F.sum(F.col("seed").cast("int")).alias("seeds")).where(F.col("seeds") >= min_seeds).drop("seeds")
-    edges = edges.join(able, ["kind", "pattern"]).checkpoint()
-    scores = edges.select("kind", "pattern", "value", "seed", F.col("seed").cast("double").alias("score"))
-    conf = None
+    edges = edges.checkpoint()
+    scores, trusted, n = edges.withColumn("score", F.col("seed").cast("double")), None, -1
     for _ in range(rounds):
-        conf = scores.groupBy("kind", "pattern").agg((F.sum("score") / (F.count(F.lit(1)) + 1)).alias("confidence")).checkpoint()
-        best = edges.join(conf, ["kind", "pattern"]).groupBy("kind", "value").agg(F.max("confidence").alias("best"))
-        scores = edges.join(best, ["kind", "value"]).select("kind", "pattern", "value", "seed", F.when(F.col("seed"), 1.0).otherwise(F.col("best")).alias("score"))
-    return conf.where(F.col("confidence") >= min_confidence)
+        rated = scores.groupBy("kind", "pattern").agg((F.sum("score") / (F.count(F.lit(1)) + 1)).alias("confidence"), F.count(F.when(F.col("score") > 0, 1)).alias("seeds"))
+        trusted, before = rated.where((F.col("confidence") >= min_confidence) & (F.col("seeds") >= min_seeds)).drop("seeds").checkpoint(), n
+        n = trusted.count()
+        if n == before or n == 0:
+            break
+        promoted = edges.where(~F.col("seed")).join(trusted, ["kind", "pattern"]).groupBy("kind", "value").agg(F.max("confidence").alias("best"))
+        scores = edges.join(promoted, ["kind", "value"], "left").select("kind", "pattern", "value", "seed", F.when(F.col("seed"), 1.0).otherwise(F.coalesce("best", F.lit(0.0))).alias("score"))
+    return trusted
 
 
 def personal_spans(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
