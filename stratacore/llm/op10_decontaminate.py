@@ -6,9 +6,12 @@ into k + 1 pieces; any occurrence holds one piece unchanged, so an automaton ove
 place, and the bit-parallel distance decides each. Items form the query set; they are taken in blocks of at most
 BLOCK_CHARS characters, each a scan over all documents, so the automaton's size is bounded.
 
-Edge cases: null or empty texts hold no item; null items and items under MIN_ITEM_CHARS normalised characters are
-never searched (they would occur by chance); equal items are all reported; very long texts are scanned whole, and only
-candidate places are verified; repeated rows give repeated results; empty tables: no hits; other columns are ignored.
+Items under SHORT_ITEM normalised characters have no error budget and must stand in the text as whole words, since
+parts of words would hold them by chance. Every other item is searched by the rule above.
+
+Edge cases: null or empty texts hold no item; null and empty items occur nowhere; an item with a null id is searched and
+reported as a null in item_ids; equal items are all reported; very long texts are scanned whole, and only candidate
+places are verified; repeated rows give repeated results; empty tables: no hits; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -22,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 ERROR_RATE = 0.08
-MIN_ITEM_CHARS = 24
+SHORT_ITEM = 24
 BLOCK_CHARS = 4_000_000
 
 
@@ -32,7 +35,7 @@ def normalised(text: str) -> str:
 
 def pieces(item: str, rate: float = ERROR_RATE) -> tuple[int, list[tuple[int, str]]]:
     """Error budget, and budget + 1 pieces with their offsets, of lengths that differ by one at most."""
-    k = int(rate * len(item))
+    k = int(rate * len(item)) if len(item) >= SHORT_ITEM else 0
     cuts = [len(item) * i // (k + 1) for i in range(k + 2)]
     return k, [(a, item[a:b]) for a, b in zip(cuts, cuts[1:], strict=False)]
 
@@ -79,7 +82,11 @@ def _automaton(items: tuple[tuple[int, str], ...], rate: float):
     return found, known
 
 
-def hits(text: str, automaton, known) -> list[tuple[int, int]]:
+def _whole_words(text: str, start: int, end: int) -> bool:
+    return not (start and text[start - 1].isalnum() and text[start].isalnum()) and not (end < len(text) and text[end].isalnum() and text[end - 1].isalnum())
+
+
+def hits(text: str, automaton, known) -> list[tuple[int | None, int]]:
     """(item id, distance) of every item that occurs in a normalised text."""
     spots: dict[int, list[int]] = defaultdict(list)
     for end, where in automaton.iter(text):
@@ -89,7 +96,9 @@ def hits(text: str, automaton, known) -> list[tuple[int, int]]:
     for n, starts in spots.items():
         item_id, item, k, masks = known[n]
         m, best = len(item), len(item)
-        if k == 0 or item in text:
+        if m < SHORT_ITEM:
+            best = 0 if any(_whole_words(text, s, s + m) for s in starts) else m
+        elif k == 0 or item in text:
             best = 0
         else:
             low, high = None, None
@@ -101,14 +110,14 @@ def hits(text: str, automaton, known) -> list[tuple[int, int]]:
                     low, high = max(0, s - k) if low is None else low, s + m + k
         if best <= k:
             out.append((item_id, best))
-    return sorted(out)
+    return sorted(out, key=lambda h: (h[0] is not None, h))
 
 
 def _blocks(items: DataFrame, id_column: str, text_column: str, most: int) -> Iterator[tuple[tuple[int, str], ...]]:
     block, size = [], 0
     for r in items.select(F.col(id_column).cast("long"), F.col(text_column)).orderBy(id_column).toLocalIterator():
         text = normalised(r[1] or "")
-        if len(text) >= MIN_ITEM_CHARS and r[0] is not None:
+        if text:
             block.append((r[0], text))
             size += len(text)
             if size >= most:
