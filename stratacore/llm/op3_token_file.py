@@ -40,8 +40,8 @@ MAX_BITS = 16
 #: Tokens after which a block is closed (at the end of a document) and tokens between two checkpoints.
 BLOCK_TOKENS = 1 << 19
 STRIDE = 256
-#: Ids and words that a worker keeps (a few tens of MB), and runs of letters; results do not depend on them.
-MOST_IDS, MOST_RUNS = 2_000_000, 100_000
+#: Ids and words that a worker keeps, and runs of letters (about 60 MB each); results do not depend on them.
+MOST_IDS, MOST_RUNS = 6_000_000, 300_000
 #: Shards whose starts may be broadcast to the readers.
 BROADCAST_SHARDS = 1_000_000
 
