@@ -2,8 +2,8 @@
 
 Stages: quality rules, line dedup, n-gram Jaccard join, benchmark decontamination, piece encoding. Every stage takes
 (spark, docs, sf_dir), works on all rows its predecessor kept, and its result is written as Parquet and reread. All
-but the last return the columns of documents. Rows with a null doc_id are kept apart from each other by their text in
-the joins back to the documents.
+but the last return the columns of documents, which travel as one struct, so that extra columns may have any name.
+Rows with one doc_id (or none) are one document where duplicates are looked for.
 """
 
 from __future__ import annotations
@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from stratacore.llm import op1_quality, op4_pieces, op6_jaccard, op7_lines, op10_decontaminate
-from stratacore.llm.common import table, written
+from stratacore.llm.common import drop_written, packed, table, unpacked, written
 from stratacore.llm.queries import PIECE_MODEL
 
 
@@ -26,21 +26,22 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every document, without the lines that a larger doc_id keeps; n_chars follows the new text."""
-    out = op7_lines.dedup_lines(docs)
-    return out.withColumn("n_chars", F.char_length("text").cast("long")).select(*docs.columns)
+    out = op7_lines.dedup_lines(docs.select(packed(docs), "doc_id", "text"))
+    new = {"text": F.col("text"), "n_chars": F.char_length("text").cast("long")}
+    return out.select(*[new.get(c, F.col("row")[f"c{k}"]).alias(c) for k, c in enumerate(docs.columns)])
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The smallest doc_id of each class of similar documents."""
-    classes = op6_jaccard.jaccard_components(docs)
-    stays = classes.where("doc_id <=> component_id").select(F.col("doc_id").alias("stays")).distinct()
-    return docs.join(stays, F.col("doc_id").eqNullSafe(F.col("stays")), "left_semi")
+    stays = op6_jaccard.jaccard_components(docs).where("doc_id <=> component_id").select("doc_id").distinct()
+    rows = docs.select(packed(docs))
+    return unpacked(rows.join(stays, rows["row"][f"c{docs.columns.index('doc_id')}"].eqNullSafe(stays["doc_id"]), "left_semi"), docs.columns)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in which no benchmark item occurs."""
-    found = op10_decontaminate.contamination(docs, table(spark, sf_dir, "benchmark", "item_id", "text"))
-    return found.where(F.size("item_ids") == 0).select(*docs.columns)
+    found = op10_decontaminate.contamination(docs.select(packed(docs), "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
+    return unpacked(found.where(F.size("item_ids") == 0), docs.columns)
 
 
 def piece_encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -64,5 +65,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES:
-        docs = written(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        before, docs = docs, written(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        drop_written(before)
     return docs
