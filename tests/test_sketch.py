@@ -1,10 +1,11 @@
+import math
 from dataclasses import replace
 
 import pytest
 
 from stratacore.operators import peel
 from stratacore.operators.sketch import sketch_coreness, with_isolated
-from stratacore.params import SketchParams
+from stratacore.params import Level, SketchParams, deflation, rate_schedule, without_idle
 from stratacore.runtime import written
 from stratacore.sources import graph, random_graph
 from stratacore.streaming import StreamingSketch, multi_pass
@@ -73,3 +74,19 @@ def test_stream_resumes(spark, tmp_path):
 def test_multi_pass(edges):
     out = {(r.id, r.label, r.level) for _, took in multi_pass(lambda: edges, P, 160) for r in took.collect()}
     assert out == rows(sketch_coreness(edges, P))
+
+
+@pytest.mark.parametrize("p", [SketchParams(hash="md5"), SketchParams(side="upper"), SketchParams(exact_last=True)])
+def test_levels_that_can_settle_nothing_are_not_counted(spark, p):
+    edges = written(random_graph(spark, 20_000, 50_000, 2), "edges")
+    exact = {r.id: r.coreness for r in peel.exact_coreness(edges, "local").collect()}
+    assert len(rate_schedule(len(exact), p)) > 1 and peel.coreness_bound(edges) >= max(exact.values())
+    factor = deflation(Level(0, 1.0, 0.0, math.inf), p)
+    got = {r.id: (r.level, r.raw, r.label) for r in sketch_coreness(edges, p).labels.collect()}
+    assert got == {k: (0, v, factor * v) for k, v in exact.items()}
+
+
+def test_a_level_that_can_settle_something_stays():
+    levels = [Level(0, 0.25, 50.0, 100.0), Level(1, 0.5, 40.0, 80.0), Level(2, 1.0, 0.0, math.inf)]
+    assert without_idle(levels, 40) == [Level(0, 0.5, 40.0, 80.0), Level(1, 1.0, 0.0, math.inf)]
+    assert without_idle(levels, 39) == [Level(0, 1.0, 0.0, math.inf)] and without_idle(levels, 50) == levels
