@@ -133,3 +133,12 @@ def test_h_index(spark, values, h):
     assert df.select(h_index(F.col("v"))).first()[0] == h
     register(spark)
     assert df.selectExpr("h_index(v)").first()[0] == h
+
+
+def test_exclusive_labels_beyond_one_task(spark, monkeypatch):
+    pairs = random_pairs(8, m=120)
+    pinned = spark.createDataFrame([(k,) for k in range(0, 30, 5)], "id long")
+    want = slow_labels({p for p in pairs if p[0] % 5 or p[1] % 5}, range(0, 30, 5))
+    for most in (10_000_000, 10):
+        monkeypatch.setattr(peel, "LOCAL_EDGES", most)
+        assert {r.id: r.label for r in peel.exclusive_labels(frame(spark, pairs), pinned, method="auto").collect()} == want
