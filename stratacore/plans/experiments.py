@@ -25,28 +25,30 @@ ACCEPTS, GROWTHS, SEEDS = (2, 3, 4, 5), (1.2, 1.4, 1.6, 2.0), (0, 1, 2)
 PRACTICAL = SketchParams(accept=3, p0="scaled", cap="scaled", peeler="auto")
 
 
-def sweep(spark: SparkSession, sf_dir: str, graphs: list[str], params: list[SketchParams], seeds=SEEDS) -> DataFrame:
-    """One row for each graph, parameter set and seed, each sketch by the cluster: for graphs above one task's size."""
+def sweep(spark: SparkSession, sf_dir: str, graphs: list[str], params: list[SketchParams], seeds=SEEDS, errors: bool = True) -> DataFrame:
+    """One row for each graph, parameter set and seed, each sketch by the cluster: for graphs above one task's size.
+    errors=False leaves the error percentiles null and needs no exact labels."""
     out = []
     for name in graphs:
         edges = written(graph(spark, sf_dir, name), "edges")
-        m, n, exact = edges.count(), degrees(edges).count(), written(exact_coreness(edges, "auto"), "exact")
+        m, n = edges.count(), degrees(edges).count()
+        exact = written(exact_coreness(edges, "auto"), "exact") if errors else None
         for p in params:
             for seed in seeds:
                 began = time.time()
                 s = sketch_coreness(edges, replace(p, seed=seed), n)
                 took = time.time() - began
-                e = error_percentiles(s.labels, exact).first()
+                e = error_percentiles(s.labels, exact).first() if errors else [None] * 6
                 out.append((name, seed, float(p.threshold(n)), p.growth, p.eps, n, m, len(s.space), s.space_max(), s.space_sum(), s.space_max() / m, s.space_sum() / m, s.space_max() / n, *(e[k] for k in range(1, 6)), took))
     return spark.createDataFrame(out, f"graph string, seed int, {grid.REPORT}")
 
 
-def vary_accept(spark, sf_dir, graphs=GRAPHS, values=ACCEPTS, seeds=SEEDS) -> DataFrame:
-    return grid.report(spark, sf_dir, graphs, [replace(PRACTICAL, accept=t) for t in values], seeds)
+def vary_accept(spark, sf_dir, graphs=GRAPHS, values=ACCEPTS, seeds=SEEDS, errors: bool = True) -> DataFrame:
+    return grid.report(spark, sf_dir, graphs, [replace(PRACTICAL, accept=t) for t in values], seeds, errors)
 
 
-def vary_growth(spark, sf_dir, graphs=GRAPHS, values=GROWTHS, seeds=SEEDS, eps=(0.25,)) -> DataFrame:
-    return grid.report(spark, sf_dir, graphs, [replace(PRACTICAL, growth=m, eps=e) for m in values for e in eps], seeds)
+def vary_growth(spark, sf_dir, graphs=GRAPHS, values=GROWTHS, seeds=SEEDS, eps=(0.25,), errors: bool = True) -> DataFrame:
+    return grid.report(spark, sf_dir, graphs, [replace(PRACTICAL, growth=m, eps=e) for m in values for e in eps], seeds, errors)
 
 
 def scaling(spark, sf_dir: str, graphs=("doc_word", "cust_supp", "copart"), parts=(0.125, 0.25, 0.5, 1.0)) -> DataFrame:
@@ -95,7 +97,7 @@ def claims(spark, most: int = LADDER, p: SketchParams = SMALL, seeds=SEEDS) -> D
     edges = written(clique_ladder(spark, most), "edges")
     exact, n, out = written(exact_coreness(edges, "local"), "exact"), degrees(edges).count(), None
     for seed in seeds:
-        rows = band_check(sketch_coreness(edges, replace(p, seed=seed), n).labels, exact, n, p.eps).selectExpr(f"{seed} as seed", "*")
+        rows = band_check(sketch_coreness(edges, replace(p, seed=seed, idle=True), n).labels, exact, n, p.eps).selectExpr(f"{seed} as seed", "*")
         out = rows if out is None else out.unionByName(rows)
     return out
 

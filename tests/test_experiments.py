@@ -90,3 +90,18 @@ def test_new_graphs_hubs_and_sql_names(spark):
     assert [r[0] for r in spark.sql("SELECT first_level(u, array(0.25D, 0.5D, 1D)) FROM VALUES (1L), (1125899906842625L), (4503599627370495L) t(u)").collect()] == [0, 1, 2]
     cycle_graph(spark, 4).createOrReplaceTempView("four")
     assert {r.coreness for r in spark.sql("SELECT * FROM peel_order(TABLE(SELECT CAST(src AS STRING) AS src, CAST(dst AS STRING) AS dst FROM four))").collect()} == {2}
+
+
+def test_graphs_above_one_task_are_swept_by_the_cluster(spark, sf_dir, monkeypatch):
+    params = [replace(experiments.PRACTICAL, accept=3, p0=2**-2)]
+    columns = ("graph", "seed", "accept", "n", "m", "levels", "max_edges", "sum_edges", "p50")
+    some = lambda e: sorted(tuple(r) for r in grid.report(spark, sf_dir, ("page_link", "part_supp"), params, (1,), e).select(*columns).collect())
+    one_task = some(False)
+    two = replace(params[0], p0=2**-1)
+    saved = sorted(map(tuple, grid.prepeel_saving(spark, sf_dir, ("page_link",), two).collect()))
+    size = {r[0]: r[4] for r in one_task}
+    assert size["page_link"] < size["part_supp"]
+    monkeypatch.setattr(grid, "SPACE_EDGES", size["page_link"])
+    assert some(False) == one_task and all(r[-1] is None for r in one_task)
+    monkeypatch.setattr(grid, "SPACE_EDGES", 1)
+    assert sorted(map(tuple, grid.prepeel_saving(spark, sf_dir, ("page_link",), two).collect())) == saved
