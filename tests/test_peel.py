@@ -142,3 +142,11 @@ def test_exclusive_labels_beyond_one_task(spark, monkeypatch):
     for most in (10_000_000, 10):
         monkeypatch.setattr(peel, "LOCAL_EDGES", most)
         assert {r.id: r.label for r in peel.exclusive_labels(frame(spark, pairs), pinned, method="auto").collect()} == want
+
+
+def test_numbered_vertices_peel_in_one_task(spark, monkeypatch):
+    pairs = random_pairs(9, m=150)
+    e = frame(spark, pairs).selectExpr("concat('v', src) as src", "concat('v', dst) as dst")
+    monkeypatch.setattr(peel, "LOCAL_EDGES", 10)
+    monkeypatch.setattr(peel, "exclusive_refined", None)
+    assert {r.id: r.coreness for r in peel.exact_coreness(e, "auto").collect()} == {f"v{k}": v for k, v in slow_labels(pairs).items()}
