@@ -50,7 +50,15 @@ def degree_concentration(edges: DataFrame, sample: DataFrame, p: float, f: float
             return degrees(e).withColumnRenamed("degree", name)
         return e.groupBy(F.col("dst" if direction == "in" else "src").alias("id")).agg(F.count(F.lit(1)).alias(name))
 
-    d = one(edges, "g").join(one(sample, "h"), "id", "left").fillna(0, ["h"])
+    return _degree_promises(one(edges, "g").join(one(sample, "h"), "id", "left").fillna(0, ["h"]), p, f, eps)
+
+
+def drawn_concentration(ends: DataFrame, p: float, f: float, eps: float) -> DataFrame:
+    """The same counts from rows (id, kept), one for each edge of a vertex: one pass, nothing of the edges is shuffled."""
+    return _degree_promises(ends.groupBy("id").agg(F.count(F.lit(1)).alias("g"), F.count_if("kept").alias("h")), p, f, eps)
+
+
+def _degree_promises(d: DataFrame, p: float, f: float, eps: float) -> DataFrame:
     g, h = F.col("g"), F.col("h")
     close = F.abs(h - p * g) <= eps * h
     count = lambda where, ok, name: [F.count(F.when(where, 1)).alias(name), F.count(F.when(where & ~ok, 1)).alias(f"{name}_broken")]
