@@ -4,6 +4,7 @@ from dataclasses import replace
 
 import pytest
 
+from stratacore import streaming
 from stratacore.operators.sketch import sketch_coreness
 from stratacore.params import SketchParams
 from stratacore.sources import edges_from, path_graph, random_graph
@@ -91,3 +92,22 @@ def test_sessions_of_a_pair(spark):
     df = spark.createDataFrame([(0, 1, 2), (50, 2, 1), (200, 1, 2), (10, 3, 4)], "t int, src long, dst long").selectExpr("timestamp_seconds(t) as edge_ts", "src", "dst")
     got = sorted((r.src, r.dst, r.times) for r in session_edges(df, "60 seconds").collect())
     assert got == [(1, 2, 1), (1, 2, 2), (3, 4, 1)]
+
+
+def test_many_new_edges_are_peeled_by_arrays(spark, monkeypatch):
+    """The same labels and the same vertices moved as by walks, without a walk."""
+    base = random_graph(spark, 60, 400, 1)
+    costs = []
+    for few in (1000, 0):
+        monkeypatch.setattr(streaming, "WALK_EDGES", few)
+        local = StreamingSketch(spark, P, "local")
+        for part in (base.where("(src + dst) % 7 < 5"), base.where("(src + dst) % 7 >= 5")):
+            local.add(part)
+        assert rows(local.labels()) == rows(sketch_coreness(base, P).labels)
+        costs.append(local.costs)
+    assert costs[0] == costs[1] and sum(c.local_levels for c in costs[0]) > 0
+    seen = []
+    real = streaming.locally_relabelled
+    monkeypatch.setattr(streaming, "locally_relabelled", lambda h, new, raw: seen.append(new) or real(h, new, raw))
+    local.add(path_graph(spark, 70))
+    assert seen and all(x is None for x in seen)
