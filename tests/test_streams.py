@@ -2,9 +2,11 @@
 
 from dataclasses import replace
 
+import duckdb
+import numpy as np
 import pytest
 
-from stratacore import streaming
+from stratacore import registry, streaming
 from stratacore.operators.sketch import sketch_coreness
 from stratacore.params import SketchParams
 from stratacore.sources import edges_from, path_graph, random_graph
@@ -111,3 +113,24 @@ def test_many_new_edges_are_peeled_by_arrays(spark, monkeypatch):
     monkeypatch.setattr(streaming, "locally_relabelled", lambda h, new, raw: seen.append(new) or real(h, new, raw))
     local.add(path_graph(spark, 70))
     assert seen and all(x is None for x in seen)
+
+
+@pytest.mark.parametrize("name", ["stream_tumbling", "stream_sliding"])
+def test_windows_keep_events_and_not_pairs(spark, sf_dir, name, monkeypatch):
+    """The same rows as SQL with several blocks and small steps; what streams is a table of events, a row each."""
+    monkeypatch.setattr(registry, "_BLOCK_EVENTS", 300)
+    monkeypatch.setattr(streaming, "CONTACT_PAIRS", 3)
+    sent = []
+    real = registry._stream_of
+    monkeypatch.setattr(registry, "_stream_of", lambda s, df, *a, **k: sent.append(df.count()) or real(s, df, *a, **k))
+    con = duckdb.connect()
+    con.execute(f"create view events as select * from '{sf_dir}/events.parquet'")
+    got = sorted(map(tuple, registry.queries()[name](spark, sf_dir).select("start", "src", "dst", "times").collect()))
+    assert got == sorted(con.execute(registry.oracle_sql()[name]).fetchall()) and got
+    assert sent == [con.execute("select count(*) from events").fetchone()[0]]
+
+
+def test_contacts_count_the_rows_of_src(spark):
+    at = np.array([0, 1, 2, 61, 62, 63]) * 1_000_000
+    got = list(streaming._contacts(at, np.array([5, 5, 9, 5, 9, 9]), np.zeros(6, int), 0, 0))
+    assert [x.tolist() for x in got[0]] == [[5], [9], [3]]
