@@ -90,3 +90,9 @@ def test_a_level_that_can_settle_something_stays():
     levels = [Level(0, 0.25, 50.0, 100.0), Level(1, 0.5, 40.0, 80.0), Level(2, 1.0, 0.0, math.inf)]
     assert without_idle(levels, 40) == [Level(0, 0.5, 40.0, 80.0), Level(1, 1.0, 0.0, math.inf)]
     assert without_idle(levels, 39) == [Level(0, 1.0, 0.0, math.inf)] and without_idle(levels, 50) == levels
+
+
+def test_a_cap_below_the_threshold_settles_the_same_vertices(edges):
+    """The refinement clipped values below what they must reach, and settled nothing before the last level."""
+    p = replace(P, cap=2)
+    assert rows(sketch_coreness(edges, replace(p, peeler="distributed"))) == rows(sketch_coreness(edges, p))
