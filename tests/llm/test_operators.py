@@ -469,3 +469,18 @@ def test_registered_queries(spark, sf_dir, name):
 
     table = "pages" if name == "op2_links" else "documents"
     assert QUERIES[name](spark, sf_dir).count() == spark.read.parquet(f"{sf_dir}/{table}.parquet").count()
+
+
+def test_plain_words_are_cut_in_one_pass(monkeypatch):
+    """Words of one call are cut by one search (there was one a word), with the library's ids for mixed words and a full table."""
+    from types import SimpleNamespace
+
+    from tokenizers import Tokenizer
+
+    cuts, real = [], op3_token_file._PLAIN_CUT
+    monkeypatch.setattr(op3_token_file, "_PLAIN_CUT", SimpleNamespace(findall=lambda text: cuts.append(text) or real.findall(text)))
+    monkeypatch.setattr(op3_token_file, "MOST_RUNS", 3)
+    encode, tok = op3_token_file._encoder(WORDS, False), Tokenizer.from_file(WORDS)
+    for chunks in (["Haus,", "don't", "x1y22", "日本", "ÄÖÜß", "über-all!"], ["haus", "a" * 300, "a" * 300 + "."], ["don't"], ["(((", "7"]):
+        assert [np.frombuffer(x, "<u2").tolist() for x in encode(chunks)] == [tok.encode(c, add_special_tokens=False).ids for c in chunks]
+    assert len(cuts) <= 4
