@@ -134,3 +134,37 @@ def test_contacts_count_the_rows_of_src(spark):
     at = np.array([0, 1, 2, 61, 62, 63]) * 1_000_000
     got = list(streaming._contacts(at, np.array([5, 5, 9, 5, 9, 9]), np.zeros(6, int), 0, 0))
     assert [x.tolist() for x in got[0]] == [[5], [9], [3]]
+
+
+def _two_streams(spark, tmp_path, slices):
+    """Streams (k, left_ts, src) and (k, right_ts, dst), a file for each slice of (left rows, right rows); times in seconds."""
+    out = []
+    for side, schema, cols in ((0, "k long, t long, src long", "k, timestamp_seconds(t) as left_ts, src"), (1, "k long, t long, dst long", "k, timestamp_seconds(t) as right_ts, dst")):
+        path = f"{tmp_path}/side-{side}"
+        for rows in slices:
+            df = spark.createDataFrame(rows[side], schema).selectExpr(*cols.split(", "))
+            df.coalesce(1).write.mode("append").parquet(path)
+        out.append(spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(path))
+    return out
+
+
+def test_streams_are_joined_by_tables(spark, tmp_path):
+    """Rows of one key at most a minute apart, across batches in both directions, repeated rows too; nulls match nothing."""
+    first = ([(1, 0, 10), (1, 30, 11), (2, 0, 12), (None, 0, 13)], [(1, 60, 20), (1, 61, 21), (3, 5, 22), (None, 0, 23)])
+    second = ([(3, 20, 14), (1, 90, 15)], [(2, 40, 24), (2, 40, 24), (1, 95, 25)])
+    left, right = _two_streams(spark, tmp_path, (first, second))
+    streaming.match_batches(left, right, "k", "60 SECONDS", f"{tmp_path}/out", f"{tmp_path}/checkpoint").awaitTermination()
+    got = sorted((r.src, r.dst) for r in spark.read.parquet(f"{tmp_path}/out").collect())
+    a, b = ([r for part in (first, second) for r in part[side]] for side in (0, 1))
+    assert got == sorted((x[2], y[2]) for x in a for y in b if x[0] is not None and x[0] == y[0] and abs(x[1] - y[1]) <= 60)
+
+
+def test_the_stream_join_has_no_state_store(spark, sf_dir, monkeypatch):
+    """Its state are tables: no state folder under the checkpoint, which the row by row join filled."""
+    import glob
+
+    paths, real = [], registry.new_path
+    monkeypatch.setattr(registry, "new_path", lambda s, label: paths.append(real(s, label)) or paths[-1])
+    assert registry.queries()["stream_stream_join"](spark, sf_dir).count() > 0
+    checkpoint = next(x for x in paths if "stream-checkpoint" in x).removeprefix("file:")
+    assert glob.glob(f"{checkpoint}/commits/*") and not glob.glob(f"{checkpoint}/state/*")
