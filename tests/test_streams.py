@@ -115,7 +115,7 @@ def test_many_new_edges_are_peeled_by_arrays(spark, monkeypatch):
     assert seen and all(x is None for x in seen)
 
 
-@pytest.mark.parametrize("name", ["stream_tumbling", "stream_sliding"])
+@pytest.mark.parametrize("name", ["stream_tumbling", "stream_sliding", "stream_session"])
 def test_windows_keep_events_and_not_pairs(spark, sf_dir, name, monkeypatch):
     """The same rows as SQL with several blocks and small steps; what streams is a table of events, a row each."""
     monkeypatch.setattr(registry, "_BLOCK_EVENTS", 300)
@@ -168,3 +168,12 @@ def test_the_stream_join_has_no_state_store(spark, sf_dir, monkeypatch):
     assert registry.queries()["stream_stream_join"](spark, sf_dir).count() > 0
     checkpoint = next(x for x in paths if "stream-checkpoint" in x).removeprefix("file:")
     assert glob.glob(f"{checkpoint}/commits/*") and not glob.glob(f"{checkpoint}/state/*")
+
+
+def test_runs_of_contacts_end_at_a_pause(spark):
+    """A run ends where the next row of src comes `gap` or more later; a row counts once for each dst of its minute."""
+    at = np.array([0, 1, 2, 99, 100, 200, 201]) * 1_000_000
+    got = list(streaming._contact_runs(at, np.array([5, 9, 9, 9, 5, 5, 9]), np.zeros(7, int), 0, 0, 100_000_000))
+    assert [x.tolist() for x in got[0]] == [[0, 100_000_000, 200_000_000], [5, 5, 5], [9, 9, 9], [1, 1, 1]]
+    got = list(streaming._contact_runs(at, np.array([5, 9, 9, 9, 5, 5, 9]), np.zeros(7, int), 0, 0, 101_000_000))
+    assert [x.tolist() for x in got[0]] == [[0], [5], [9], [3]]
