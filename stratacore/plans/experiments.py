@@ -9,15 +9,15 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions import edge_uniform
+from ..functions import TWO52, edge_u52, edge_uniform
 from ..operators import cores
-from ..operators.peel import exact_coreness
+from ..operators.peel import PACKED_EDGES, exact_coreness, numbered, packed_coreness
 from ..operators.sketch import sketch_coreness
 from ..params import SketchParams
-from ..runtime import Rounds, written
+from ..runtime import Rounds, drop_written, written
 from ..sources import clique_ladder, degrees, graph
 from . import grid
-from .measures import band_check, error_percentiles
+from .measures import POINTS, band_check, error_percentiles, relative_error
 
 #: The four graphs that stand in for the published ones, and the published values and numbers of runs.
 GRAPHS = ("word_adjacency", "doc_word", "cust_supp", "part_supp")
@@ -120,17 +120,39 @@ def success_rate(spark, sf_dir, p: SketchParams = SMALL, seeds=tuple(range(10)),
 def ablate_uniform(spark, sf_dir, names=("word_adjacency", "copart"), seed: int = 0) -> DataFrame:
     """Errors of the adaptive sketch and of uniform samples: one of the same total size, one of the size of the largest
     level (what one machine must hold); by coreness below 5 and from 5 on."""
-    out = None
+    out, p = None, replace(PRACTICAL, seed=seed)
     for name in names:
-        edges = written(graph(spark, sf_dir, name), "edges")
-        m, exact = edges.count(), written(exact_coreness(edges, "auto"), "exact")
-        s = sketch_coreness(edges, replace(PRACTICAL, seed=seed))
-        methods = [("adaptive", 0.0, s.labels)]
-        for method, size in (("uniform_total", s.space_sum()), ("uniform_largest", s.space_max())):
-            rate = min(1.0, size / m)
-            methods.append((method, rate, cores.uniform_sample_coreness(edges, rate, seed)))
-        for method, rate, labels in methods:
-            for band, least, most in (("below 5", 1, 4), ("5 and more", 5, None)):
-                rows = error_percentiles(labels, exact, least, most).select(F.lit(name).alias("graph"), F.lit(method).alias("method"), F.lit(rate).alias("rate"), F.lit(band).alias("band"), "*")
-                out = rows if out is None else out.unionByName(rows)
+        edges = written(graph(spark, sf_dir, name).select(F.lit(name).alias("graph"), "src", "dst"), "edges")
+        m = edges.count()
+        rows = grid.ablation(edges, p) if m <= grid.EXACT_EDGES else _ablate_large(edges, m, name, p)
+        out = rows if out is None else out.unionByName(rows)
     return out
+
+
+def _ablate_large(edges: DataFrame, m: int, name: str, p: SketchParams) -> DataFrame:
+    """The same for a graph above one task's size. Vertices are numbered once, with the hashes of the ids as they were."""
+    numbers, ids = numbered(edges)
+    hashed = numbers.select(F.col("a").alias("src"), F.col("b").alias("dst"), edge_u52(F.col("src"), F.col("dst"), p.seed, p.hash).alias("u52"))
+    hashed, n = written(hashed, "numbered"), ids.count()
+    drop_written(edges)
+    pairs = hashed.select("src", "dst")
+    if m <= PACKED_EDGES:
+        exact = packed_coreness(hashed.select(F.col("src").alias("a"), F.col("dst").alias("b")), n)
+    else:
+        exact = written(exact_coreness(pairs, "refine"), "exact")
+    s = sketch_coreness(hashed, p, n)
+    methods = [("adaptive", 0.0, s.labels)]
+    for method, size in (("uniform_total", s.space_sum()), ("uniform_largest", s.space_max())):
+        rate = min(1.0, size / m)
+        sample = exact_coreness(hashed.where(F.col("u52") <= int(rate * TWO52)).select("src", "dst"), "auto")
+        methods.append((method, rate, sample.select("id", (F.col("coreness") / F.lit(rate)).alias("label"))))
+    errors, points = exact.where("coreness >= 1"), F.array(*map(F.lit, POINTS))
+    for k, (_, _, labels) in enumerate(methods):
+        errors = errors.join(labels.select("id", F.col("label").alias(f"label{k}")), "id", "left")
+    band = F.when(F.col("coreness") < 5, "below 5").otherwise("5 and more").alias("band")
+    at = [F.percentile(relative_error(F.coalesce(f"label{k}", F.lit(0.0)), F.col("coreness")), points).alias(f"at{k}") for k in range(len(methods))]
+    found = errors.groupBy(band).agg(F.count(F.lit(1)).alias("vertices"), *at)
+    bands = edges.sparkSession.createDataFrame([(b,) for b, _, _ in grid.BANDS], "band string")
+    each = F.explode(F.array(*[F.struct(F.lit(method).alias("method"), F.lit(rate).alias("rate"), F.col(f"at{k}").alias("at")) for k, (method, rate, _) in enumerate(methods)]))
+    rows = bands.join(found, "band", "left").select(each.alias("r"), "band", F.coalesce("vertices", F.lit(0)).alias("vertices"))
+    return rows.select(F.lit(name).alias("graph"), "r.method", "r.rate", "band", "vertices", *[F.round(F.col("r.at")[k], 6).alias(f"p{int(100 * q)}") for k, q in enumerate(POINTS)])

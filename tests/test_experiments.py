@@ -105,3 +105,27 @@ def test_graphs_above_one_task_are_swept_by_the_cluster(spark, sf_dir, monkeypat
     assert some(False) == one_task and all(r[-1] is None for r in one_task)
     monkeypatch.setattr(grid, "SPACE_EDGES", 1)
     assert sorted(map(tuple, grid.prepeel_saving(spark, sf_dir, ("page_link",), two).collect())) == saved
+
+
+def test_an_ablation_takes_few_jobs_and_is_the_same_at_any_size(spark, sf_dir, monkeypatch):
+    names, n_jobs = ("page_link", "copart"), lambda: spark.sparkContext._jsc.sc().dagScheduler().numTotalJobs()
+    run = lambda: {tuple(r)[:2] + (r.band,): tuple(r)[2:] for r in experiments.ablate_uniform(spark, sf_dir, names).collect()}
+    before = n_jobs()
+    one_task = run()
+    assert n_jobs() - before < 40 and len(one_task) == 12
+    edges = graph(spark, sf_dir, "copart")
+    exact = peel.exact_coreness(edges, "refine")
+    s = sketch_coreness(edges, replace(experiments.PRACTICAL, rounds="two"))
+    rate = min(1.0, s.space_max() / edges.count())
+    for method, labels in (("adaptive", s.labels), ("uniform_largest", cores.uniform_sample_coreness(edges, rate))):
+        e = measures.error_percentiles(labels, exact).first()
+        assert one_task["copart", method, "5 and more"][2:] == pytest.approx(tuple(e), abs=2e-6)
+    assert one_task["copart", "uniform_largest", "5 and more"][0] == rate
+    monkeypatch.setattr(grid, "EXACT_EDGES", 1)
+    large = run()
+    for packed in (1, 0):
+        monkeypatch.setattr(experiments, "PACKED_EDGES", packed * experiments.PACKED_EDGES)
+        large = run() if not packed else large
+        assert large.keys() == one_task.keys()
+        for k, r in large.items():
+            assert r[0] == one_task[k][0] and r[1:3] == one_task[k][1:3] and r[3:] == pytest.approx(one_task[k][3:], abs=2e-6), k

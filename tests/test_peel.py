@@ -170,3 +170,15 @@ def test_a_sweep_is_one_write_whose_changes_are_counted_on_the_way(spark):
     peel.exclusive_refined(e, rounds=r)
     assert peel.exclusive_refined(e, floor=3).count() == peel.exclusive_refined(e.limit(0)).count() == 0
     assert r.sweeps == 10 and r.jobs <= 3 * r.sweeps
+
+
+def test_packed_lists_change_nothing(spark, monkeypatch):
+    edges = random_graph(spark, 300, 3000, 7)
+    want = sorted(map(tuple, peel.exact_coreness(edges, "waves").collect()))
+    for name, value in (("LOCAL_EDGES", 10), ("NUMBERED_EDGES", 10), ("ROW_EDGES", 100), ("SPAN", 50)):
+        monkeypatch.setattr(peel, name, value)
+    r = Rounds()
+    assert sorted(map(tuple, peel.exact_coreness(edges, "auto", r).collect())) == want and not r.sweeps
+    ends = np.array([tuple(e) for e in edges.collect()])
+    label, _ = peel.local_labels(ends[:, 0], ends[:, 1], 300, np.zeros(300, bool))
+    assert [(v, c) for v, c in enumerate(label.tolist()) if c] == [(v, c) for v, c in want if c]

@@ -7,7 +7,7 @@ from stratacore.operators import peel
 from stratacore.operators.sketch import sketch_coreness, with_isolated
 from stratacore.params import Level, SketchParams, deflation, rate_schedule, without_idle
 from stratacore.runtime import written
-from stratacore.sources import graph, random_graph
+from stratacore.sources import degrees, graph, random_graph
 from stratacore.streaming import StreamingSketch, multi_pass
 
 P = SketchParams(accept=3, p0=2**-3, cap="scaled", peeler="local")
@@ -96,3 +96,17 @@ def test_a_cap_below_the_threshold_settles_the_same_vertices(edges):
     """The refinement clipped values below what they must reach, and settled nothing before the last level."""
     p = replace(P, cap=2)
     assert rows(sketch_coreness(edges, replace(p, peeler="distributed"))) == rows(sketch_coreness(edges, p))
+
+
+def test_first_levels_in_one_task_change_nothing(spark):
+    named = random_graph(spark, 60, 90, 2).selectExpr("concat('v', src) as src", "concat('v', dst) as dst")
+    for edges, sizes in ((random_graph(spark, 300, 3000, 7), (10_000_000, 300)), (named, (10_000_000,))):
+        p = SketchParams(accept=3, p0=2**-5, cap="scaled")
+        n = degrees(edges).count()
+        two = sketch_coreness(edges, replace(p, rounds="two"))
+        for most in sizes:
+            one = sketch_coreness(edges, replace(p, max_local_edges=most), n if most == 300 else None)
+            assert one.space == two.space and one.rounds.levels == len(one.space), most
+            assert sorted(map(tuple, one.labels.collect())) == sorted(map(tuple, two.labels.collect())), most
+            assert sorted(map(tuple, one.sample.collect())) == sorted(map(tuple, two.sample.collect())), most
+            assert most == 300 or one.rounds.jobs * 2 < two.rounds.jobs
